@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import language, packing, sharding, toxicity
+from . import decontam, language, packing, quality, sharding, toxicity
 from .common import held_out, table
 
 
@@ -29,6 +29,25 @@ def op3_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+def op5_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    found = decontam.find(docs, table(spark, sf_dir, "benchmark"))
+    hit = F.aggregate("hit_spans", F.lit(0).cast("long"), lambda n, s: n + s["past"] - s["first"])
+    return found.select(
+        "doc_id",
+        "n_words",
+        hit.alias("n_hit"),
+        F.size("hit_items").cast("long").alias("n_items"),
+        F.sha2(F.array_join(F.array_sort(F.col("hit_items").cast("array<string>")), ",").cast("binary"), 256).alias("items_sha256"),
+        (hit > 0).alias("contaminated"),
+    )
+
+
+def op8_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text", "lang")
+    return quality.judge(docs)
+
+
 def op9_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
     model = toxicity.learn(docs, table(spark, sf_dir, "labels"), ~held_out(F.col("doc_id"), 3, 1))
@@ -47,10 +66,42 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_packing": op1_packing,
         "op3_sharding": op3_sharding,
+        "op5_decontamination": op5_decontamination,
+        "op8_quality": op8_quality,
         "op9_toxicity": op9_toxicity,
         "op10_language": op10_language,
     }
 
 
+OP5_SQL = """
+with doc_words as (
+    select doc_id, regexp_extract_all(regexp_replace(lower_ascii, '[\\x00-\\x2F\\x3A-\\x60\\x7B-\\x7F]+', ' ', 'g'), '[^ ]+') as w
+    from (select doc_id, translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') as lower_ascii from documents)
+),
+item_words as (
+    select item_id, regexp_extract_all(regexp_replace(lower_ascii, '[\\x00-\\x2F\\x3A-\\x60\\x7B-\\x7F]+', ' ', 'g'), '[^ ]+') as w
+    from (select item_id, translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') as lower_ascii from benchmark)
+),
+windows as (
+    select distinct item_id, least(10, len(w)) as size, array_to_string(w[i : i + least(10, len(w)) - 1], ' ') as words
+    from (select item_id, w, unnest(range(1, greatest(2, len(w) - 8))) as i from item_words where len(w) > 0)
+),
+sizes as (select distinct size from windows),
+places as (
+    select doc_id, size, i, array_to_string(w[i : i + size - 1], ' ') as words
+    from (select doc_id, size, w, unnest(range(1, len(w) - size + 2)) as i from doc_words, sizes where len(w) >= size)
+),
+hits as (select p.doc_id, p.size, p.i, x.item_id from places p join windows x on p.size = x.size and p.words = x.words),
+covered as (select doc_id, count(distinct pos) as n_hit from (select doc_id, unnest(range(i, i + size)) as pos from hits) group by doc_id),
+items as (
+    select doc_id, count(*) as n_items, string_agg(id, ',' order by id) as ids
+    from (select distinct doc_id, cast(item_id as varchar) as id from hits) group by doc_id
+)
+select d.doc_id, cast(len(d.w) as bigint) as n_words, cast(coalesce(c.n_hit, 0) as bigint) as n_hit, cast(coalesce(i.n_items, 0) as bigint) as n_items,
+    sha256(coalesce(i.ids, '')) as items_sha256, coalesce(c.n_hit, 0) > 0 as contaminated
+from doc_words d left join covered c using (doc_id) left join items i using (doc_id)
+"""
+
+
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op5_decontamination": OP5_SQL}
