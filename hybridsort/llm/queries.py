@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontam, language, packing, quality, sharding, toxicity
+from . import decontam, language, neardup, packing, quality, sharding, toxicity
 from .common import held_out, table
 
 
@@ -15,6 +15,10 @@ def op1_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(table(spark, sf_dir, "documents"), keep_ids=False).drop("ids")
 
 
+def op2_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return neardup.link(table(spark, sf_dir, "documents"), width=3, percent=85)
+
+
 def op3_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     out = sharding.shard(table(spark, sf_dir, "documents").select("doc_id", "text"))
     text = F.coalesce("text", F.lit(""))
@@ -65,6 +69,7 @@ def op10_language(spark: SparkSession, sf_dir: str) -> DataFrame:
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_packing": op1_packing,
+        "op2_minhash": op2_minhash,
         "op3_sharding": op3_sharding,
         "op5_decontamination": op5_decontamination,
         "op8_quality": op8_quality,
@@ -73,6 +78,32 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     }
 
 
+OP2_SQL = """
+with recursive doc_words as (
+    select doc_id, regexp_extract_all(regexp_replace(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[\\x20\\x09-\\x0D]+', ' ', 'g'), '[^ ]+') as w
+    from documents
+),
+shingles as (
+    select distinct doc_id, array_to_string(w[i : i + 2], ' ') as s
+    from (select doc_id, w, unnest(range(1, greatest(2, len(w) - 1))) as i from doc_words where len(w) > 0)
+),
+sizes as (select doc_id, count(*) as n from shingles group by doc_id),
+shared as (
+    select x.doc_id as a, y.doc_id as b, count(*) as k from shingles x join shingles y on x.s = y.s and x.doc_id < y.doc_id group by all
+),
+links as (
+    select a, b from shared join sizes p on p.doc_id = a join sizes q on q.doc_id = b where 100 * k >= 85 * (p.n + q.n - k)
+),
+edges as (select a, b from links union all select b, a from links),
+reach as (
+    select doc_id as node, doc_id as seen from documents
+    union
+    select reach.node, edges.b from reach join edges on reach.seen = edges.a
+)
+select d.doc_id, cast(coalesce(s.n, 0) as bigint) as n_shingles, r.c as component_id, d.doc_id = r.c as kept
+from documents d left join sizes s using (doc_id) join (select node, min(seen) as c from reach group by node) r on r.node = d.doc_id
+"""
+
 OP5_SQL = """
 with doc_words as (
     select doc_id, regexp_extract_all(regexp_replace(lower_ascii, '[\\x00-\\x2F\\x3A-\\x60\\x7B-\\x7F]+', ' ', 'g'), '[^ ]+') as w
@@ -104,4 +135,4 @@ from doc_words d left join covered c using (doc_id) left join items i using (doc
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op5_decontamination": OP5_SQL}
+    return {"op2_minhash": OP2_SQL, "op5_decontamination": OP5_SQL}
