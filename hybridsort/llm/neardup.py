@@ -7,11 +7,10 @@ similarity of the sets. Bins are grouped into bands, and a band's values name a
 
 Documents with the same set form a class at once, and only one of each class goes on. Every member of
 a bucket is compared with the bucket's smallest member, a star, so a bucket costs as many
-comparisons as it has members. Where a bucket still holds several components after that, stars go on
-within it: each further round takes a few members that have not been centres and compares them with
-the members outside their component, until no bucket has two components or all members outside the
-largest component have been centres. So no link between members of a bucket is lost, and no bucket is
-capped. Links are confirmed on the full sets.
+comparisons as it has members. Where buckets still hold several components after that, members
+whose sets hold so many shingles of their own that they can have no further link are left out, and
+the rest of those outside the largest component are asked, in blocks, against all of them. So no link
+between members of a bucket is lost, and no bucket is capped. Links are confirmed on the full sets.
 
 Defined results: null text, empty text and text without words have empty sets and no links; rows that
 share an id are one node; rows without an id have no links and are kept; with an empty table there
@@ -21,19 +20,18 @@ are no rows.
 from __future__ import annotations
 
 from collections.abc import Iterator
-from functools import reduce
 
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import column, gram_hashes, mix, split_words, staged, text_slices, word_hashes
 from .components import components
 
-#: Centres that a bucket gets in each round after the first.
-STARS = 16
+#: Shingles of the sets that a task holds while others are streamed past.
+BLOCK_SHINGLES = 128_000
 
 
 def donors(bins: int) -> np.ndarray:
@@ -139,17 +137,11 @@ def link(docs: DataFrame, width: int = 5, percent: int = 80, bands: int = 20, ro
     tried = staged(pairs.where(similar).distinct(), "pairs")
     met = members.select("node").distinct()
     sets = staged(_full_sets(docs, classes.join(met, "node", "left_semi").select("node", "set_key"), width), "sets")
-    links = [staged(_confirmed(tried, sets, percent), "links")]
-    open_ = members.select("bucket", "node", "n", (F.col("node") == F.col("centre.node")).alias("used"))
-    while True:
-        joined = staged(components(reduce(DataFrame.union, links)), "components")
-        open_, pairs = _next_stars(open_, joined)
-        fresh = staged(pairs.where(similar).distinct().join(tried, ["a", "b"], "left_anti"), "pairs")
-        if not open_.limit(1).count():
-            break
-        if fresh.limit(1).count():
-            links.append(staged(_confirmed(fresh, sets, percent), "links"))
-            tried = tried.unionByName(fresh)
+    links = staged(_confirmed(tried, sets, percent), "links")
+    joined = staged(components(links), "components")
+    open_ = _possible(members, joined, sets, percent)
+    found = staged(_across(open_, joined, sets, percent), "links")
+    joined = staged(components(links.union(found)), "components")
     same = classes.select("set_key", "node").join(joined, "node", "left").select("set_key", F.coalesce("component", "node").alias("class_component"))
     out = described.join(same, "set_key", "left")
     by_id = _by_shared_id(out)
@@ -169,28 +161,89 @@ def _by_shared_id(rows: DataFrame) -> DataFrame | None:
     return components(shared).select(F.col("node").alias("from_component"), F.col("component").alias("to_component"))
 
 
-def _next_stars(open_: DataFrame, joined: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """Buckets that still hold several components, and the pairs of their next stars.
+def _possible(members: DataFrame, joined: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """The members of buckets of several components that can have a link left to find, with ``unique``.
 
-    A bucket's next centres are its STARS smallest members that have been none and are not in its
-    largest component; buckets without one are done, as every pair across components has then been
-    tried. A round emits at most STARS pairs for each member.
+    Of a node's shingles, ``unique`` are in no other node of these buckets, so in no intersection
+    that is still to be tried; where too few remain, the node has no further link.
     """
-    placed = open_.join(joined, "node", "left").withColumn("component", F.coalesce("component", "node"))
-    sizes = placed.groupBy("bucket", "component").agg(F.count("*").alias("size"))
-    tops = sizes.groupBy("bucket").agg(F.max(F.struct("size", "component")).alias("top"), F.count("*").alias("kinds")).where("kinds > 1")
-    placed = placed.join(tops.select("bucket", F.col("top.component").alias("largest")), "bucket")
-    waiting = placed.where(~F.col("used") & (F.col("component") != F.col("largest")))
-    first = waiting.withColumn("place", F.row_number().over(Window.partitionBy("bucket").orderBy("node"))).where(F.col("place") <= STARS)
-    centres = staged(first.select("bucket", F.col("node").alias("c"), F.col("n").alias("nc"), F.col("component").alias("own")), "centres")
-    still = placed.join(centres.select("bucket").distinct(), "bucket", "left_semi")
-    still = still.join(centres.select("bucket", F.col("c").alias("node"), F.lit(True).alias("now")), ["bucket", "node"], "left")
-    still = staged(still.select("bucket", "node", "n", (F.col("used") | F.coalesce("now", F.lit(False))).alias("used"), "component"), "open")
-    near = still.join(centres, "bucket").where(F.col("component") != F.col("own"))
-    pairs = near.select(
-        F.least("node", "c").alias("a"),
-        F.greatest("node", "c").alias("b"),
-        F.when(F.col("node") < F.col("c"), F.col("n")).otherwise(F.col("nc")).alias("na"),
-        F.when(F.col("node") < F.col("c"), F.col("nc")).otherwise(F.col("n")).alias("nb"),
-    )
-    return still.drop("component"), pairs
+    placed = members.join(joined, "node", "left").withColumn("component", F.coalesce("component", "node"))
+    several = placed.groupBy("bucket").agg((F.min("component") < F.max("component")).alias("several")).where("several").select("bucket")
+    open_ = staged(members.join(several, "bucket", "left_semi").select("bucket", "node", "n", (F.col("node") == F.col("centre.node")).alias("used")), "open")
+    held = sets.join(open_.select("node").distinct(), "node", "left_semi").select("node", F.explode("shingles").alias("shingle"))
+    alone = held.groupBy("shingle").agg(F.count("*").alias("docs"), F.min("node").alias("node")).where("docs = 1")
+    unique = alone.groupBy("node").agg(F.count("*").alias("unique"))
+    open_ = open_.join(unique, "node", "left").withColumn("unique", F.coalesce("unique", F.lit(0)))
+    return staged(open_.where(100 * (F.col("n") - F.col("unique")) >= percent * F.col("n")), "open")
+
+
+def _across(open_: DataFrame, joined: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """The links a, b between components of buckets that share members.
+
+    Buckets that share members form a group. The sets outside a group's largest component are taken
+    in blocks of about BLOCK_SHINGLES, and all sets of the group are streamed past each block; only
+    links leave a task. A task holds one block, however large the group is.
+    """
+    nodes = open_.select("node", "n").distinct()
+    edges = open_.join(open_.groupBy("bucket").agg(F.min("node").alias("a")), "bucket").select("a", F.col("node").alias("b"))
+    groups = staged(components(edges), "groups").withColumnRenamed("component", "grp")
+    nodes = nodes.join(groups, "node").join(joined, "node", "left").withColumn("component", F.coalesce("component", "node"))
+    nodes = staged(nodes, "nodes")
+    sizes = nodes.groupBy("grp", "component").agg(F.count("*").alias("size"), F.sum("n").alias("n"))
+    tops = sizes.groupBy("grp").agg(F.max(F.struct("size", "component")).alias("top"), F.sum("n").alias("all"), F.max_by("n", F.struct("size", "component")).alias("n_top"), F.count("*").alias("kinds"))
+    tops = tops.where("kinds > 1").select("grp", F.col("top.component").alias("largest"), F.ceil((F.col("all") - F.col("n_top")) / BLOCK_SHINGLES).alias("blocks"))
+    nodes = nodes.join(tops, "grp")
+    asked = nodes.where("component != largest").select("grp", F.pmod(F.xxhash64("node"), "blocks").alias("block"), F.lit(0).alias("role"), "node", "component")
+    every = nodes.select("grp", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)).alias("block"), F.lit(1).alias("role"), "node", "component")
+    rows = asked.unionByName(every).join(sets, "node").select("grp", "block", "role", "node", "component", "shingles")
+    rows = rows.repartition("grp", "block").sortWithinPartitions("grp", "block", "role")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        return _streamed(batches, percent)
+
+    return rows.mapInArrow(run, "a long, b long")
+
+
+class _Block:
+    """The asked sets of one block, inverted."""
+
+    def __init__(self):
+        self.nodes, self.components, self.sets, self.keys = [], [], [], None
+
+    def add(self, node: int, component: int, found: np.ndarray) -> None:
+        self.nodes.append(node)
+        self.components.append(component)
+        self.sets.append(found)
+
+    def links(self, node: int, component: int, found: np.ndarray, percent: int) -> list[tuple[int, int]]:
+        if self.keys is None:
+            self.size = np.array([len(s) for s in self.sets])
+            keys = np.concatenate(self.sets)
+            order = np.argsort(keys, kind="stable")
+            self.keys, self.owner = keys[order], np.repeat(np.arange(len(self.sets)), self.size)[order]
+            self.node, self.component = np.array(self.nodes), np.array(self.components)
+        low, high = np.searchsorted(self.keys, found), np.searchsorted(self.keys, found, side="right")
+        runs = high - low
+        at = np.repeat(low - np.concatenate([[0], np.cumsum(runs)[:-1]]), runs) + np.arange(int(runs.sum()))
+        shared = np.bincount(self.owner[at], minlength=len(self.node))
+        good = (100 * shared >= percent * (self.size + len(found) - shared)) & (self.component != component)
+        return [(int(x), node) for x in self.node[good]]
+
+
+def _streamed(batches: Iterator[pa.RecordBatch], percent: int) -> Iterator[pa.RecordBatch]:
+    block, key = _Block(), None
+    for batch in batches:
+        out: list[tuple[int, int]] = []
+        shingles = column(batch, "shingles")
+        bounds = shingles.offsets.to_numpy()
+        values = shingles.values.to_numpy()
+        names = [column(batch, c).to_pylist() for c in ("grp", "block", "role", "node", "component")]
+        for k, (grp, number, role, node, component) in enumerate(zip(*names, strict=True)):
+            if (grp, number) != key:
+                block, key = _Block(), (grp, number)
+            found = values[bounds[k] : bounds[k + 1]]
+            if role == 0:
+                block.add(node, component, found.copy())
+            elif block.nodes:
+                out += block.links(node, component, found, percent)
+        yield pa.RecordBatch.from_arrays([pa.array([x for x, _ in out], pa.int64()), pa.array([y for _, y in out], pa.int64())], names=["a", "b"])
