@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontam, language, neardup, packing, quality, sharding, toxicity
+from . import decontam, language, neardup, packing, quality, sharding, suffix_array, suffix_tree, toxicity
 from .common import held_out, table
 
 
@@ -47,6 +47,16 @@ def op5_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+def op6_suffix_tree(spark: SparkSession, sf_dir: str) -> DataFrame:
+    out = suffix_tree.dedup(table(spark, sf_dir, "documents"))
+    return out.select("doc_id", F.col("n_units").alias("n_words"), "n_removed", F.sha2("kept_bytes", 256).alias("kept_sha256"))
+
+
+def op7_suffix_array(spark: SparkSession, sf_dir: str) -> DataFrame:
+    out = suffix_array.dedup(table(spark, sf_dir, "documents"))
+    return out.select("doc_id", F.col("n_units").alias("n_bytes"), "n_removed", "n_spans", F.sha2("kept_bytes", 256).alias("kept_sha256"))
+
+
 def op8_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text", "lang")
     return quality.judge(docs)
@@ -72,6 +82,8 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op2_minhash": op2_minhash,
         "op3_sharding": op3_sharding,
         "op5_decontamination": op5_decontamination,
+        "op6_suffix_tree": op6_suffix_tree,
+        "op7_suffix_array": op7_suffix_array,
         "op8_quality": op8_quality,
         "op9_toxicity": op9_toxicity,
         "op10_language": op10_language,
@@ -133,6 +145,26 @@ select d.doc_id, cast(len(d.w) as bigint) as n_words, cast(coalesce(c.n_hit, 0)
 from doc_words d left join covered c using (doc_id) left join items i using (doc_id)
 """
 
+OP6_SQL = """
+with doc_words as (
+    select doc_id, regexp_extract_all(regexp_replace(coalesce(text, ''), '[\\x20\\x09-\\x0D]+', ' ', 'g'), '[^ ]+') as w from documents
+),
+windows as (
+    select doc_id, i, md5(array_to_string(w[i : i + 34], ' ')) as h
+    from (select doc_id, w, unnest(range(1, len(w) - 33)) as i from doc_words where len(w) >= 35)
+),
+repeated as (select doc_id, i from windows where h in (select h from windows group by h having count(*) > 1)),
+gone as (select distinct doc_id, unnest(range(i, i + 35)) as pos from repeated),
+words as (select doc_id, unnest(range(1, len(w) + 1)) as pos, unnest(w) as word from doc_words),
+kept as (
+    select words.doc_id, string_agg(word, ' ' order by words.pos) as t
+    from words left join gone on words.doc_id = gone.doc_id and words.pos = gone.pos where gone.pos is null group by words.doc_id
+),
+counts as (select doc_id, count(*) as n from gone group by doc_id)
+select d.doc_id, cast(len(d.w) as bigint) as n_words, cast(coalesce(c.n, 0) as bigint) as n_removed, sha256(coalesce(k.t, '')) as kept_sha256
+from doc_words d left join counts c using (doc_id) left join kept k using (doc_id)
+"""
+
 
 def oracle_sql() -> dict[str, str]:
-    return {"op2_minhash": OP2_SQL, "op5_decontamination": OP5_SQL}
+    return {"op2_minhash": OP2_SQL, "op5_decontamination": OP5_SQL, "op6_suffix_tree": OP6_SQL}
