@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontam, language, neardup, packing, quality, sharding, suffix_array, suffix_tree, toxicity
+from . import decontam, htmltext, language, neardup, packing, quality, sharding, suffix_array, suffix_tree, toxicity
 from .common import held_out, table
 
 
@@ -33,6 +33,10 @@ def op3_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+def op4_html_extraction(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return htmltext.render(table(spark, sf_dir, "pages"))
+
+
 def op5_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
     found = decontam.find(docs, table(spark, sf_dir, "benchmark"))
@@ -81,6 +85,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op1_packing": op1_packing,
         "op2_minhash": op2_minhash,
         "op3_sharding": op3_sharding,
+        "op4_html_extraction": op4_html_extraction,
         "op5_decontamination": op5_decontamination,
         "op6_suffix_tree": op6_suffix_tree,
         "op7_suffix_array": op7_suffix_array,
