@@ -2,10 +2,16 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
 
-def queries() -> dict:
-    return {}
+from pyspark.sql import DataFrame, SparkSession
 
+from . import queries_around, queries_sort
 
-def oracle_sql() -> dict:
-    return {}
+
+def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
+    return queries_sort.QUERIES | queries_around.QUERIES
+
+
+def oracle_sql() -> dict[str, str]:
+    return queries_sort.SQL | queries_around.SQL
