@@ -43,7 +43,7 @@ def text(c: Column, width: int = 10) -> Column:
     return F.rpad(F.substring(F.hex(F.encode(c, "UTF-8")), 1, 2 * width), 2 * width, "0")
 
 
-@F.pandas_udf("string")
+@F.pandas_udf(T.StringType())
 def double(values: pd.Series) -> pd.Series:
     """A double as 8 bytes: -0.0 counts as 0.0 and NaN comes last."""
     x = values.to_numpy(dtype=np.float64, na_value=np.nan) + 0.0

@@ -17,7 +17,7 @@ def choose_mode(bytes_in: int, budget: int, out_factor: float = 1.0) -> str:
 
 def input_bytes(df: DataFrame) -> int:
     """The optimiser's size of the plan."""
-    return int(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes().toString())
+    return int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
 
 
 def internal_sort(df: DataFrame, key: str, ptr: list[str], **options) -> DataFrame:
@@ -37,7 +37,8 @@ def partial_sort(df: DataFrame, key: str, ptr: list[str], **options) -> DataFram
 def sort(df: DataFrame, key: str, ptr: list[str], budget: int | None = None, mode: str = "auto", **options) -> DataFrame:
     """The whole order of df, by the path that the budget asks for; without one, Spark's executor memory decides."""
     if mode == "auto":
-        conf = df.sparkSession.sparkContext
-        memory = budget or conf._jsc.sc().getExecutorMemoryStatus().values().iterator().next()._1()
-        mode = choose_mode(input_bytes(df), int(memory))
+        if budget is None:
+            status = df.sparkSession.sparkContext._jsc.sc().getExecutorMemoryStatus().values()
+            budget = sum(int(part._1()) for part in (status.toSeq().apply(i) for i in range(status.size())))
+        mode = choose_mode(input_bytes(df), budget)
     return {"internal": internal_sort, "partial": partial_sort, "external": external_sort}[mode](df, key, ptr, **options)

@@ -12,7 +12,6 @@ from ..sources.tables import kept
 
 #: Leaves up to which the tree is broadcast; beyond, rows are joined to it by a shuffle.
 BROADCAST_LEAVES = 1_000_000
-BORDER = Window.orderBy("prefix")
 
 
 def digit_histogram(df: DataFrame, key: Column, depth: int, within: DataFrame | None = None) -> DataFrame:
@@ -27,7 +26,7 @@ def digit_histogram(df: DataFrame, key: Column, depth: int, within: DataFrame |
 
 def offsets(histogram: DataFrame) -> DataFrame:
     """The first position of each bucket: an exclusive prefix sum over a histogram."""
-    return histogram.withColumn("start", F.coalesce(F.sum("n").over(BORDER.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)))
+    return histogram.withColumn("start", F.coalesce(F.sum("n").over(Window.orderBy("prefix").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)))
 
 
 def common_prefix(df: DataFrame, key: Column) -> int:

@@ -43,7 +43,7 @@ _workload("int", "lineitem", lambda: K.unsigned(F.col("l_orderkey")), "lpad(hex(
 _workload("dups", "lineitem", lambda: K.unsigned(F.col("l_quantity").cast("long")), "lpad(hex(cast(l_quantity as bigint)), 16, '0')", LI)
 _workload("constant", "lineitem", lambda: F.lit("0" * 16), "'0000000000000000'", LI)
 _workload("time", "events", lambda: K.unsigned(F.unix_micros(F.col("ts").cast("timestamp"))), "lpad(hex(epoch_us(ts)), 16, '0')", ["event_id"])
-_workload("cents", "customer", lambda: K.signed(F.round(F.col("c_acctbal") * 100).cast("long")), "hex(xor(cast(round(c_acctbal * 100) as bigint), -9223372036854775808::bigint))", ["c_custkey"])
+_workload("cents", "customer", lambda: K.signed(F.round(F.col("c_acctbal") * 100).cast("long")), "hex(xor(cast(round(c_acctbal * 100) as bigint), cast(-9223372036854775808 as bigint)))", ["c_custkey"])
 _workload("text", "documents", lambda: K.text(F.col("text")), "rpad(substr(hex(encode(text)), 1, 20), 20, '0')", ["doc_id"])
 _workload("url", "pages", lambda: K.text(F.col("url")), "rpad(substr(hex(encode(url)), 1, 20), 20, '0')", ["page_id"])
 
