@@ -36,7 +36,7 @@ OFTEN_HERE, OFTEN = 64, 50_000
 #: Most windows of a segment.
 LONGEST = 250
 #: Units of unequal segments that are indexed at once.
-INDEX_UNITS = 1 << 20
+INDEX_UNITS = 1 << 18
 
 
 @dataclass
@@ -181,91 +181,102 @@ def _cutting(kind: Kind):
                             meet(int.from_bytes(digest[:8], "little", signed=True), digest, (k1[i], k2[i], w), 1)
                     else:
                         meet(int(key[j]), kind.pack(units[low : low + size - 1 + kind.length]), (k1[i], k2[i], low), size, several)
-            rows = [(k, *here, size, several, count, payload) for (k, payload), (here, size, several, count) in seen.items()]
-            rows += [(xxhash.xxh3_64_intdigest(repr(g)) - (1 << 63), *g, 0, 0, None) for g in gone]
-            kinds = (pa.int64(), pa.int64(), pa.int32(), pa.int64(), pa.int32(), pa.int32(), pa.int32(), pa.binary())
-            columns = list(zip(*rows, strict=True)) if rows else [[]] * 8
-            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, kinds, strict=True)], names=["key", "k1", "k2", "low", "size", "several", "copies", "payload"])
+            rows = [(k, *here, size, several, count, xxhash.xxh3_64_intdigest(payload) - (1 << 63), payload) for (k, payload), (here, size, several, count) in seen.items()]
+            rows += [(xxhash.xxh3_64_intdigest(repr(g)) - (1 << 63), *g, 0, 0, 0, None) for g in gone]
+            kinds = (pa.int64(), pa.int64(), pa.int32(), pa.int64(), pa.int32(), pa.int32(), pa.int32(), pa.int64(), pa.binary())
+            columns = list(zip(*rows, strict=True)) if rows else [[]] * 9
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, kinds, strict=True)], names=["key", "k1", "k2", "low", "size", "several", "copies", "digest", "payload"])
 
     return run
 
 
 class _Shard:
-    """Groups of equal key, one after the other; unequal payloads of a group wait for the index."""
+    """Groups of equal key; unequal payloads of a group wait for the index."""
 
     def __init__(self, kind: Kind):
         self.kind = kind
-        self.out: list[tuple] = []
-        self.waiting: list[tuple[bytes, list]] = []
+        self.out: list[tuple[np.ndarray, ...]] = []
+        self.waiting: list[tuple[bytes, tuple]] = []
         self.units = 0
 
-    def span(self, here: tuple, first: int, windows: int) -> None:
-        self.out.append((here[0], here[1], here[2] + first, here[2] + first + windows - 1 + self.kind.length))
-
-    def group(self, rows: list[tuple]) -> None:
-        found: dict[bytes, list] = {}
-        for here, size, several, copies, payload in rows:
-            old = found.setdefault(payload, [size, 0, [], several])
-            old[1] += copies
-            old[2].append(here)
-        for size, copies, places, _ in found.values():
-            if copies > 1:
-                first = min(places)
-                for here in places:
-                    if not self.kind.keep_first or here is not first:
-                        self.span(here, 0, size)
-        if len(found) > 1 or any(several for *_, several in found.values()):  # windows of one segment can be equal
-            for payload, (size, copies, places, _) in found.items():
-                self.waiting.append((payload, [size, copies, min(places)]))
-                self.units += size + self.kind.length
-            if self.units >= INDEX_UNITS:
+    def spans(self, k1, k2, low, windows) -> None:
+        self.out.append((np.asarray(k1, np.int64), np.asarray(k2, np.int32), np.asarray(low, np.int64), np.asarray(low, np.int64) + windows - 1 + self.kind.length))
+
+    def groups(self, rows: pa.Table) -> None:
+        """Whole groups: equal payloads are settled at once, the earliest stands for each in the index."""
+        told = rows.column("payload").is_null().to_numpy()
+        if told.any():
+            some = rows.filter(pa.array(told))
+            self.spans(*(some.column(c).to_numpy() for c in ("k1", "k2", "low", "size")))
+            rows = rows.filter(pa.array(~told))
+        n = rows.num_rows
+        if not n:
+            return
+        key, k1, k2, low, size, several, copies, digest = (rows.column(c).to_numpy() for c in ("key", "k1", "k2", "low", "size", "several", "copies", "digest"))
+        order = np.lexsort((low, k2, k1, digest, key))
+        key, digest = key[order], digest[order]
+        new_key = np.concatenate([[True], key[1:] != key[:-1]])
+        new_payload = new_key | np.concatenate([[True], digest[1:] != digest[:-1]])
+        lead = np.flatnonzero(new_payload)
+        total = np.add.reduceat(copies[order], lead)
+        runs = np.diff(np.append(lead, n))
+        goes = np.repeat(total > 1, runs)
+        if self.kind.keep_first:
+            goes[lead] = False
+        at = order[goes]
+        self.spans(k1[at], k2[at], low[at], size[at])
+        group = np.cumsum(new_key[lead]) - 1
+        unequal = np.bincount(group) > 1
+        unequal[group[several[order[lead]] > 0]] = True  # windows of one segment can be equal
+        payloads = rows.column("payload")
+        chosen = unequal[group]
+        last = -1
+        for i, many, own in zip(order[lead[chosen]].tolist(), (total[chosen] > 1).tolist(), group[chosen].tolist(), strict=True):
+            if own != last and self.units >= INDEX_UNITS:
                 self.flush()
+            last = own
+            self.waiting.append((payloads[i].as_py(), (int(size[i]), many, int(k1[i]), int(k2[i]), int(low[i]))))
+            self.units += int(size[i]) + self.kind.length
 
     def flush(self) -> None:
         if not self.waiting:
             return
-        sizes = np.array([w[1][0] for w in self.waiting])
-        places = [w[1][2] for w in self.waiting]
-        order = np.empty(len(places), np.int64)
-        order[sorted(range(len(places)), key=places.__getitem__)] = np.arange(len(places))
-        starts = np.array([p[2] for p in places])
-        owner = np.unique(np.array([p[0] for p in places]), return_inverse=True)[1]
-        other = np.unique(np.array([p[1] for p in places]), return_inverse=True)[1]
-        doc = np.unique(owner * (other.max() + 1) + other, return_inverse=True)[1]
-        goes = self.kind.solve([w[0] for w in self.waiting], sizes, doc, starts)
-        at = 0
-        for (_, (size, copies, here)), place in zip(self.waiting, places, strict=True):
-            own = goes[at : at + size]
-            at += size
-            if copies > 1 and not self.kind.keep_first:
-                continue
-            edge = np.flatnonzero(np.diff(own.view(np.int8), prepend=0, append=0))
-            for a, b in zip(edge[::2].tolist(), edge[1::2].tolist(), strict=True):
-                self.span(place, a, b - a)
+        sizes, many, k1, k2, low = (np.array(x) for x in zip(*(w[1] for w in self.waiting), strict=True))
+        doc = np.unique(np.rec.fromarrays([k1, k2]), return_inverse=True)[1]
+        goes = self.kind.solve([w[0] for w in self.waiting], sizes, doc, low)
+        if not self.kind.keep_first:
+            goes &= ~np.repeat(many, sizes)  # these are settled
+        owner = np.repeat(np.arange(len(sizes)), sizes)
+        offset = np.arange(len(owner)) - np.repeat(np.cumsum(sizes) - sizes, sizes)
+        on = goes.astype(np.int8)
+        first = np.flatnonzero(goes & ((offset == 0) | np.concatenate([[True], on[:-1] == 0])))
+        last = np.flatnonzero(goes & np.concatenate([(offset[1:] == 0) | (on[1:] == 0), [True]]))
+        self.spans(k1[owner[first]], k2[owner[first]], low[owner[first]] + offset[first], last - first + 1)
         self.waiting, self.units = [], 0
 
     def batch(self) -> pa.RecordBatch:
-        columns = list(zip(*self.out, strict=True)) if self.out else [[]] * 4
+        kinds = (pa.int64(), pa.int32(), pa.int64(), pa.int64())
+        columns = [np.concatenate(c) for c in zip(*self.out, strict=True)] if self.out else [[]] * 4
         self.out = []
-        return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, (pa.int64(), pa.int32(), pa.int64(), pa.int64()), strict=True)], names=["k1", "k2", "first", "past"])
+        return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, kinds, strict=True)], names=["k1", "k2", "first", "past"])
 
 
 def _solving(kind: Kind):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        shard, last, rows = _Shard(kind), None, []
+        shard, rest = _Shard(kind), []
         for batch in batches:
-            names = ("key", "k1", "k2", "low", "size", "several", "copies", "payload")
-            for key, k1, k2, low, size, several, copies, payload in zip(*(column(batch, c).to_pylist() for c in names), strict=True):
-                if payload is None:
-                    shard.span((k1, k2, low), 0, size)
-                    continue
-                if key != last:
-                    shard.group(rows)
-                    last, rows = key, []
-                rows.append(((k1, k2, low), size, several, copies, payload))
-            if shard.out:
-                yield shard.batch()
-        shard.group(rows)
+            if not batch.num_rows:
+                continue
+            key = column(batch, "key").to_numpy()
+            cut = int(np.searchsorted(key, key[-1]))  # the last key may go on
+            if not cut and rest and column(rest[-1], "key")[-1].as_py() == int(key[-1]):
+                rest.append(batch)
+                continue
+            shard.groups(pa.Table.from_batches([*rest, batch.slice(0, cut)]))
+            rest = [batch.slice(cut)]
+            yield shard.batch()
+        if rest:
+            shard.groups(pa.Table.from_batches(rest))
         shard.flush()
         yield shard.batch()
 
@@ -320,9 +331,9 @@ def remove(docs: DataFrame, kind: Kind, carry: list[str] | None = None) -> DataF
     keys = keys.select("*", F.sum(F.abs("n")).over(same).alias("all"), (F.min("n").over(same) < 0).alias("frequent"))
     kept = keys.where("all > 1 or n < 0").select("k1", "k2", F.struct("seg", "key", (F.col("frequent") | (F.col("all") > OFTEN)).alias("often")).alias("s"))
     lists = kept.groupBy("k1", "k2").agg(F.collect_list("s").alias("segs"))  # at most the segments of one text
-    cut = keyed.join(lists, ["k1", "k2"]).mapInArrow(_cutting(kind), "key long, k1 long, k2 int, low long, size int, several int, copies int, payload binary")
+    cut = keyed.join(lists, ["k1", "k2"]).mapInArrow(_cutting(kind), "key long, k1 long, k2 int, low long, size int, several int, copies int, digest long, payload binary")
     spans = cut.repartition("key").sortWithinPartitions("key").mapInArrow(_solving(kind), "k1 long, k2 int, first long, past long")
-    spans = spans.distinct().groupBy("k1", "k2").agg(F.collect_list(F.struct("first", "past")).alias("spans"))
+    spans = spans.groupBy("k1", "k2").agg(F.collect_list(F.struct("first", "past")).alias("spans"))
 
     whole = keyed if not carry else docs.select(*own, text, *[f"`{c}`" for c in carry])
     everything = (~F.col("lead")) if kind.keep_first else (F.col("copies") > 1)

@@ -24,15 +24,15 @@ from .common import mix
 from .repeats import Kind, remove
 
 
-def by_doubling(x: np.ndarray) -> np.ndarray:
-    """Suffix array of any integers."""
+def by_doubling(x: np.ndarray, depth: int | None = None) -> np.ndarray:
+    """Suffix array of any integers, by their first ``depth`` of them if it is given."""
     rank, size = np.unique(x, return_inverse=True)[1].astype(np.int64), 1
     while True:
         after = np.full(len(x), -1, np.int64)
         after[:-size] = rank[size:]
         pairs = rank * (len(x) + 1) + after + 1
         values, rank = np.unique(pairs, return_inverse=True)
-        if len(values) == len(x) or size >= len(x):
+        if len(values) == len(x) or size >= len(x) or (depth and 2 * size >= depth):
             return np.argsort(rank, kind="stable")
         size *= 2
 
@@ -87,8 +87,11 @@ def _induce(x: np.ndarray, smaller: np.ndarray, seeds: np.ndarray) -> np.ndarray
     return np.concatenate([*out, none])
 
 
-def suffix_array(x: np.ndarray) -> np.ndarray:
-    """Suffix array of bytes; a suffix that is a prefix of another comes first."""
+def suffix_array(x: np.ndarray, depth: int | None = None) -> np.ndarray:
+    """Suffix array of bytes; a suffix that is a prefix of another comes first.
+
+    With ``depth``, suffixes with so many first bytes in common may stand in any order.
+    """
     n = len(x)
     if n < 2:
         return np.arange(n)
@@ -113,7 +116,7 @@ def suffix_array(x: np.ndarray) -> np.ndarray:
         names = np.cumsum(np.concatenate([[0], value[place][1:] != value[place][:-1]]))
         reduced = np.empty(len(seeds), np.int64)
         reduced[place] = names
-        seeds = seeds[by_doubling(reduced)] if names[-1] + 1 < len(seeds) else order
+        seeds = seeds[by_doubling(reduced, depth)] if names[-1] + 1 < len(seeds) else order
     return _induce(x, smaller, seeds)
 
 
@@ -146,7 +149,7 @@ def shares_window(x: np.ndarray, order: np.ndarray, length: int) -> np.ndarray:
 def later_windows(payloads: list[bytes], sizes: np.ndarray, docs: np.ndarray, starts: np.ndarray, length: int) -> np.ndarray:
     """For the windows of all payloads in turn, whether an equal window starts earlier."""
     x = np.frombuffer(b"".join(payloads), np.uint8)
-    order = suffix_array(x)
+    order = suffix_array(x, length)
     share = shares_window(x, order, length)
     string = np.empty(len(x), np.int64)
     string[order] = np.cumsum(~share[order])
