@@ -62,29 +62,32 @@ def _induce(x: np.ndarray, smaller: np.ndarray, seeds: np.ndarray) -> np.ndarray
         at = at[at > 0] - 1
         return at[smaller[at] == want]
 
+    def scan(buckets: list[list], c: int, want: bool) -> np.ndarray:
+        """A bucket in scanning order; it may grow by itself, wave by wave, while it is read."""
+        wave = np.concatenate(buckets[c]) if buckets[c] else none
+        waves = [none]
+        while len(wave):
+            waves.append(wave)
+            at = before(wave, want)
+            chars = x[at]
+            own = chars == c
+            _deal(buckets, at[~own], chars[~own])
+            wave = at[own]
+        return np.concatenate(waves)
+
+    larger = []
     for c in range(256):
-        k = 0
-        while k < len(large[c]):  # a bucket may grow by itself while it is read
-            at = before(large[c][k], False)
+        larger.append(scan(large, c, False))
+        if seeded[c]:
+            at = before(np.concatenate(seeded[c]), False)
             _deal(large, at, x[at])
-            k += 1
-        for part in seeded[c]:
-            at = before(part, False)
-            _deal(large, at, x[at])
-    for c in range(255, -1, -1):
-        k = 0
-        while k < len(small[c]):
-            at = before(small[c][k], True)
-            _deal(small, at, x[at])
-            k += 1
-        for part in reversed(large[c]):
-            at = before(part[::-1], True)
-            _deal(small, at, x[at])
     out = []
-    for c in range(256):
-        out += large[c]
-        out += [part[::-1] for part in reversed(small[c])]
-    return np.concatenate([*out, none])
+    for c in range(255, -1, -1):
+        out.append(scan(small, c, True)[::-1])
+        out.append(larger[c])
+        at = before(larger[c][::-1], True)
+        _deal(small, at, x[at])
+    return np.concatenate(out[::-1])
 
 
 def suffix_array(x: np.ndarray, depth: int | None = None) -> np.ndarray:
