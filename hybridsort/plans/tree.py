@@ -128,4 +128,5 @@ def assign(df: DataFrame, key: str, tree: DataFrame, columns: list[str]) -> Data
         out = out.withColumn(f"__q{d}", prefix(F.col(key), d)).join(F.broadcast(at) if small else at, F.col(f"__q{d}") == F.col(f"__p{d}"), "left")
         for c in columns:
             names[c].append(f"__{c}{d}")
-    return out.select(*[f"`{c}`" for c in df.columns], *[F.coalesce(*names[c]).alias(c) for c in columns])
+    found = {c: F.coalesce(*names[c]) if names[c] else F.lit(None).cast(tree.schema[c].dataType) for c in columns}
+    return out.select(*[f"`{c}`" for c in df.columns], *[found[c].alias(c) for c in columns])
