@@ -117,3 +117,14 @@ def gram_hashes(hashes: np.ndarray, width: int) -> np.ndarray:
 
 def column(batch: pa.RecordBatch, name: str) -> pa.Array:
     return batch.column(batch.schema.get_field_index(name))
+
+
+def plain_names(df: DataFrame, known: tuple[str, ...] = ("doc_id", "text", "lang", "n_chars")) -> tuple[DataFrame, dict[str, str]]:
+    """df with neutral names for the columns that no operator knows, and the old name of each."""
+    old = {f"__c{i}": c for i, c in enumerate(df.columns) if c not in known}
+    new = {c: n for n, c in old.items()}
+    return df.select(*[F.col(f"`{c}`").alias(new.get(c, c)) for c in df.columns]), old
+
+
+def old_names(df: DataFrame, old: dict[str, str]) -> DataFrame:
+    return df.select(*[F.col(c).alias(old.get(c, c)) for c in df.columns])

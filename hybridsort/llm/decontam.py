@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import column, text_slices, without
+from .common import column, old_names, plain_names, text_slices, without
 
 #: ASCII letters (made lower-case), digits and all bytes of other characters stay; the rest parts words.
 NORMAL = bytes(b + 32 if 65 <= b <= 90 else b if 48 <= b <= 57 or 97 <= b <= 122 or b >= 128 else 32 for b in range(256))
@@ -243,6 +243,7 @@ def clean(docs: DataFrame, benchmark: DataFrame, window: int = 10, longest_cover
 
     ``n_chars``, if it is a column, follows the text.
     """
+    docs, old = plain_names(docs)
     names = docs.columns
     found = find(docs, benchmark, window)
     hit = F.aggregate("hit_spans", F.lit(0), lambda n, s: n + s["past"] - s["first"])
@@ -257,4 +258,4 @@ def clean(docs: DataFrame, benchmark: DataFrame, window: int = 10, longest_cover
     out = found.mapInArrow(cut, found.schema)
     if "n_chars" in names:
         out = out.withColumn("n_chars", F.when(F.size("hit_spans") > 0, F.char_length("text").cast(docs.schema["n_chars"].dataType)).otherwise(F.col("n_chars")))
-    return out.select(*[f"`{c}`" for c in names])
+    return old_names(out.select(*names), old)

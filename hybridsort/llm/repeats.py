@@ -167,6 +167,8 @@ def _cutting(kind: Kind):
                     seen[key, payload] = [here, size, several, 1]
                     return
                 old[3] += 1
+                if kind.keep_first and here == old[0]:
+                    return  # a repeated row: the same place once more
                 if kind.keep_first and here < old[0]:
                     old[0], here = here, old[0]
                 gone.append((*here, size))
@@ -222,7 +224,8 @@ class _Shard:
         runs = np.diff(np.append(lead, n))
         goes = np.repeat(total > 1, runs)
         if self.kind.keep_first:
-            goes[lead] = False
+            first = order[np.repeat(lead, runs)]
+            goes &= (k1[order] != k1[first]) | (k2[order] != k2[first]) | (low[order] != low[first])
         at = order[goes]
         self.spans(k1[at], k2[at], low[at], size[at])
         group = np.cumsum(new_key[lead]) - 1

@@ -7,14 +7,15 @@ from pyspark.sql import DataFrame, SparkSession
 from hybridsort.ship import ship
 
 from . import decontam, neardup, packing, quality, suffix_tree
-from .common import table
+from .common import old_names, plain_names, table
 
 
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the quality rules and perplexity bands keep."""
     ship(spark)
+    docs, old = plain_names(docs)
     judged = quality.judge(docs, keep=docs.columns)
-    return judged.where("kept").select(*[f"`{c}`" for c in docs.columns])
+    return old_names(judged.where("kept").select(*docs.columns), old)
 
 
 def minhash_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -17,7 +17,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import split_words, word_hashes
+from .common import old_names, plain_names, split_words, word_hashes
 from .repeats import Kind, remove
 
 
@@ -66,10 +66,11 @@ def dedup(docs: DataFrame, length: int = 35, gram: int = 8, carry: list[str] | N
 
 def clean(docs: DataFrame, length: int = 35) -> DataFrame:
     """docs with repeated windows taken out of the texts; texts that lose nothing stay as they are, and n_chars follows."""
+    docs, old = plain_names(docs)
     others = [c for c in docs.columns if c not in ("doc_id", "text")]
     out = dedup(docs, length, carry=others)
     changed = F.col("n_removed") > 0
     out = out.withColumn("text", F.when(changed, F.col("kept_bytes").cast("string")).otherwise(F.col("text")))
     if "n_chars" in others:
         out = out.withColumn("n_chars", F.when(changed, F.char_length("text").cast(docs.schema["n_chars"].dataType)).otherwise(F.col("n_chars")))
-    return out.select(*[F.col(c).cast(docs.schema[c].dataType).alias(c) for c in docs.columns])
+    return old_names(out.select(*[F.col(c).cast(docs.schema[c].dataType).alias(c) for c in docs.columns]), old)
