@@ -111,7 +111,7 @@ query("fn_string_split_regex", "pages", "select page_id, split_part(url, '/', 3)
 query("fn_hash_key", "lineitem", "select l_orderkey, l_linenumber, md5(cast(l_partkey as varchar)) as m, sha256(cast(l_suppkey as varchar)) as s from lineitem")(lambda li: li.select("l_orderkey", "l_linenumber", F.md5(F.col("l_partkey").cast("string")).alias("m"), F.sha2(F.col("l_suppkey").cast("string"), 256).alias("s")))
 query("fn_date_key", "orders", "select o_orderkey, epoch_us(o_orderdate) as us, year(o_orderdate) as y, month(o_orderdate) as m from orders")(lambda o: o.select("o_orderkey", F.unix_micros(F.col("o_orderdate").cast("timestamp")).alias("us"), F.year("o_orderdate").cast("long").alias("y"), F.month("o_orderdate").cast("long").alias("m")))
 query("fn_math_digit", "events", "select event_id, event_id >> 4 as a, event_id & 15 as b, xor(event_id, 255) as c, cast(bit_count(event_id) as int) as d from events")(lambda e: e.select("event_id", F.shiftright("event_id", 4).alias("a"), F.col("event_id").bitwiseAND(15).alias("b"), F.col("event_id").bitwiseXOR(F.lit(255)).alias("c"), F.bit_count("event_id").alias("d")))
-query("fn_array_digits", "embeddings", "select vec_id, len(list_filter(embedding, x -> x > 0)) as positive, embedding[1] as first from embeddings")(lambda v: v.select("vec_id", F.size(F.filter("embedding", lambda x: x > 0)).cast("long").alias("positive"), F.element_at("embedding", 1).alias("first")))
+query("fn_array_digits", "embeddings", "select vec_id, len(list_filter(embedding, lambda x: x > 0)) as positive, embedding[1] as first from embeddings")(lambda v: v.select("vec_id", F.size(F.filter("embedding", lambda x: x > 0)).cast("long").alias("positive"), F.element_at("embedding", 1).alias("first")))
 query("fn_map_histogram", "events", "select user_id, string_agg(event_type || ':' || n, ',' order by event_type) as h from (select user_id, event_type, count(*) as n from events group by all) group by user_id")(lambda e: e.groupBy("user_id", "event_type").count().groupBy("user_id").agg(F.map_from_entries(F.collect_list(F.struct("event_type", "count"))).alias("m")).select("user_id", F.array_join(F.transform(F.array_sort(F.map_keys("m")), lambda k: F.concat(k, F.lit(":"), F.col("m")[k].cast("string"))), ",").alias("h")))
 query("fn_json_key", "events", "select event_id, cast(json_extract(props, '$.k') as bigint) as k from events")(lambda e: e.select("event_id", F.get_json_object("props", "$.k").cast("long").alias("k")))
 query("fn_decimal_key", "customer", "select c_custkey, cast(c_acctbal as decimal(12, 2)) as d from customer")(lambda c: c.select("c_custkey", F.col("c_acctbal").cast("decimal(12,2)").alias("d")))
