@@ -82,6 +82,16 @@ def text_slices(texts: pa.Array, gap: bytes = b"\n", limit: int = CHUNK_BYTES) -
         at = to
 
 
+def light_batches(batches: Iterator[pa.RecordBatch], name: str = "text", limit: int = 8 << 20) -> Iterator[pa.RecordBatch]:
+    """The same rows in batches of about ``limit`` bytes of text, so that what is made of a batch stays small."""
+    for batch in batches:
+        sizes = pc.fill_null(pc.binary_length(column(batch, name)), 0).to_numpy(zero_copy_only=False).astype(np.int64)
+        parts = np.cumsum(sizes) // limit
+        edges = [0, *(np.flatnonzero(np.diff(parts)) + 1).tolist(), batch.num_rows]
+        for a, b in zip(edges[:-1], edges[1:], strict=True):
+            yield batch.slice(a, b - a)
+
+
 def split_words(buffer: bytes, starts: np.ndarray) -> tuple[list[bytes], np.ndarray, np.ndarray]:
     """Words between white space, the byte where each begins, and the first word of each row (one more at the end)."""
     space = SPACE[np.frombuffer(buffer, np.uint8)]

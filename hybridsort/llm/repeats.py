@@ -28,7 +28,7 @@ import xxhash
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import column, mix, staged, text_slices
+from .common import column, light_batches, mix, staged, text_slices
 
 NO_ID = -(1 << 63)
 #: Occurrences in one batch from which a key is frequent, and in all.
@@ -152,7 +152,7 @@ def _keys(kind: Kind):
 
 def _cutting(kind: Kind):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in light_batches(batches):
             k1, k2 = column(batch, "k1").to_pylist(), column(batch, "k2").to_pylist()
             lists = column(batch, "segs")
             inner = lists.flatten()
@@ -288,7 +288,7 @@ def _solving(kind: Kind):
 
 def _applying(kind: Kind):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in light_batches(batches):
             n, removed, runs, kept = [], [], [], []
             for text, spans, all_ in zip(column(batch, "text"), column(batch, "spans").to_pylist(), column(batch, "all").to_pylist(), strict=True):
                 units = kind.pieces(text.as_py().encode())
