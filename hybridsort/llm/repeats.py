@@ -183,11 +183,11 @@ def _cutting(kind: Kind):
                             meet(int.from_bytes(digest[:8], "little", signed=True), digest, (k1[i], k2[i], w), 1)
                     else:
                         meet(int(key[j]), kind.pack(units[low : low + size - 1 + kind.length]), (k1[i], k2[i], low), size, several)
-            rows = [(k, *here, size, several, count, xxhash.xxh3_64_intdigest(payload) - (1 << 63), payload) for (k, payload), (here, size, several, count) in seen.items()]
-            rows += [(xxhash.xxh3_64_intdigest(repr(g)) - (1 << 63), *g, 0, 0, 0, None) for g in gone]
-            kinds = (pa.int64(), pa.int64(), pa.int32(), pa.int64(), pa.int32(), pa.int32(), pa.int32(), pa.int64(), pa.binary())
-            columns = list(zip(*rows, strict=True)) if rows else [[]] * 9
-            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, kinds, strict=True)], names=["key", "k1", "k2", "low", "size", "several", "copies", "digest", "payload"])
+            rows = [(k, *here, size, several, count, payload) for (k, payload), (here, size, several, count) in seen.items()]
+            rows += [(xxhash.xxh3_64_intdigest(repr(g)) - (1 << 63), *g, 0, 0, None) for g in gone]
+            kinds = (pa.int64(), pa.int64(), pa.int32(), pa.int64(), pa.int32(), pa.int32(), pa.int32(), pa.binary())
+            columns = list(zip(*rows, strict=True)) if rows else [[]] * 8
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, kinds, strict=True)], names=["key", "k1", "k2", "low", "size", "several", "copies", "payload"])
 
     return run
 
@@ -214,7 +214,8 @@ class _Shard:
         n = rows.num_rows
         if not n:
             return
-        key, k1, k2, low, size, several, copies, digest = (rows.column(c).to_numpy() for c in ("key", "k1", "k2", "low", "size", "several", "copies", "digest"))
+        key, k1, k2, low, size, several, copies = (rows.column(c).to_numpy() for c in ("key", "k1", "k2", "low", "size", "several", "copies"))
+        digest = np.fromiter(map(xxhash.xxh3_64_intdigest, rows.column("payload").to_pylist()), np.uint64, n)
         order = np.lexsort((low, k2, k1, digest, key))
         key, digest = key[order], digest[order]
         new_key = np.concatenate([[True], key[1:] != key[:-1]])
@@ -334,7 +335,7 @@ def remove(docs: DataFrame, kind: Kind, carry: list[str] | None = None) -> DataF
     keys = keys.select("*", F.sum(F.abs("n")).over(same).alias("all"), (F.min("n").over(same) < 0).alias("frequent"))
     kept = keys.where("all > 1 or n < 0").select("k1", "k2", F.struct("seg", "key", (F.col("frequent") | (F.col("all") > OFTEN)).alias("often")).alias("s"))
     lists = kept.groupBy("k1", "k2").agg(F.collect_list("s").alias("segs"))  # at most the segments of one text
-    cut = keyed.join(lists, ["k1", "k2"]).mapInArrow(_cutting(kind), "key long, k1 long, k2 int, low long, size int, several int, copies int, digest long, payload binary")
+    cut = keyed.join(lists, ["k1", "k2"]).mapInArrow(_cutting(kind), "key long, k1 long, k2 int, low long, size int, several int, copies int, payload binary")
     spans = cut.repartition("key").sortWithinPartitions("key").mapInArrow(_solving(kind), "k1 long, k2 int, first long, past long")
     spans = spans.groupBy("k1", "k2").agg(F.collect_list(F.struct("first", "past")).alias("spans"))
 
