@@ -9,11 +9,13 @@ their probabilities, and of contexts with their back-off weights.
 
 Each text then gets its bits per character under its language's model. The band of a language is
 its quartiles widened by a multiple of their distance; texts outside it, to either side, are
-rejected, as are those that fail the base rules.
+rejected, as are those that fail the base rules. Quartiles are over distinct texts, so that copies of
+a text, however many, move no band, and their distance counts as LEAST_SPREAD bits at least, so that
+a language of few or very like texts keeps a band.
 
 Defined results: null text has no words and fails the base rules; a null language is a language of
-its own; an empty table gives no rows; repeated rows are judged each and counted each; a text
-without any character scores 0 bits.
+its own; an empty table gives no rows; repeated rows are judged each and counted each in the model,
+but once in the band; a text without any character scores 0 bits.
 """
 
 from __future__ import annotations
@@ -22,6 +24,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -30,6 +33,8 @@ from .common import column, gram_hashes, split_words, staged, text_slices, witho
 ORDER, BITS = 4, 6
 GAP = b"\n" * (ORDER - 1)
 SYMBOLS = np.frombuffer(b"#*$%&|<>", np.uint8)
+#: Bits a character that the quartiles of a language count as apart at least.
+LEAST_SPREAD = 0.02
 MEASURES = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "bits_per_char")
 
 
@@ -181,6 +186,7 @@ def _measuring(shared, keep: list[str]):
         for batch in batches:
             langs = column(batch, "lang").to_pylist()
             out: dict[str, list[np.ndarray]] = {k: [] for k in MEASURES}
+            digests = []
             for first_row, rows, buffer, starts in text_slices(column(batch, "text"), GAP):
                 words, at, first = split_words(buffer, starts)
                 data = np.frombuffer(buffer, np.uint8)
@@ -192,6 +198,7 @@ def _measuring(shared, keep: list[str]):
                 out["n_repeat_words"].append(repeated_trigram_words(word_hashes(words), first))
                 dup = []
                 for a, b in zip(starts[:-1].tolist(), (starts[1:] - len(GAP)).tolist(), strict=True):
+                    digests.append(xxhash.xxh3_128_digest(buffer[a:b]))
                     lines = [x for x in buffer[a:b].split(b"\n") if x.strip()]
                     dup.append(len(lines) - len(set(lines)))
                 out["n_dup_lines"].append(np.array(dup, np.int64))
@@ -208,7 +215,7 @@ def _measuring(shared, keep: list[str]):
                 out["bits_per_char"].append(np.add.reduceat(bits, starts[:-1], dtype=np.float64) / np.maximum(1, size - len(GAP)))
             group = pa.array([x or "" for x in langs], pa.string())
             arrays = [pa.array(np.concatenate(v) if v else np.zeros(0)).cast(pa.float64() if k == "bits_per_char" else pa.int64()) for k, v in out.items()]
-            yield pa.RecordBatch.from_arrays([*[column(batch, c) for c in keep], group, *arrays], names=[*keep, "lang_group", *out])
+            yield pa.RecordBatch.from_arrays([*[column(batch, c) for c in keep], group, pa.array(digests, pa.binary()), *arrays], names=[*keep, "lang_group", "text_digest", *out])
 
     return run
 
@@ -230,16 +237,17 @@ def judge(docs: DataFrame, spread: float = 3.0, keep: list[str] | None = None) -
     repeated three-word windows.
     """
     keep = keep or ["doc_id"]
-    docs = without(docs, *MEASURES, "lang_group", "base_failed", "kept")
+    docs = without(docs, *MEASURES, "lang_group", "text_digest", "base_failed", "kept")
     shared = docs.sparkSession.sparkContext.broadcast(train(docs))
     kinds = "".join(f"`{k}` {docs.schema[k].dataType.simpleString()}, " for k in keep)
-    schema = f"{kinds}lang_group string, {', '.join(f'{m} long' for m in MEASURES[:-1])}, bits_per_char double"
+    schema = f"{kinds}lang_group string, text_digest binary, {', '.join(f'{m} long' for m in MEASURES[:-1])}, bits_per_char double"
     measured = staged(docs.select(*dict.fromkeys([*keep, "text", "lang"])).mapInArrow(_measuring(shared, keep), schema), "measured")
     measured = measured.withColumn("base_failed", (F.col("n_words") < 50) | (100 * F.col("n_repeat_words") > 50 * F.col("n_words")))
     quarters = F.percentile_approx("bits_per_char", [0.25, 0.75], 10_000)
-    bands = measured.where("not base_failed").groupBy("lang_group").agg(quarters.alias("q"))
-    width = F.col("q")[1] - F.col("q")[0]
+    texts = measured.where("not base_failed").groupBy("lang_group", "text_digest").agg(F.min("bits_per_char").alias("bits_per_char"))
+    bands = texts.groupBy("lang_group").agg(quarters.alias("q"))
+    width = F.greatest(F.col("q")[1] - F.col("q")[0], F.lit(LEAST_SPREAD))
     bands = bands.select("lang_group", (F.col("q")[0] - spread * width).alias("low"), (F.col("q")[1] + spread * width).alias("high"))
     judged = measured.join(F.broadcast(bands), "lang_group", "left")  # a row a language
     inside = F.coalesce(F.col("bits_per_char").between(F.col("low"), F.col("high")), F.lit(True))
-    return judged.withColumn("kept", ~F.col("base_failed") & inside).drop("lang_group", "low", "high")
+    return judged.withColumn("kept", ~F.col("base_failed") & inside).drop("lang_group", "text_digest", "low", "high")

@@ -297,6 +297,17 @@ def test_perplexity_rejects_noise(spark):
     assert not got[100] and sum(got[i] for i in range(60)) >= 57
 
 
+def test_copies_do_not_narrow_the_band(spark):
+    rng = random.Random(9)
+    rows = [(i, words(120, rng), "fr") for i in range(40)]
+    rows += [(100 + i, rows[0][1], "fr") for i in range(200)]
+    same = words(80, rng)
+    rows += [(400, same, "de"), (401, same, "de"), (402, same + " " + same.split()[0], "de")]
+    got = {r["doc_id"]: r["kept"] for r in quality.judge(spark.createDataFrame(rows, "doc_id long, text string, lang string")).collect()}
+    assert sum(got[i] for i in range(40)) >= 38 and got[100] == got[0]
+    assert got[400] and got[401] and got[402]
+
+
 def within_one(a, b):
     if abs(len(a) - len(b)) > 1:
         return False
