@@ -13,6 +13,13 @@ rejected, as are those that fail the base rules. Quartiles are over distinct tex
 a text, however many, move no band, and their distance counts as LEAST_SPREAD bits at least, so that
 a language of few or very like texts keeps a band.
 
+Word order is scored apart, as bits per word under word n-grams up to three, whose number grows with the
+input. Rows are dealt into parts. A part counts its n-grams, the counts meet in shards of hashes, where
+sorted arrays give each part what the others hold of its n-grams, and these come back to the part's
+texts. Each order leans on the next shorter one by a fixed weight, and a text's own n-grams are taken
+off all counts, as it would foretell itself. Only the upper edge of the band rejects here: text that
+others repeat is left to deduplication.
+
 Defined results: null text has no words and fails the base rules; a null language is a language of
 its own; an empty table gives no rows; repeated rows are judged each and counted each in the model,
 but once in the band; a text without any character scores 0 bits.
@@ -28,14 +35,19 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import column, gram_hashes, split_words, staged, text_slices, without, word_hashes
+from .common import column, gram_hashes, mix, split_words, staged, text_slices, without, word_hashes
 
 ORDER, BITS = 4, 6
 GAP = b"\n" * (ORDER - 1)
 SYMBOLS = np.frombuffer(b"#*$%&|<>", np.uint8)
 #: Bits a character that the quartiles of a language count as apart at least.
 LEAST_SPREAD = 0.02
+#: Longest word n-gram, the weight of what lies below each order, and bits of a word that no other text has.
+WORDS, WEIGHTS, NEW_BITS = 3, (1000.0, 10.0, 10.0), 20
+#: Least distance of the quartiles, bits a word, and parts for each shuffle partition.
+LEAST_WORD_SPREAD, PARTS = 0.2, 4
 MEASURES = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "bits_per_char")
+ADDED = (*MEASURES, "bits_per_word", "lang_group", "text_digest", "text_part", "base_failed", "kept")
 
 
 def _classes() -> np.ndarray:
@@ -180,9 +192,98 @@ def repeated_trigram_words(hashes: np.ndarray, first: np.ndarray) -> np.ndarray:
     return np.bincount(row[covered], minlength=n)
 
 
-def _measuring(shared, keep: list[str]):
+class WordGrams:
+    """The word n-grams of a part's rows: for each order the words where one ends, and its hash; order 0 stands for all words of a language."""
+
+    def __init__(self, batches: list[pa.RecordBatch]):
+        self.rows, hashes, row, place, salt = 0, [np.zeros(0, np.uint64)], [np.zeros(0, np.int64)], [np.zeros(0, np.int64)], [np.zeros(0, np.uint64)]
+        for batch in batches:
+            salt.append(np.array([xxhash.xxh3_64_intdigest((x or "").encode()) for x in column(batch, "lang").to_pylist()], np.uint64))
+            for first_row, rows, buffer, starts in text_slices(column(batch, "text"), GAP):
+                words, _, first = split_words(buffer.lower(), starts)
+                n = np.diff(first)
+                hashes.append(word_hashes(words))
+                row.append(self.rows + first_row + np.repeat(np.arange(rows), n))
+                place.append(np.arange(len(words)) - np.repeat(first[:-1], n))
+            self.rows += batch.num_rows
+        words, self.row, self.place, salt = (np.concatenate(x) for x in (hashes, row, place, salt))
+        self.orders = []
+        for k in range(WORDS + 1):
+            at = np.flatnonzero(self.place >= k - 1)
+            grams = gram_hashes(words, k)[at - (k - 1)] if k else np.zeros(len(at), np.uint64)
+            self.orders.append((at, mix(grams ^ (salt[self.row[at]] + np.uint64(k))).view(np.int64)))
+
+    def counts(self) -> tuple[np.ndarray, np.ndarray]:
+        return np.unique(np.concatenate([g for _, g in self.orders]), return_counts=True)
+
+    def others(self, k: int, grams: np.ndarray, n: np.ndarray) -> np.ndarray:
+        """For each word, how often other texts hold the n-gram that ends there; ``n`` of the sorted ``grams`` lie in other parts."""
+        at, key = self.orders[k]
+        out = np.zeros(len(self.row), np.float64)
+        if not len(at):
+            return out
+        order = np.argsort(key, kind="stable")
+        key, row = key[order], self.row[at][order]
+        fresh = np.append(True, key[1:] != key[:-1])
+        fresh_row = fresh | np.append(True, row[1:] != row[:-1])
+        first = np.flatnonzero(fresh)
+        total = np.diff(np.append(first, len(key)))
+        if len(grams):
+            found = np.minimum(np.searchsorted(grams, key[first]), len(grams) - 1)
+            total = total + np.where(grams[found] == key[first], n[found], 0)
+        own = np.diff(np.append(np.flatnonzero(fresh_row), len(key)))
+        out[at[order]] = total[np.cumsum(fresh) - 1] - own[np.cumsum(fresh_row) - 1]
+        return out
+
+    def bits_per_word(self, grams: np.ndarray, n: np.ndarray) -> np.ndarray:
+        """For each row, without what the row itself adds to the counts."""
+        p, context = np.full(len(self.row), 2.0**-NEW_BITS), self.others(0, grams, n)
+        for k, weight in enumerate(WEIGHTS, 1):
+            found = self.others(k, grams, n)
+            p = np.where(self.place >= k - 1, (found + weight * p) / (context + weight), p)
+            context = np.append(0.0, found[:-1])
+        return np.bincount(self.row, -np.log2(p), self.rows) / np.maximum(1, np.bincount(self.row, minlength=self.rows))
+
+
+def _part_counts(rows: pa.Table) -> pa.Table:
+    grams, n = WordGrams(rows.to_batches()).counts()
+    return pa.table({"text_part": pa.array([rows["text_part"][0].as_py()] * len(grams), pa.int64()), "gram": grams, "n": n.astype(np.int64)})
+
+
+def _elsewhere(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """For each n-gram of a shard and each part that has it, its count in the other parts if there are any."""
+    found = [[column(b, c).to_numpy() for c in ("text_part", "gram", "n")] for b in batches]
+    if not found:
+        return
+    part, gram, n = (np.concatenate(x) for x in zip(*found, strict=True))
+    found = None
+    order = np.argsort(gram, kind="stable")
+    part, gram, n = part[order], gram[order], n[order]
+    first = np.flatnonzero(np.append(True, gram[1:] != gram[:-1])[: len(gram)])
+    rest = np.repeat(np.add.reduceat(n, first), np.diff(np.append(first, len(gram)))) - n if len(first) else n
+    at = np.flatnonzero(rest)
+    for a in range(0, len(at), 100_000):
+        x = at[a : a + 100_000]
+        yield pa.RecordBatch.from_arrays([pa.array(part[x]), pa.array(gram[x]), pa.array(rest[x])], names=["text_part", "gram", "n"])
+
+
+def _measuring_parts(shared, keep: list[str]):
+    lookups: dict[str, _Lookup] = {}
+
+    def run(rows: pa.Table, elsewhere: pa.Table) -> pa.Table:
+        batches = rows.to_batches()
+        grams, n = elsewhere["gram"].to_numpy(), elsewhere["n"].to_numpy()
+        order = np.argsort(grams)
+        bits = WordGrams(batches).bits_per_word(grams[order], n[order])
+        lookups.update({lang: _Lookup(model) for lang, model in shared.value.items() if lang not in lookups})
+        out = pa.Table.from_batches(_measuring(lookups, keep)(batches))
+        return out.append_column("bits_per_word", pa.array(bits))
+
+    return run
+
+
+def _measuring(lookups: dict[str, _Lookup], keep: list[str]):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        lookups = {lang: _Lookup(model) for lang, model in shared.value.items()}
         for batch in batches:
             langs = column(batch, "lang").to_pylist()
             out: dict[str, list[np.ndarray]] = {k: [] for k in MEASURES}
@@ -231,23 +332,32 @@ def train(docs: DataFrame) -> dict[str, KneserNey]:
 
 
 def judge(docs: DataFrame, spread: float = 3.0, keep: list[str] | None = None) -> DataFrame:
-    """Per row: the columns ``keep``, n_words, the base measures, bits_per_char, base_failed and kept.
+    """Per row: the columns ``keep``, n_words, the base measures, bits_per_char, bits_per_word, base_failed and kept.
 
     The base rules fail texts of under 50 words and those where more than half of the words stand in
     repeated three-word windows.
     """
     keep = keep or ["doc_id"]
-    docs = without(docs, *MEASURES, "lang_group", "text_digest", "base_failed", "kept")
-    shared = docs.sparkSession.sparkContext.broadcast(train(docs))
+    docs = without(docs, *ADDED)
+    spark = docs.sparkSession
+    shared = spark.sparkContext.broadcast(train(docs))
     kinds = "".join(f"`{k}` {docs.schema[k].dataType.simpleString()}, " for k in keep)
-    schema = f"{kinds}lang_group string, text_digest binary, {', '.join(f'{m} long' for m in MEASURES[:-1])}, bits_per_char double"
-    measured = staged(docs.select(*dict.fromkeys([*keep, "text", "lang"])).mapInArrow(_measuring(shared, keep), schema), "measured")
+    schema = f"{kinds}lang_group string, text_digest binary, {', '.join(f'{m} long' for m in MEASURES[:-1])}, bits_per_char double, bits_per_word double"
+    parts = PARTS * int(spark.conf.get("spark.sql.shuffle.partitions"))
+    key = F.xxhash64(*[c for c in docs.columns if c in ("doc_id", "text", "lang")])
+    # the same columns for counts and scores, so that texts are exchanged once
+    dealt = docs.select(*dict.fromkeys([*keep, "text", "lang"])).withColumn("text_part", F.pmod(key, F.lit(parts)).cast("long"))
+    counts = dealt.groupBy("text_part").applyInArrow(_part_counts, "text_part long, gram long, n long")
+    elsewhere = counts.repartition("gram").mapInArrow(_elsewhere, "text_part long, gram long, n long")
+    measured = dealt.groupBy("text_part").cogroup(elsewhere.groupBy("text_part")).applyInArrow(_measuring_parts(shared, keep), schema)
+    measured = staged(measured, "measured")
     measured = measured.withColumn("base_failed", (F.col("n_words") < 50) | (100 * F.col("n_repeat_words") > 50 * F.col("n_words")))
-    quarters = F.percentile_approx("bits_per_char", [0.25, 0.75], 10_000)
-    texts = measured.where("not base_failed").groupBy("lang_group", "text_digest").agg(F.min("bits_per_char").alias("bits_per_char"))
-    bands = texts.groupBy("lang_group").agg(quarters.alias("q"))
+    scores = ("bits_per_char", "bits_per_word")
+    texts = measured.where("not base_failed").groupBy("lang_group", "text_digest").agg(*[F.min(c).alias(c) for c in scores])
+    bands = texts.groupBy("lang_group").agg(*[F.percentile_approx(c, [0.25, 0.75], 10_000).alias(q) for c, q in zip(scores, ("q", "w"), strict=True)])
     width = F.greatest(F.col("q")[1] - F.col("q")[0], F.lit(LEAST_SPREAD))
-    bands = bands.select("lang_group", (F.col("q")[0] - spread * width).alias("low"), (F.col("q")[1] + spread * width).alias("high"))
+    above = F.col("w")[1] + spread * F.greatest(F.col("w")[1] - F.col("w")[0], F.lit(LEAST_WORD_SPREAD))
+    bands = bands.select("lang_group", (F.col("q")[0] - spread * width).alias("low"), (F.col("q")[1] + spread * width).alias("high"), above.alias("above"))
     judged = measured.join(F.broadcast(bands), "lang_group", "left")  # a row a language
-    inside = F.coalesce(F.col("bits_per_char").between(F.col("low"), F.col("high")), F.lit(True))
-    return judged.withColumn("kept", ~F.col("base_failed") & inside).drop("lang_group", "text_digest", "low", "high")
+    inside = F.coalesce(F.col("bits_per_char").between(F.col("low"), F.col("high")) & (F.col("bits_per_word") <= F.col("above")), F.lit(True))
+    return judged.withColumn("kept", ~F.col("base_failed") & inside).drop("lang_group", "text_digest", "low", "high", "above")

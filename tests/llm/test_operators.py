@@ -1,8 +1,10 @@
 """Each operator against a brute-force version on a small table with nulls, empty and repeated rows."""
 
+import math
 import random
 import re
 import zlib
+from collections import Counter
 
 import numpy as np
 import pytest
@@ -308,6 +310,39 @@ def test_copies_do_not_narrow_the_band(spark):
     assert got[400] and got[401] and got[402]
 
 
+def test_word_order_is_judged(spark):
+    rng = random.Random(10)
+    lines = [words(8, rng) for _ in range(40)]
+    rows = [(i, " ".join(rng.sample(lines, 20)), "en") for i in range(60)]
+    mixed = rows[0][1].split()
+    rng.shuffle(mixed)
+    rows.append((100, " ".join(mixed), "en"))
+    got = {r["doc_id"]: r for r in quality.judge(spark.createDataFrame(rows, "doc_id long, text string, lang string")).collect()}
+    assert not got[100]["kept"] and sum(got[i]["kept"] for i in range(60)) >= 57
+    assert got[100]["bits_per_word"] == pytest.approx(brute_bits_per_word(rows)[100])
+    assert got[7]["bits_per_word"] == pytest.approx(brute_bits_per_word(rows)[7])
+
+
+def brute_bits_per_word(rows):
+    own = {i: t.lower().split() for i, t, _ in rows}
+    grams = {i: [tuple(w[a : a + k]) for k in range(1, 4) for a in range(len(w) - k + 1)] for i, w in own.items()}
+    every = Counter(g for x in grams.values() for g in x)
+    size = sum(map(len, own.values()))
+    out = {}
+    for i, w in own.items():
+        left = every - Counter(grams[i])
+        bits = 0.0
+        for a in range(len(w)):
+            p = 2.0**-20
+            for k, weight in zip((1, 2, 3), (1000, 10, 10)):
+                if a >= k - 1:
+                    context = left[tuple(w[a - k + 1 : a])] if k > 1 else size - len(w)
+                    p = (left[tuple(w[a - k + 1 : a + 1])] + weight * p) / (context + weight)
+            bits -= math.log2(p)
+        out[i] = bits / max(1, len(w))
+    return out
+
+
 def within_one(a, b):
     if abs(len(a) - len(b)) > 1:
         return False
