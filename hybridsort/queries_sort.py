@@ -158,6 +158,13 @@ def _null_key(spark, sf_dir):
     return msd.adaptive_sort(df, "k", ["doc_id"], 9, **limits(df)).select("position", "doc_id")
 
 
+@query("msd_sort_nulls_last", "select row_number() over (order by quality nulls last, doc_id) as position, doc_id from documents left join labels using (doc_id)")
+def _null_last_key(spark, sf_dir):
+    docs = table(spark, sf_dir, "documents").select("doc_id").join(table(spark, sf_dir, "labels"), "doc_id", "left")
+    df = docs.select(F.rpad(K.nulls(K.signed(F.col("quality")), F.col("quality"), first=False), 18, "0").alias("k"), "doc_id")
+    return msd.adaptive_sort(df, "k", ["doc_id"], 9, **limits(df)).select("position", "doc_id")
+
+
 for _w in ("uniform", "ascii", "skewed", "cents", "text"):
 
     @query(f"key_normalize_{_w}", pairs_sql(_w))

@@ -151,3 +151,14 @@ def test_fixed_records(spark, tmp_path):
     for request in (100, 1000, 262144):
         back = spark.read.format("fixed_records").option("path", path).option("request_bytes", request).option("split_bytes", 5000).load()
         assert sorted((bytes(r["key"]), bytes(r["value"])) for r in back.collect()) == want
+
+
+def test_nulls_last_positions_of_all_rows(spark, tmp_path):
+    from hybridsort import queries_sort
+
+    spark.range(300).withColumnRenamed("id", "doc_id").write.parquet(f"{tmp_path}/documents.parquet")
+    labels = {i: (i // 3) % 2 for i in range(0, 300, 3)}
+    spark.createDataFrame(list(labels.items()), "doc_id long, quality int").write.parquet(f"{tmp_path}/labels.parquet")
+    rows = queries_sort.QUERIES["msd_sort_nulls_last"](spark, str(tmp_path)).collect()
+    assert [r["doc_id"] for r in sorted(rows)] == sorted(range(300), key=lambda i: (i not in labels, labels.get(i, 0), i))
+    assert sorted(r["position"] for r in rows) == list(range(1, 301))
