@@ -125,6 +125,17 @@ def gram_hashes(hashes: np.ndarray, width: int) -> np.ndarray:
     return mix(out)
 
 
+def packed(values: np.ndarray) -> bytes:
+    """64-bit integers, compressed: all lowest bytes, then all second ones, and so on."""
+    return pa.Codec("zstd", compression_level=3).compress(np.ascontiguousarray(values.view(np.uint8).reshape(-1, 8).T).tobytes(), asbytes=True) + len(values).to_bytes(8, "little")
+
+
+def unpacked(value: bytes) -> np.ndarray:
+    n = int.from_bytes(value[-8:], "little")
+    raw = pa.Codec("zstd").decompress(value[:-8], 8 * n, asbytes=True)
+    return np.ascontiguousarray(np.frombuffer(raw, np.uint8).reshape(8, n).T).reshape(-1).view(np.int64)
+
+
 def column(batch: pa.RecordBatch, name: str) -> pa.Array:
     return batch.column(batch.schema.get_field_index(name))
 

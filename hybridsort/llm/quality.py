@@ -13,12 +13,15 @@ rejected, as are those that fail the base rules. Quartiles are over distinct tex
 a text, however many, move no band, and their distance counts as LEAST_SPREAD bits at least, so that
 a language of few or very like texts keeps a band.
 
-Word order is scored apart, as bits per word under word n-grams up to three, whose number grows with the
-input. Rows are dealt into parts. A part counts its n-grams, the counts meet in shards of hashes, where
-sorted arrays give each part what the others hold of its n-grams, and these come back to the part's
-texts. Each order leans on the next shorter one by a fixed weight, and a text's own n-grams are taken
-off all counts, as it would foretell itself. Only the upper edge of the band rejects here: text that
-others repeat is left to deduplication.
+Above that stands a model of pairs of word pieces, whose number grows with the input: a word and the blank
+before it are cut into pieces of four bytes, and a piece is foretold by the one before it, across words
+too. Its modified Kneser-Ney estimate leans on the character model for a piece's own probability. No task
+holds this model. Rows are gathered into parts of a few megabytes, which are exchanged compressed; a part
+counts its pairs and sends them, as sorted arrays of differences, to shards by the hash of the first
+piece. A shard adds the counts up and answers each part, in the order of its pairs, with totals and with
+what follows each first piece. A text's own pairs are taken off all these numbers exactly, as it
+would foretell itself. Only the upper edge of the band rejects here: text that others repeat is left to
+deduplication.
 
 Defined results: null text has no words and fails the base rules; a null language is a language of
 its own; an empty table gives no rows; repeated rows are judged each and counted each in the model,
@@ -31,23 +34,22 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-import xxhash
-from pyspark.sql import DataFrame
+import pyarrow.compute as pc
+from pyspark import TaskContext
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import column, gram_hashes, mix, split_words, staged, text_slices, without, word_hashes
+from .common import SPACE, column, gram_hashes, light_batches, mix, packed, split_words, staged, text_slices, unpacked, without, word_hashes
 
 ORDER, BITS = 4, 6
 GAP = b"\n" * (ORDER - 1)
 SYMBOLS = np.frombuffer(b"#*$%&|<>", np.uint8)
 #: Bits a character that the quartiles of a language count as apart at least.
 LEAST_SPREAD = 0.02
-#: Longest word n-gram, the weight of what lies below each order, and bits of a word that no other text has.
-WORDS, WEIGHTS, NEW_BITS = 3, (1000.0, 10.0, 10.0), 20
-#: Least distance of the quartiles, bits a word, and parts for each shuffle partition.
-LEAST_WORD_SPREAD, PARTS = 0.2, 4
-MEASURES = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "bits_per_char")
-ADDED = (*MEASURES, "bits_per_word", "lang_group", "text_digest", "text_part", "base_failed", "kept")
+#: Bytes of text of a part, and shuffle partitions for each shard of a language's pairs.
+PART_BYTES, TO_A_SHARD = 4 << 20, 4
+MEASURES = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "bits_per_char", "piece_bits_per_char")
+ADDED = (*MEASURES, "lang_group", "text_digest", "base_failed", "kept")
 
 
 def _classes() -> np.ndarray:
@@ -97,6 +99,13 @@ def gram_counts(docs: DataFrame) -> DataFrame:
     return docs.select("lang", "text").mapInArrow(_count, "lang string, gram int, n long").groupBy("lang", "gram").agg(F.sum("n").alias("n"))
 
 
+def discounts(n1: int, n2: int, n3: int, n4: int) -> tuple[float, float, float]:
+    """What is taken off counts of one, two, and three or more, from how many n-grams have one to four."""
+    n1, n2, n3, n4 = (max(1, n) for n in (n1, n2, n3, n4))
+    y = n1 / (n1 + 2 * n2)
+    return tuple(min(max(d, 0.05), cap - 0.05) for d, cap in ((1 - 2 * y * n2 / n1, 1), (2 - 3 * y * n3 / n2, 2), (3 - 4 * y * n4 / n3, 3)))
+
+
 class KneserNey:
     """Modified Kneser-Ney over packed grams, as sorted arrays for each order.
 
@@ -129,10 +138,7 @@ class KneserNey:
 
     @staticmethod
     def discounts(c: np.ndarray) -> tuple[float, float, float]:
-        n1, n2, n3, n4 = (max(1, int((c == k).sum())) for k in (1, 2, 3, 4))
-        y = n1 / (n1 + 2 * n2)
-        return tuple(min(max(d, 0.05), cap - 0.05) for d, cap in ((1 - 2 * y * n2 / n1, 1), (2 - 3 * y * n3 / n2, 2), (3 - 4 * y * n4 / n3, 3)))
-
+        return discounts(*(int((c == k).sum()) for k in (1, 2, 3, 4)))
     def _at(self, x: np.ndarray, k: int) -> np.ndarray:
         """Probability of (k + 1)-grams, seen or not."""
         g = self.grams[k]
@@ -192,102 +198,204 @@ def repeated_trigram_words(hashes: np.ndarray, first: np.ndarray) -> np.ndarray:
     return np.bincount(row[covered], minlength=n)
 
 
-class WordGrams:
-    """The word n-grams of a part's rows: for each order the words where one ends, and its hash; order 0 stands for all words of a language."""
+def pieces(buffer: bytes) -> tuple[np.ndarray, np.ndarray]:
+    """Where each piece begins, and its four bytes as a number; a word's first piece holds a blank and three of its bytes."""
+    n = len(buffer)
+    data = np.frombuffer(b" " + buffer.lower() + bytes(4), np.uint8)
+    space = SPACE[data[: n + 2]]
+    space[-1] = True
+    begins = np.flatnonzero(space[:-1] & ~space[1:]) + 1  # one past its place in the buffer
+    ends = np.flatnonzero(~space[:-1] & space[1:]) + 1
+    many = (ends - begins + 4) // 4
+    nth = np.arange(int(many.sum())) - np.repeat(np.cumsum(many) - many, many)
+    at, end = np.repeat(begins - 1, many) + 4 * nth, np.repeat(ends, many)
+    code = np.where(nth == 0, 32, data[at]).astype(np.uint64) << np.uint64(24)
+    for k in (1, 2, 3):
+        code |= np.where(at + k < end, data[at + k], 0).astype(np.uint64) << np.uint64(24 - 8 * k)
+    return np.maximum(at - 1 + (nth == 0), 0), code
+
+
+class Pairs:
+    """The pairs of pieces of some texts of one language, by shard and in order within it.
+
+    ``code`` are the distinct pairs, ``place`` the distinct pair at each piece, ``row`` its text; a text's
+    first piece pairs with 0.
+    """
+
+    def __init__(self, code: np.ndarray, row: np.ndarray, shards: int):
+        before = np.zeros_like(code)
+        before[1:] = np.where(row[1:] == row[:-1], code[:-1], 0)
+        self.row = row
+        pair, place, count = np.unique((before << np.uint64(32)) | code, return_inverse=True, return_counts=True)
+        shard = (mix(pair >> np.uint64(32)) >> np.uint64(33)) % np.uint64(shards)
+        order = np.argsort(shard, kind="stable")
+        new = np.empty(len(order), np.int64)
+        new[order] = np.arange(len(order))
+        self.code, self.count, self.place = pair[order], count[order], new[place]
+        self.edge = np.searchsorted(shard[order], np.arange(shards + 1))
+
+    def firsts(self) -> np.ndarray:
+        """Where the pairs of each first piece begin."""
+        head = self.code >> np.uint64(32)
+        return np.flatnonzero(np.append(True, head[1:] != head[:-1])[: len(head)])
+
+    def bits(self, totals: np.ndarray, follows: np.ndarray, cut: tuple[float, float, float], base: np.ndarray) -> np.ndarray:
+        """Bits of each piece without its own text's pairs.
+
+        ``totals`` are the counts of the distinct pairs over all texts; ``follows`` are, for each first
+        piece, the sum of its pairs and how many of them have the count one, two, three or more;
+        ``base`` is each piece's own probability.
+        """
+        first = self.firsts()
+        head = np.repeat(np.arange(len(first)), np.diff(np.append(first, len(self.code))))
+        texts = int(self.row[-1]) + 1
+        own, at, n = np.unique(self.place * texts + self.row, return_inverse=True, return_counts=True)
+        pair, text = own // texts, own % texts
+        left = totals[pair] - n
+        _, context = np.unique(head[pair] * texts + text, return_inverse=True)
+        size = int(context.max()) + 1
+        above = np.empty(size, np.int64)
+        above[context] = head[pair]
+        total = follows[0][above] - np.bincount(context, n, size)
+        reserve = np.zeros(size)
+        for k in (1, 2, 3):
+            old, new = np.minimum(totals[pair], 3) == k, np.minimum(left, 3) == k
+            reserve += cut[k - 1] * (follows[k][above] + np.bincount(context, new.astype(float) - old, size))
+        weight = np.where(total > 0, reserve / np.maximum(total, 1), 1.0)
+        known = np.maximum(left - np.array([0.0, *cut])[np.minimum(left, 3)], 0) / np.maximum(total, 1)[context]
+        return -np.log2(known[at] + weight[context][at] * base)
+
+
+def _texts(table: pa.Table, bits: list[np.ndarray] | None = None) -> Iterator[tuple[str, np.ndarray, np.ndarray, np.ndarray]]:
+    """For each language of a part: the rows and codes of its pieces, and the sum of ``bits`` (of each byte) over each piece."""
+    langs = np.array([x or "" for x in table["lang"].to_pylist()], object)
+    row, code, own = [np.zeros(0, np.int64)], [np.zeros(0, np.uint64)], [np.zeros(0)]
+    for k, (first, _, buffer, starts) in enumerate(text_slices(table["text"], GAP)):
+        at, found = pieces(buffer)
+        text = np.searchsorted(starts, at, side="right") - 1
+        row.append(first + text)
+        code.append(found)
+        if bits:
+            total = np.concatenate([[0.0], np.cumsum(bits[k], dtype=np.float64)])
+            own.append(total[np.minimum(np.append(at[1:], len(buffer)), starts[text + 1])] - total[at])
+        else:
+            own.append(np.zeros(len(at)))
+    row, code, own = (np.concatenate(x) for x in (row, code, own))
+    for lang in sorted(set(langs)):
+        mine = np.flatnonzero((langs == lang)[row])
+        if len(mine):
+            yield lang, row[mine], code[mine], own[mine]
+
+
+def _gathered(batches: Iterator[pa.RecordBatch], part_bytes: int) -> Iterator[pa.RecordBatch]:
+    """Parts of about ``part_bytes`` of text, each as one compressed value."""
+    number = TaskContext.get().partitionId() << 32
+    held, size = [], 0
+
+    def part() -> pa.RecordBatch:
+        sink = pa.BufferOutputStream()
+        with pa.ipc.new_stream(sink, held[0].schema, options=pa.ipc.IpcWriteOptions(compression=pa.Codec("zstd", compression_level=6))) as out:
+            out.write_table(pa.Table.from_batches(held).combine_chunks())
+        return pa.RecordBatch.from_arrays([pa.array([number], pa.int64()), pa.array([sink.getvalue().to_pybytes()], pa.binary())], names=["part", "rows"])
+
+    for batch in light_batches(batches, limit=part_bytes // 2):
+        held.append(batch)
+        size += column(batch, "text").nbytes
+        if size >= part_bytes:
+            yield part()
+            held, size, number = [], 0, number + 1
+    if held:
+        yield part()
+
+
+def _opened(part: pa.Table) -> pa.Table:
+    tables = [pa.ipc.open_stream(x.as_py()).read_all() for x in part["rows"]]
+    return pa.concat_tables(tables).combine_chunks()
+
+
+def _pairing(shards: int):
+    def run(part: pa.Table) -> pa.Table:
+        rows = []
+        for lang, row, code, _ in _texts(_opened(part)):
+            found = Pairs(code, row, shards)
+            for s, (a, b) in enumerate(zip(found.edge[:-1].tolist(), found.edge[1:].tolist(), strict=True)):
+                if b > a:
+                    rows.append((part["part"][0].as_py(), lang, s, packed(np.diff(found.code[a:b], prepend=np.uint64(0)).view(np.int64)), packed(found.count[a:b])))
+        return _table(rows, "part long, lang string, shard int, pairs binary, counts binary")
+
+    return run
+
+
+KINDS = {"long": pa.int64(), "int": pa.int32(), "string": pa.string(), "binary": pa.binary()}
 
-    def __init__(self, batches: list[pa.RecordBatch]):
-        self.rows, hashes, row, place, salt = 0, [np.zeros(0, np.uint64)], [np.zeros(0, np.int64)], [np.zeros(0, np.int64)], [np.zeros(0, np.uint64)]
-        for batch in batches:
-            salt.append(np.array([xxhash.xxh3_64_intdigest((x or "").encode()) for x in column(batch, "lang").to_pylist()], np.uint64))
-            for first_row, rows, buffer, starts in text_slices(column(batch, "text"), GAP):
-                words, _, first = split_words(buffer.lower(), starts)
-                n = np.diff(first)
-                hashes.append(word_hashes(words))
-                row.append(self.rows + first_row + np.repeat(np.arange(rows), n))
-                place.append(np.arange(len(words)) - np.repeat(first[:-1], n))
-            self.rows += batch.num_rows
-        words, self.row, self.place, salt = (np.concatenate(x) for x in (hashes, row, place, salt))
-        self.orders = []
-        for k in range(WORDS + 1):
-            at = np.flatnonzero(self.place >= k - 1)
-            grams = gram_hashes(words, k)[at - (k - 1)] if k else np.zeros(len(at), np.uint64)
-            self.orders.append((at, mix(grams ^ (salt[self.row[at]] + np.uint64(k))).view(np.int64)))
-
-    def counts(self) -> tuple[np.ndarray, np.ndarray]:
-        return np.unique(np.concatenate([g for _, g in self.orders]), return_counts=True)
-
-    def others(self, k: int, grams: np.ndarray, n: np.ndarray) -> np.ndarray:
-        """For each word, how often other texts hold the n-gram that ends there; ``n`` of the sorted ``grams`` lie in other parts."""
-        at, key = self.orders[k]
-        out = np.zeros(len(self.row), np.float64)
-        if not len(at):
-            return out
-        order = np.argsort(key, kind="stable")
-        key, row = key[order], self.row[at][order]
-        fresh = np.append(True, key[1:] != key[:-1])
-        fresh_row = fresh | np.append(True, row[1:] != row[:-1])
-        first = np.flatnonzero(fresh)
-        total = np.diff(np.append(first, len(key)))
-        if len(grams):
-            found = np.minimum(np.searchsorted(grams, key[first]), len(grams) - 1)
-            total = total + np.where(grams[found] == key[first], n[found], 0)
-        own = np.diff(np.append(np.flatnonzero(fresh_row), len(key)))
-        out[at[order]] = total[np.cumsum(fresh) - 1] - own[np.cumsum(fresh_row) - 1]
-        return out
 
-    def bits_per_word(self, grams: np.ndarray, n: np.ndarray) -> np.ndarray:
-        """For each row, without what the row itself adds to the counts."""
-        p, context = np.full(len(self.row), 2.0**-NEW_BITS), self.others(0, grams, n)
-        for k, weight in enumerate(WEIGHTS, 1):
-            found = self.others(k, grams, n)
-            p = np.where(self.place >= k - 1, (found + weight * p) / (context + weight), p)
-            context = np.append(0.0, found[:-1])
-        return np.bincount(self.row, -np.log2(p), self.rows) / np.maximum(1, np.bincount(self.row, minlength=self.rows))
-
-
-def _part_counts(rows: pa.Table) -> pa.Table:
-    grams, n = WordGrams(rows.to_batches()).counts()
-    return pa.table({"text_part": pa.array([rows["text_part"][0].as_py()] * len(grams), pa.int64()), "gram": grams, "n": n.astype(np.int64)})
-
-
-def _elsewhere(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """For each n-gram of a shard and each part that has it, its count in the other parts if there are any."""
-    found = [[column(b, c).to_numpy() for c in ("text_part", "gram", "n")] for b in batches]
-    if not found:
-        return
-    part, gram, n = (np.concatenate(x) for x in zip(*found, strict=True))
-    found = None
-    order = np.argsort(gram, kind="stable")
-    part, gram, n = part[order], gram[order], n[order]
-    first = np.flatnonzero(np.append(True, gram[1:] != gram[:-1])[: len(gram)])
-    rest = np.repeat(np.add.reduceat(n, first), np.diff(np.append(first, len(gram)))) - n if len(first) else n
-    at = np.flatnonzero(rest)
-    for a in range(0, len(at), 100_000):
-        x = at[a : a + 100_000]
-        yield pa.RecordBatch.from_arrays([pa.array(part[x]), pa.array(gram[x]), pa.array(rest[x])], names=["text_part", "gram", "n"])
-
-
-def _measuring_parts(shared, keep: list[str]):
+def _table(rows: list[tuple], schema: str) -> pa.Table:
+    names, kinds = zip(*(f.split() for f in schema.split(", ")), strict=True)
+    columns = list(zip(*rows, strict=True)) if rows else [[]] * len(names)
+    return pa.table([pa.array(c, KINDS[k]) for c, k in zip(columns, kinds, strict=True)], names=list(names))
+
+
+ANSWER = "part long, lang string, shard int, totals binary, follows binary, n1 long, n2 long, n3 long, n4 long"
+
+
+def _answer(asked: pa.Table) -> pa.Table:
+    """The counts of a shard's pairs over all parts, for each part in the order in which it sent them; one more row counts the counts."""
+    own = [np.cumsum(unpacked(x.as_py()).view(np.uint64)) for x in asked["pairs"]]
+    counts = np.concatenate([unpacked(x.as_py()) for x in asked["counts"]])
+    code, place = np.unique(np.concatenate(own), return_inverse=True)
+    total = np.bincount(place, counts).astype(np.int64)
+    head = code >> np.uint64(32)
+    first = np.flatnonzero(np.append(True, head[1:] != head[:-1]))
+    follows = [np.add.reduceat(total, first)] + [np.add.reduceat((np.minimum(total, 3) == k).astype(np.int64), first) for k in (1, 2, 3)]
+    lang, shard = asked["lang"][0].as_py(), asked["shard"][0].as_py()
+    rows, at = [(-1, lang, shard, None, None, *(int((total == k).sum()) for k in (1, 2, 3, 4)))], 0
+    group = np.searchsorted(first, np.arange(len(code)), side="right") - 1
+    for part, mine in zip(asked["part"].to_pylist(), own, strict=True):
+        where = place[at : at + len(mine)]
+        at += len(mine)
+        met = group[where]
+        met = met[np.append(True, met[1:] != met[:-1])]
+        rows.append((part, lang, shard, packed(total[where]), packed(np.concatenate([f[met] for f in follows])), 0, 0, 0, 0))
+    return _table(rows, ANSWER)
+
+
+def _scoring(shared, cuts: dict[str, tuple[float, float, float]], keep: list[str], shards: int):
     lookups: dict[str, _Lookup] = {}
 
-    def run(rows: pa.Table, elsewhere: pa.Table) -> pa.Table:
-        batches = rows.to_batches()
-        grams, n = elsewhere["gram"].to_numpy(), elsewhere["n"].to_numpy()
-        order = np.argsort(grams)
-        bits = WordGrams(batches).bits_per_word(grams[order], n[order])
-        lookups.update({lang: _Lookup(model) for lang, model in shared.value.items() if lang not in lookups})
-        out = pa.Table.from_batches(_measuring(lookups, keep)(batches))
-        return out.append_column("bits_per_word", pa.array(bits))
+    def run(part: pa.Table, answers: pa.Table) -> pa.Table:
+        table = _opened(part)
+        if not lookups:
+            lookups.update({lang: _Lookup(model) for lang, model in shared.value.items()})
+        bits: list[np.ndarray] = []
+        out = pa.Table.from_batches(_measuring(lookups, keep, bits)(table.to_batches()))
+        said: dict[str, list] = {}
+        for lang, shard, totals, follows in zip(*(answers[c].to_pylist() for c in ("lang", "shard", "totals", "follows")), strict=True):
+            said.setdefault(lang, []).append((shard, totals, follows))
+        spent = np.zeros(table.num_rows)
+        for lang, row, code, own in _texts(table, bits):
+            found = Pairs(code, row, shards)
+            got = sorted(said.get(lang, []))
+            totals = np.concatenate([np.zeros(0, np.int64), *(unpacked(t) for _, t, _ in got)])
+            follows = np.hstack([np.zeros((4, 0), np.int64), *(unpacked(f).reshape(4, -1) for _, _, f in got)])
+            if len(totals) != len(found.code) or follows.shape[1] != len(found.firsts()):
+                raise RuntimeError("a part has other rows than were counted: its input is not repeatable")
+            spent += np.bincount(row, found.bits(totals, follows, cuts[lang], np.exp2(-np.minimum(own, 200.0))), len(spent))
+        return out.append_column(MEASURES[-1], pa.array(spent / np.maximum(1, _sizes(table))))
 
     return run
 
 
-def _measuring(lookups: dict[str, _Lookup], keep: list[str]):
+def _sizes(table: pa.Table) -> np.ndarray:
+    return pc.fill_null(pc.binary_length(table["text"]), 0).to_numpy().astype(np.int64)
+
+
+def _measuring(lookups: dict[str, _Lookup], keep: list[str], every: list[np.ndarray]):
+    """The base measures and bits a character; ``every`` gets the bits of each byte."""
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             langs = column(batch, "lang").to_pylist()
-            out: dict[str, list[np.ndarray]] = {k: [] for k in MEASURES}
-            digests = []
+            out: dict[str, list[np.ndarray]] = {k: [] for k in MEASURES[:-1]}
             for first_row, rows, buffer, starts in text_slices(column(batch, "text"), GAP):
                 words, at, first = split_words(buffer, starts)
                 data = np.frombuffer(buffer, np.uint8)
@@ -299,7 +407,6 @@ def _measuring(lookups: dict[str, _Lookup], keep: list[str]):
                 out["n_repeat_words"].append(repeated_trigram_words(word_hashes(words), first))
                 dup = []
                 for a, b in zip(starts[:-1].tolist(), (starts[1:] - len(GAP)).tolist(), strict=True):
-                    digests.append(xxhash.xxh3_128_digest(buffer[a:b]))
                     lines = [x for x in buffer[a:b].split(b"\n") if x.strip()]
                     dup.append(len(lines) - len(set(lines)))
                 out["n_dup_lines"].append(np.array(dup, np.int64))
@@ -313,51 +420,60 @@ def _measuring(lookups: dict[str, _Lookup], keep: list[str]):
                         bits[mine] = lookups[lang](grams[mine])
                 ends = starts[1:] - len(GAP)
                 bits[np.repeat(ends, len(GAP)) + np.tile(np.arange(len(GAP)), rows)] = 0
+                every.append(bits)
                 out["bits_per_char"].append(np.add.reduceat(bits, starts[:-1], dtype=np.float64) / np.maximum(1, size - len(GAP)))
             group = pa.array([x or "" for x in langs], pa.string())
             arrays = [pa.array(np.concatenate(v) if v else np.zeros(0)).cast(pa.float64() if k == "bits_per_char" else pa.int64()) for k, v in out.items()]
-            yield pa.RecordBatch.from_arrays([*[column(batch, c) for c in keep], group, pa.array(digests, pa.binary()), *arrays], names=[*keep, "lang_group", "text_digest", *out])
+            yield pa.RecordBatch.from_arrays([*[column(batch, c) for c in keep], group, *arrays], names=[*keep, "lang_group", *out])
 
     return run
 
 
 def train(docs: DataFrame) -> dict[str, KneserNey]:
-    """A model for each language, from counts over all texts."""
-    found: dict[str, tuple[list[int], list[int]]] = {}
-    for r in gram_counts(docs).toLocalIterator():  # at most 2**24 rows a language
-        grams, n = found.setdefault(r["lang"], ([], []))
-        grams.append(r["gram"])
-        n.append(r["n"])
-    return {lang: KneserNey(np.array(g), np.array(n)) for lang, (g, n) in found.items()}
+    """A character model for each language, from counts over all texts: at most 2**24 rows of 16 bytes a language, as arrays."""
+    found = gram_counts(docs).toArrow()
+    lang = np.array(found["lang"].to_pylist(), object)
+    gram, n = found["gram"].to_numpy(), found["n"].to_numpy()
+    return {x: KneserNey(gram[lang == x], n[lang == x]) for x in sorted(set(lang))}
+
+
+def text_digest() -> Column:
+    return F.unhex(F.md5(F.coalesce("text", F.lit("")).cast("binary")))
 
 
-def judge(docs: DataFrame, spread: float = 3.0, keep: list[str] | None = None) -> DataFrame:
-    """Per row: the columns ``keep``, n_words, the base measures, bits_per_char, bits_per_word, base_failed and kept.
+def judge(docs: DataFrame, spread: float = 3.0, keep: list[str] | None = None, part_bytes: int = PART_BYTES) -> DataFrame:
+    """Per row: the columns ``keep``, lang_group, text_digest, n_words, the base measures, bits_per_char, piece_bits_per_char, base_failed and kept.
 
     The base rules fail texts of under 50 words and those where more than half of the words stand in
-    repeated three-word windows.
+    repeated three-word windows. ``kept`` is the same for rows of the same text and language.
     """
-    keep = keep or ["doc_id"]
+    keep = ["doc_id"] if keep is None else keep
     docs = without(docs, *ADDED)
     spark = docs.sparkSession
     shared = spark.sparkContext.broadcast(train(docs))
+    carried = [*keep, "text_digest"]
     kinds = "".join(f"`{k}` {docs.schema[k].dataType.simpleString()}, " for k in keep)
-    schema = f"{kinds}lang_group string, text_digest binary, {', '.join(f'{m} long' for m in MEASURES[:-1])}, bits_per_char double, bits_per_word double"
-    parts = PARTS * int(spark.conf.get("spark.sql.shuffle.partitions"))
-    key = F.xxhash64(*[c for c in docs.columns if c in ("doc_id", "text", "lang")])
-    # the same columns for counts and scores, so that texts are exchanged once
-    dealt = docs.select(*dict.fromkeys([*keep, "text", "lang"])).withColumn("text_part", F.pmod(key, F.lit(parts)).cast("long"))
-    counts = dealt.groupBy("text_part").applyInArrow(_part_counts, "text_part long, gram long, n long")
-    elsewhere = counts.repartition("gram").mapInArrow(_elsewhere, "text_part long, gram long, n long")
-    measured = dealt.groupBy("text_part").cogroup(elsewhere.groupBy("text_part")).applyInArrow(_measuring_parts(shared, keep), schema)
+    schema = f"{kinds}text_digest binary, lang_group string, {', '.join(f'{m} long' for m in MEASURES[:-2])}, bits_per_char double, piece_bits_per_char double"
+    shards = max(1, int(spark.conf.get("spark.sql.shuffle.partitions")) // TO_A_SHARD)
+    rows = docs.select(*dict.fromkeys([*keep, "text", "lang"])).withColumn("text_digest", text_digest())
+
+    def gather(batches):
+        return _gathered(batches, part_bytes)
+
+    parts = rows.mapInArrow(gather, "part long, rows binary").groupBy("part")  # one exchange for counts and scores
+    asked = parts.applyInArrow(_pairing(shards), "part long, lang string, shard int, pairs binary, counts binary")
+    answers = staged(asked.groupBy("lang", "shard").applyInArrow(_answer, ANSWER), "answers")
+    counts = answers.where("part < 0").groupBy("lang").agg(*[F.sum(f"n{k}") for k in (1, 2, 3, 4)]).collect()  # a row a language
+    cuts = {r[0]: discounts(*r[1:]) for r in counts}
+    measured = parts.cogroup(answers.where("part >= 0").groupBy("part")).applyInArrow(_scoring(shared, cuts, carried, shards), schema)
     measured = staged(measured, "measured")
     measured = measured.withColumn("base_failed", (F.col("n_words") < 50) | (100 * F.col("n_repeat_words") > 50 * F.col("n_words")))
-    scores = ("bits_per_char", "bits_per_word")
+    scores = MEASURES[-2:]
     texts = measured.where("not base_failed").groupBy("lang_group", "text_digest").agg(*[F.min(c).alias(c) for c in scores])
     bands = texts.groupBy("lang_group").agg(*[F.percentile_approx(c, [0.25, 0.75], 10_000).alias(q) for c, q in zip(scores, ("q", "w"), strict=True)])
     width = F.greatest(F.col("q")[1] - F.col("q")[0], F.lit(LEAST_SPREAD))
-    above = F.col("w")[1] + spread * F.greatest(F.col("w")[1] - F.col("w")[0], F.lit(LEAST_WORD_SPREAD))
+    above = F.col("w")[1] + spread * F.greatest(F.col("w")[1] - F.col("w")[0], F.lit(LEAST_SPREAD))
     bands = bands.select("lang_group", (F.col("q")[0] - spread * width).alias("low"), (F.col("q")[1] + spread * width).alias("high"), above.alias("above"))
     judged = measured.join(F.broadcast(bands), "lang_group", "left")  # a row a language
-    inside = F.coalesce(F.col("bits_per_char").between(F.col("low"), F.col("high")) & (F.col("bits_per_word") <= F.col("above")), F.lit(True))
-    return judged.withColumn("kept", ~F.col("base_failed") & inside).drop("lang_group", "text_digest", "low", "high", "above")
+    inside = F.coalesce(F.col("bits_per_char").between(F.col("low"), F.col("high")) & (F.col("piece_bits_per_char") <= F.col("above")), F.lit(True))
+    return judged.withColumn("kept", ~F.col("base_failed") & inside).drop("low", "high", "above")

@@ -63,7 +63,7 @@ def op7_suffix_array(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op8_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text", "lang")
-    return quality.judge(docs)
+    return quality.judge(docs).drop("lang_group", "text_digest")
 
 
 def op9_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -3,19 +3,29 @@
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from hybridsort.ship import ship
 
 from . import decontam, neardup, packing, quality, suffix_tree
-from .common import old_names, plain_names, table
+from .common import old_names, plain_names, staged, table
+
+SALTS = 8
 
 
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that the quality rules and perplexity bands keep."""
+    """Documents that the quality rules and perplexity bands keep.
+
+    A verdict belongs to a text and its language, so only rejected digests come back from the judging, and
+    no text passes through Python twice. Rows of one text are spread over SALTS tasks.
+    """
     ship(spark)
     docs, old = plain_names(docs)
-    judged = quality.judge(docs, keep=docs.columns)
-    return old_names(judged.where("kept").select(*docs.columns), old)
+    judged = quality.judge(docs.select("text", "lang"), keep=[])
+    gone = staged(judged.where("not kept").select("lang_group", "text_digest").distinct(), "rejected")
+    gone = gone.withColumn("salt", F.explode(F.array(*[F.lit(k) for k in range(SALTS)])))
+    keyed = docs.withColumns({"lang_group": F.coalesce("lang", F.lit("")), "text_digest": quality.text_digest(), "salt": F.pmod(F.xxhash64("doc_id"), F.lit(SALTS)).cast("int")})
+    return old_names(keyed.join(gone, ["lang_group", "text_digest", "salt"], "left_anti").select(*docs.columns), old)
 
 
 def minhash_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

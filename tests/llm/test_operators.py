@@ -310,37 +310,80 @@ def test_copies_do_not_narrow_the_band(spark):
     assert got[400] and got[401] and got[402]
 
 
-def test_word_order_is_judged(spark):
+def brute_quality(rows):
+    """Scores and verdicts of rows (id, text, lang), pair by pair and text by text."""
+    own, byte_bits, models = {}, {}, {}
+    for lang in {x or "" for _, _, x in rows}:
+        grams = Counter(int(g) for _, t, x in rows if (x or "") == lang for g in quality.packed_grams((t or "").encode() + b"\n\n\n"))
+        models[lang] = quality.KneserNey(np.array(list(grams)), np.array(list(grams.values())))
+    for i, t, lang in rows:
+        raw = (t or "").encode()
+        byte_bits[i] = models[lang or ""].bits(quality.packed_grams(raw)) if raw else np.zeros(0)
+        cut = []
+        for m in re.finditer(rb"[^\x20\x09-\x0D]+", raw.lower()):
+            word = b" " + m[0]
+            cut += [(max(m.start() + 4 * k - (k > 0), m.start()), word[4 * k : 4 * k + 4]) for k in range(-(-len(word) // 4))]
+        ends = [at for at, _ in cut[1:]] + [len(raw)] if cut else []
+        own[i] = [((cut[k - 1][1] if k else b""), piece, byte_bits[i][at:end].sum()) for k, ((at, piece), end) in enumerate(zip(cut, ends, strict=True))]
+    out = {}
+    for lang in models:
+        mine = [i for i, _, x in rows if (x or "") == lang]
+        every = Counter(p[:2] for i in mine for p in own[i])
+        cuts = (0, *quality.discounts(*(sum(n == k for n in every.values()) for k in (1, 2, 3, 4))))
+        for i in mine:
+            left = every - Counter(p[:2] for p in own[i])
+            total, reserve = Counter(), Counter()
+            for (a, _), n in left.items():
+                total[a] += n
+                reserve[a] += cuts[min(n, 3)]
+            bits = 0.0
+            for a, p, base in own[i]:
+                n, low = left[a, p], 2.0**-base
+                bits -= math.log2((max(n - cuts[min(n, 3)], 0) + reserve[a] * low) / total[a] if total[a] else low)
+            size = len(byte_bits[i])
+            out[i] = (lang, byte_bits[i].sum() / max(1, size), bits / max(1, size))
+    return out
+
+
+def brute_kept(rows, spread=3.0):
+    scores, kept = brute_quality(rows), {}
+    failed = {}
+    for i, t, _ in rows:
+        w = re.findall(r"[^\x20\x09-\x0D]+", t or "")
+        tri = Counter(tuple(w[k : k + 3]) for k in range(len(w) - 2))
+        rep = {x for k in range(len(w) - 2) if tri[tuple(w[k : k + 3])] > 1 for x in range(k, k + 3)}
+        failed[i] = len(w) < 50 or 100 * len(rep) > 50 * len(w)
+    for lang in {x for x, _, _ in scores.values()}:
+        texts = {t or "": scores[i] for i, t, x in rows if (x or "") == lang and not failed[i]}
+        edge = []
+        for k in (1, 2):
+            values = sorted(x[k] for x in texts.values())
+            q = [values[max(0, math.ceil(p * len(values)) - 1)] for p in (0.25, 0.75)] if values else [0, 0]
+            wide = spread * max(q[1] - q[0], quality.LEAST_SPREAD)
+            edge.append((q[0] - wide, q[1] + wide))
+        for i, t, x in rows:
+            if (x or "") == lang:
+                kept[i] = not failed[i] and (not texts or edge[0][0] <= scores[i][1] <= edge[0][1] and scores[i][2] <= edge[1][1])
+    return kept
+
+
+@pytest.mark.parametrize("part_bytes", [300, 4 << 20])
+def test_quality_scores_and_verdicts(spark, part_bytes):
     rng = random.Random(10)
     lines = [words(8, rng) for _ in range(40)]
     rows = [(i, " ".join(rng.sample(lines, 20)), "en") for i in range(60)]
     mixed = rows[0][1].split()
     rng.shuffle(mixed)
-    rows.append((100, " ".join(mixed), "en"))
-    got = {r["doc_id"]: r for r in quality.judge(spark.createDataFrame(rows, "doc_id long, text string, lang string")).collect()}
-    assert not got[100]["kept"] and sum(got[i]["kept"] for i in range(60)) >= 57
-    assert got[100]["bits_per_word"] == pytest.approx(brute_bits_per_word(rows)[100])
-    assert got[7]["bits_per_word"] == pytest.approx(brute_bits_per_word(rows)[7])
-
-
-def brute_bits_per_word(rows):
-    own = {i: t.lower().split() for i, t, _ in rows}
-    grams = {i: [tuple(w[a : a + k]) for k in range(1, 4) for a in range(len(w) - k + 1)] for i, w in own.items()}
-    every = Counter(g for x in grams.values() for g in x)
-    size = sum(map(len, own.values()))
-    out = {}
-    for i, w in own.items():
-        left = every - Counter(grams[i])
-        bits = 0.0
-        for a in range(len(w)):
-            p = 2.0**-20
-            for k, weight in zip((1, 2, 3), (1000, 10, 10)):
-                if a >= k - 1:
-                    context = left[tuple(w[a - k + 1 : a])] if k > 1 else size - len(w)
-                    p = (left[tuple(w[a - k + 1 : a + 1])] + weight * p) / (context + weight)
-            bits -= math.log2(p)
-        out[i] = bits / max(1, len(w))
-    return out
+    rows += [(100, " ".join(mixed), "en"), (101, None, "en"), (102, "", None), (103, " \n ", "en"), (104, "x" * 3000, "en"), (105, rows[3][1], "en"), (106, rows[3][1], "de")]
+    rows += [(110 + i, " ".join(rng.sample(lines, 12)) + " ß" * i, None) for i in range(9)]
+    rows += [(200, " ".join("".join(chr(rng.randrange(33, 126)) for _ in range(9)) for _ in range(120)), "en"), (201, words(20_000, rng), "en")]
+    got = {r["doc_id"]: r for r in quality.judge(spark.createDataFrame(rows, "doc_id long, text string, lang string").repartition(3), part_bytes=part_bytes).collect()}
+    want, kept = brute_quality(rows), brute_kept(rows)
+    assert not got[100]["kept"] and not got[200]["kept"] and sum(got[i]["kept"] for i in range(60)) >= 57
+    for i in want:
+        assert got[i]["bits_per_char"] == pytest.approx(want[i][1], rel=1e-4)
+        assert got[i]["piece_bits_per_char"] == pytest.approx(want[i][2], rel=1e-4)
+    assert {i: r["kept"] for i, r in got.items()} == kept
 
 
 def within_one(a, b):
