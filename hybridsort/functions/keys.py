@@ -21,8 +21,13 @@ def signed(c: Column) -> Column:
     return F.lpad(F.hex(c.cast("long").bitwiseXOR(F.lit(SIGN))), 16, "0")
 
 
-def decimal(c: Column, scale: int) -> Column:
-    return signed((c * F.lit(10**scale)).cast("long"))
+def decimal(c: Column, scale: int, precision: int = 18) -> Column:
+    """A decimal: up to 18 digits as its unscaled integer, beyond as a sign byte and 38 decimal digits, complemented below zero."""
+    if precision <= 18:
+        return signed(F.regexp_replace(c.cast(f"decimal(18,{scale})").cast("string"), r"\.", "").cast("long"))
+    exact = c.cast(f"decimal(38,{scale})")
+    digits = F.when(exact == 0, F.lit("0" * 38)).otherwise(F.lpad(F.regexp_replace(F.abs(exact).cast("string"), r"\.", ""), 38, "0"))
+    return F.when(exact < 0, F.concat(F.lit("00"), F.translate(digits, "0123456789", "9876543210"))).when(exact.isNotNull(), F.concat(F.lit("01"), digits))
 
 
 def timestamp(c: Column) -> Column:
@@ -55,8 +60,21 @@ def double(values: pd.Series) -> pd.Series:
 
 
 def floats(c: Column, size: int) -> Column:
-    """An array of ``size`` floats, element by element, through scaled integers of fixed precision."""
-    return F.array_join(F.transform(F.slice(c, 1, size), lambda x: signed(F.round(x * 1_000_000).cast("long"))), "")
+    """An array of ``size`` floats or doubles, eight bytes for each: -0.0 counts as 0.0 and NaN comes last."""
+
+    @F.pandas_udf(T.StringType())
+    def encode(arrays: pd.Series) -> pd.Series:
+        out = []
+        for x in arrays:
+            if x is None:
+                out.append(None)
+                continue
+            x = np.asarray(x, np.float64)[:size] + 0.0
+            bits = np.where(np.isnan(x), np.uint64(0x7FF8000000000000), x.view(np.uint64))
+            out.append(np.where(bits >> np.uint64(63) == 1, ~bits, bits | np.uint64(1 << 63)).astype(">u8").tobytes().hex().upper())
+        return pd.Series(out, dtype=object)
+
+    return encode(c)
 
 
 def descending(key: Column) -> Column:
@@ -89,7 +107,7 @@ def normalize(c: Column, kind: T.DataType, width: int = 10) -> Column:
     if isinstance(kind, (T.FloatType, T.DoubleType)):
         return double(c.cast("double"))
     if isinstance(kind, T.DecimalType):
-        return decimal(c, kind.scale)
+        return decimal(c, kind.scale, kind.precision)
     if isinstance(kind, (T.TimestampType, T.TimestampNTZType)):
         return timestamp(c)
     if isinstance(kind, T.DateType):
@@ -103,6 +121,39 @@ def normalize(c: Column, kind: T.DataType, width: int = 10) -> Column:
     raise TypeError(f"{kind.simpleString()} has no order; extract a field first")
 
 
+def key_pointer(df, key: Column, ptr: list[str]):
+    """The pairs of key and pointer of a table; the payload stays behind, as the scan then skips it."""
+    return df.select(key.alias("k"), *[F.col(f"`{p}`") for p in ptr])
+
+
+#: Bytes of a text that serve to part ties.
+TIE_BYTES = 64
+
+
+def tie_digits(c: Column, kind: T.DataType) -> tuple[Column, int, bool]:
+    """Digits in the order of a column, nulls first; how many; and whether different values have different digits."""
+    if isinstance(kind, (T.ByteType, T.ShortType, T.IntegerType, T.LongType)):
+        own, width, whole = signed(c), 8, True
+    elif isinstance(kind, (T.TimestampType, T.TimestampNTZType)):
+        own, width, whole = timestamp(c), 8, True
+    elif isinstance(kind, T.DateType):
+        own, width, whole = date(c), 8, True
+    elif isinstance(kind, T.BooleanType):
+        own, width, whole = boolean(c), 1, True
+    elif isinstance(kind, T.DecimalType):
+        own, width, whole = decimal(c, kind.scale, kind.precision), 8 if kind.precision <= 18 else 20, True
+    elif isinstance(kind, (T.FloatType, T.DoubleType)):
+        x = F.least(F.greatest(c.cast("double"), F.lit(-9.2e18)), F.lit(9.2e18))
+        part = F.lpad(F.hex(((x - F.floor(x)) * F.lit(2.0**52)).cast("long")), 14, "0")
+        own, width, whole = F.when(F.isnan(c), "F" * 30).otherwise(F.concat(signed(F.floor(x).cast("long")), part)), 15, False
+    elif isinstance(kind, (T.StringType, T.BinaryType)):
+        raw = F.encode(c, "UTF-8") if isinstance(kind, T.StringType) else c
+        own, width, whole = F.rpad(F.hex(F.substring(raw, 1, TIE_BYTES)), 2 * TIE_BYTES, "0"), TIE_BYTES, False
+    else:
+        raise TypeError(f"{kind.simpleString()} has no order; extract a field first")
+    return F.when(c.isNull(), F.lit("0" * (2 * width + 2))).otherwise(F.concat(F.lit("01"), own)), width + 1, whole
+
+
 def hashed(*columns: str) -> Column:
     """md5 of the columns joined by dashes, in upper-case hex."""
     return F.upper(F.md5(F.concat_ws("-", *[F.col(c).cast("string") for c in columns])))

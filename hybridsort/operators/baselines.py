@@ -5,7 +5,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .msd import adaptive_sort
+from ..sources.tables import fresh, kept
+from .msd import adaptive_sort, named
 
 
 def spark_sort(df: DataFrame, *order) -> DataFrame:
@@ -13,16 +14,15 @@ def spark_sort(df: DataFrame, *order) -> DataFrame:
 
     The order is written out as it stands; the rank is a prefix sum over partition counts.
     """
-    spread = df.repartitionByRange(*order).sortWithinPartitions(*order).withColumn("__part", F.spark_partition_id())
-    rank = F.row_number().over(Window.partitionBy("__part").orderBy(*order))
-    from ..sources.tables import kept
-
-    ranked = kept(spread.withColumn("__rank", rank), "ordered")
-    counts = ranked.groupBy("__part").count()
-    before = F.coalesce(F.sum("count").over(Window.orderBy("__part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
-    starts = counts.select("__part", before.alias("__start"))
-    out = ranked.join(F.broadcast(starts), "__part")
-    return out.select((F.col("__start") + F.col("__rank")).cast("long").alias("position"), *[f"`{c}`" for c in df.columns])
+    df = df.select(*named([c for c in df.columns if c.lower() != "position"]))
+    part, rank, start = fresh(df, "part"), fresh(df, "rank"), fresh(df, "start")
+    spread = df.repartitionByRange(*order).sortWithinPartitions(*order).withColumn(part, F.spark_partition_id())
+    ranked = kept(spread.withColumn(rank, F.row_number().over(Window.partitionBy(part).orderBy(*order))), "ordered")
+    counts = ranked.groupBy(part).count()
+    before = F.coalesce(F.sum("count").over(Window.orderBy(part).rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    starts = counts.select(part, before.alias(start))
+    out = ranked.join(F.broadcast(starts), part)  # a row a partition
+    return out.select((F.col(start) + F.col(rank)).cast("long").alias("position"), *named(df.columns))
 
 
 def comparison_sort(df: DataFrame, key: str, ptr: list[str], stable: bool = True, **options) -> DataFrame:

@@ -4,8 +4,9 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame
 
+from ..memory import Held
 from .external import external_sort
-from .msd import adaptive_sort
+from .msd import adaptive_sort, named
 
 
 def choose_mode(bytes_in: int, budget: int, out_factor: float = 1.0) -> str:
@@ -26,12 +27,13 @@ def internal_sort(df: DataFrame, key: str, ptr: list[str], **options) -> DataFra
 
 
 def partial_sort(df: DataFrame, key: str, ptr: list[str], **options) -> DataFrame:
-    """Pairs of key and pointer are sorted, and the payload is fetched from the source as output is written."""
-    pairs = df.select(*dict.fromkeys([key, *ptr]))
-    order = adaptive_sort(pairs, key, ptr, **options)
-    rest = [c for c in df.columns if c not in (key, *ptr)]
-    out = order.join(df.select(*ptr, *rest), ptr) if rest else order
-    return out.select("position", *df.columns)
+    """Pairs of key and pointer stay in memory while ranges are cut, and are let go before the output takes their place.
+
+    The payload is read again for the one exchange; each range sorts its pairs and takes the payload in
+    that order in its own task.
+    """
+    with Held(df.select(*named(list(dict.fromkeys([key, *ptr]))))) as pairs:
+        return adaptive_sort(df, key, ptr, counted=pairs, **{"kernel": "msd", **options})
 
 
 def sort(df: DataFrame, key: str, ptr: list[str], budget: int | None = None, mode: str = "auto", **options) -> DataFrame:

@@ -2,11 +2,16 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
-from ..plans.tree import assign, leaves, pack_ranges
-from ..sources.tables import kept
+from ..plans.cuts import cut, deal
+from .kernels import _wide, msd_sort
+from .msd import key_bytes
 
 
 def choose_join(left_bytes: int, right_bytes: int, limit: int = 10 << 20, prefer_merge: bool = True, equi: bool = True) -> str:
@@ -19,16 +24,58 @@ def choose_join(left_bytes: int, right_bytes: int, limit: int = 10 << 20, prefer
 
 
 def radix_merge_join(left: DataFrame, right: DataFrame, key: str, width: int, target_rows: int, how: str = "inner") -> DataFrame:
-    """A merge join inside common key ranges.
+    """A merge join by the sort kernel inside common key ranges; how is inner, left, right or full.
 
-    Both sides are cut by one bucket tree over their keys together, dealt to the same ranges and
-    sorted there; within a range Spark merges them. Both carry the hex column ``key``.
+    Both sides are cut by one histogram over their hex column ``key`` and grouped by range; a task
+    sorts its two pieces by the radix kernel and merges them. A key with more rows than a range should
+    hold is parted: the rows of one side are dealt to several tasks, those of the other are sent to all
+    of these (not with a full join, which has to see both sides whole). Null keys match nothing.
     """
-    both = left.select(key).unionByName(right.select(key))
-    tree = kept(pack_ranges(leaves(both, F.col(key), width, target_rows), target_rows), "joined")
-    n = max(1, tree.agg(F.max("range_id")).first()[0] + 1 if tree.limit(1).count() else 1)
-    sides = [assign(s, key, tree, ["range_id"]).repartition(n, "range_id", key).sortWithinPartitions("range_id", key) for s in (left, right)]
-    return sides[0].join(sides[1].hint("merge"), ["range_id", key], how).drop("range_id")
+    if how == "right":
+        out = radix_merge_join(right, left, key, width, target_rows, "left")
+        return out.select(key, *[f"`{c}`" for c in left.columns if c != key], *[f"`{c}`" for c in right.columns if c != key])
+    digits = lambda s: s.withColumn(name, F.when(F.col(key).isNull(), F.lit("00" * (width + 1))).otherwise(F.concat(F.lit("01"), F.col(key))))
+    name, cell, pieces = "__digits", "__range", "__pieces"
+    a, b = digits(left), digits(right)
+    cuts = cut(a.select(name).unionByName(b.select(name)), F.col(name), width + 1, target_rows, target_rows)
+    a, b = (deal(s, name, cuts, range_id=cell, pieces=pieces) for s in (a, b))
+    own = F.lit(1) if how == "full" else F.col(pieces)
+    a = a.withColumn(pieces, F.pmod(F.xxhash64(*[f"`{c}`" for c in left.columns]), own).cast("int"))
+    b = b.withColumn(pieces, F.explode(F.sequence(F.lit(0), (own - 1).cast("int"))))
+    rest = [left.schema[c] for c in left.columns if c != key], [right.schema[c] for c in right.columns if c != key]
+    schema = T.StructType([left.schema[key], *[T.StructField(f.name, f.dataType) for part in rest for f in part]])
+    sides = [s.withColumn(name, F.when(F.col(key).isNotNull(), F.unhex(name))) for s in (a, b)]
+    merge = _merging(key, name, width + 1, [f.name for f in rest[0]], [f.name for f in rest[1]], how)
+    return sides[0].groupBy(cell, pieces).cogroup(sides[1].groupBy(cell, pieces)).applyInArrow(merge, schema)
+
+
+def _merging(key: str, digits: str, width: int, left: list[str], right: list[str], how: str):
+    def ordered(table: pa.Table) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        known = table.column(digits).is_valid().to_numpy()
+        at = np.flatnonzero(known)
+        keys = key_bytes(table.column(digits).filter(pa.array(known)), width) if len(at) else np.zeros((0, width), np.uint8)
+        order = msd_sort(keys)
+        return _wide(keys[order]), at[order], np.flatnonzero(~known)
+
+    def merge(a: pa.Table, b: pa.Table) -> pa.Table:
+        x, row_a, null_a = ordered(a)
+        y, row_b, null_b = ordered(b)
+        low, high = np.searchsorted(y, x, side="left"), np.searchsorted(y, x, side="right")
+        runs = high - low
+        i = np.repeat(row_a, runs)
+        j = row_b[np.repeat(low - (np.cumsum(runs) - runs), runs) + np.arange(int(runs.sum()))]
+        none = np.zeros(0, np.int64)
+        alone_a = np.concatenate([row_a[runs == 0], null_a]) if how in ("left", "full") else none
+        met = np.searchsorted(x, y, side="right") > np.searchsorted(x, y, side="left") if len(y) else np.zeros(0, bool)
+        alone_b = np.concatenate([row_b[~met], null_b]) if how == "full" else none
+        i, j = np.concatenate([i, alone_a, np.full(len(alone_b), -1)]), np.concatenate([j, np.full(len(alone_a), -1), alone_b])
+        take_a, take_b = pa.array(i, mask=i < 0), pa.array(j, mask=j < 0)
+        own = a.column(key).take(take_a)
+        if len(alone_b):
+            own = pc.coalesce(own, b.column(key).take(take_b))
+        return pa.table([own, *[a.column(c).take(take_a) for c in left], *[b.column(c).take(take_b) for c in right]], names=[key, *left, *right])
+
+    return merge
 
 
 def asof(left: DataFrame, right: DataFrame, by: str, at: str, values: list[str]) -> DataFrame:

@@ -2,9 +2,6 @@
 
 from __future__ import annotations
 
-import heapq
-from collections.abc import Iterable, Iterator
-
 import numpy as np
 
 
@@ -46,23 +43,67 @@ def blocked_scatter(digit: np.ndarray, block: int = 1 << 15) -> tuple[np.ndarray
     return out, starts
 
 
-def msd_sort(keys: np.ndarray, compare_limit: int = 64, scatter=counting_scatter) -> np.ndarray:
-    """Most significant digit first, with a worklist of buckets; small ones are compared."""
+def compare_below(n: int) -> int:
+    """Bucket size from which a radix pass pays, for n keys: a pass costs a call for each bucket, a comparison finish one for all of them."""
+    return max(4096, n // 64)
+
+
+def _tail(keys: np.ndarray, rows: np.ndarray, depth: int) -> np.ndarray:
+    """Up to eight bytes of the rows' keys from ``depth`` on, as one number in key order."""
+    part = keys[rows, depth : depth + 8]
+    if part.shape[1] < 8:
+        part = np.hstack([part, np.zeros((len(part), 8 - part.shape[1]), np.uint8)])
+    return np.ascontiguousarray(part).view(">u8").ravel().astype(np.uint64)
+
+
+def finish(keys: np.ndarray, order: np.ndarray, edges: np.ndarray, depth: int) -> None:
+    """Sort all buckets order[edges[i] : edges[i + 1]] by the bytes from ``depth`` on, together; ties keep the order of the rows.
+
+    A bucket's number and as many bytes as fit beside it are compared as one integer; what ties is looked
+    at again, further right.
+    """
+    width = keys.shape[1]
+    bucket = np.repeat(np.arange(len(edges) - 1, dtype=np.uint64), np.diff(edges))
+    at = np.arange(edges[0], edges[-1])
+    while len(at):
+        own = order[at]
+        taken = -(-int(bucket[-1]).bit_length() // 8)
+        value = (bucket << np.uint64(64 - 8 * taken) if taken else np.uint64(0)) | (_tail(keys, own, depth) >> np.uint64(8 * taken))
+        by = np.argsort(value)
+        order[at], value = own[by], value[by]
+        depth += 8 - taken
+        fresh = np.append(True, value[1:] != value[:-1])
+        tied = ~(fresh & np.append(fresh[1:], True))
+        if not tied.any():
+            return
+        at, bucket = at[tied], (np.cumsum(fresh[tied]) - 1).astype(np.uint64)
+        if depth >= width:
+            order[at] = order[at][np.lexsort((order[at], bucket))]
+            return
+
+
+def msd_sort(keys: np.ndarray, compare_limit: int | None = None, scatter=counting_scatter) -> np.ndarray:
+    """Most significant digit first, level by level: large buckets get a radix pass each, those below the limit one comparison finish together."""
     n, width = keys.shape
     order = np.arange(n)
-    work = [(0, n, 0)]
-    while work:
-        low, high, depth = work.pop()
-        own = order[low:high]
-        if high - low < 2 or depth == width:
-            continue
-        if high - low < compare_limit:
-            order[low:high] = own[comparison_sort(keys[own, depth:])]
-            continue
-        by, starts = scatter(keys[own, depth])
-        order[low:high] = own[by]
-        sizes = np.diff(starts)
-        work += [(low + int(starts[b]), low + int(starts[b + 1]), depth + 1) for b in np.flatnonzero(sizes > 1)]
+    limit = compare_below(n) if compare_limit is None else compare_limit
+    buckets, depth = [(0, n)], 0
+    while buckets and depth < width:
+        small = [(low, high) for low, high in buckets if high - low < limit]
+        if small:
+            rows = np.concatenate([np.arange(low, high) for low, high in small])
+            own, edges = order[rows], np.cumsum([0] + [high - low for low, high in small])
+            finish(keys, own, edges, depth)
+            order[rows] = own
+        deeper = []
+        for low, high in buckets:
+            if high - low < limit:
+                continue
+            by, starts = scatter(np.ascontiguousarray(keys[order[low:high], depth]))
+            order[low:high] = order[low:high][by]
+            sizes = np.diff(starts)
+            deeper += [(low + int(starts[b]), low + int(starts[b + 1])) for b in np.flatnonzero(sizes > 1)]
+        buckets, depth = deeper, depth + 1
     return order
 
 
@@ -111,14 +152,32 @@ def inplace_sort(keys: np.ndarray, compare_limit: int = 64) -> np.ndarray:
     return order
 
 
-def kway_merge(runs: Iterable[Iterable[tuple]]) -> Iterator[tuple]:
-    """One sorted stream from several."""
-    return heapq.merge(*runs)
+def kway_merge(runs: list[np.ndarray]) -> np.ndarray:
+    """The order of several sorted arrays of keys, laid end to end; equal keys keep the order of the runs.
+
+    Neighbours are merged pair by pair: each key of one is placed in the other by binary search.
+    """
+    width = max((r.shape[1] for r in runs), default=0)
+    at, parts = 0, []
+    for r in runs:
+        parts.append((_wide(r) if width else np.zeros(len(r), "S1"), np.arange(at, at + len(r))))
+        at += len(r)
+    while len(parts) > 1:
+        merged = []
+        for (a, x), (b, y) in zip(parts[::2], parts[1::2], strict=False):
+            left = np.arange(len(a)) + np.searchsorted(b, a, side="left")
+            right = np.arange(len(b)) + np.searchsorted(a, b, side="right")
+            keys, order = np.empty(len(a) + len(b), a.dtype), np.empty(len(a) + len(b), np.int64)
+            keys[left], keys[right] = a, b
+            order[left], order[right] = x, y
+            merged.append((keys, order))
+        parts = merged + parts[len(parts) - len(parts) % 2 :]
+    return parts[0][1] if parts else np.zeros(0, np.int64)
 
 
 KERNELS = {
     "msd": msd_sort,
-    "msd_blocked": lambda k: msd_sort(k, scatter=blocked_scatter),
+    "msd_blocked": lambda k, limit=None: msd_sort(k, limit, blocked_scatter),
     "lsd": lsd_sort,
     "inplace": inplace_sort,
     "stable": lambda k: comparison_sort(k, True),

@@ -1,7 +1,11 @@
 """Distributed sorts. Each adds ``position`` (long, from 1) and puts every row on the network once.
 
-Rows are dealt to contiguous key ranges of about equal size, taken from the exact bucket tree, and
-each range is sorted by one task; no global window or sort is used.
+Rows are dealt to contiguous key ranges of about equal size, cut from exact histograms, and each range
+is sorted by one task; no global window or sort is used.
+
+Defined results: null keys and null pointers come first; rows equal in key and pointer are all kept, in
+any order among themselves; an empty table gives no rows; a column ``position`` of the input is
+replaced; other columns may have any names.
 """
 
 from __future__ import annotations
@@ -10,101 +14,161 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from ..functions.keys import signed
-from ..plans.tree import assign, leaves, pack_ranges
-from ..sources.tables import kept
-from .kernels import KERNELS, as_bytes
-
+from ..functions.keys import tie_digits
+from ..plans.cuts import Cuts, cut, deal
+from ..plans.tree import assign, pack_ranges
+from ..sources.tables import fresh, kept
+from .kernels import KERNELS
 
-def with_tie_digits(df: DataFrame, key: str, ptr: list[str]) -> tuple[DataFrame, int]:
-    """df with ``__full``: the key and the digits of the integer pointer columns, so that equal keys can be cut too."""
-    whole = [c for c in ptr if isinstance(df.schema[c].dataType, (T.IntegerType, T.LongType))]
-    out = df.withColumn("__full", F.concat(F.col(key), *[signed(F.col(c)) for c in whole]))
-    return out, 8 * len(whole)
 
+def named(columns: list[str]) -> list[str]:
+    return [f"`{c}`" for c in columns]
 
-def ranges(df: DataFrame, key: str, width: int, ptr: list[str], split_limit: int, target_rows: int) -> tuple[DataFrame, DataFrame, int]:
-    """Rows with their range, the range starts, and the number of ranges."""
-    full, more = with_tie_digits(df, key, ptr)
-    tree = kept(pack_ranges(leaves(full, F.col("__full"), width + more, split_limit), target_rows), "ranges")
-    starts = kept(tree.groupBy("range_id").agg(F.min("start").alias("range_start"), F.sum("n").alias("n")), "starts")
-    dealt = assign(full, "__full", tree, ["range_id"])
-    return dealt, starts, max(1, starts.count())
 
+def prepared(df: DataFrame, key: str, ptr: list[str]) -> DataFrame:
+    """df without a column ``position``, which the sorts add."""
+    if "position" in {c.lower() for c in (key, *ptr)}:
+        raise ValueError("`position` is what a sort adds; rename the key or pointer column")
+    return df.select(*named([c for c in df.columns if c.lower() != "position"]))
 
-def _placed(dealt: DataFrame, starts: DataFrame, order: list, columns: list[str]) -> DataFrame:
-    rank = F.row_number().over(Window.partitionBy("range_id").orderBy(*order))
-    ranked = dealt.withColumn("__rank", rank)
-    placed = ranked.join(F.broadcast(starts.select("range_id", "range_start")), "range_id")  # a row a range
-    return placed.select((F.col("range_start") + F.col("__rank")).cast("long").alias("position"), *[f"`{c}`" for c in columns])
 
+def with_digits(df: DataFrame, key: str, width: int, ptr: list[str], full_key: str | None = None) -> tuple[DataFrame, str, int, list[str]]:
+    """df with the digits of its whole order, their column and number, and the columns that they leave unsettled.
 
-def adaptive_sort(df: DataFrame, key: str, ptr: list[str], width: int = 10, split_limit: int = 2_000_000, target_rows: int = 2_000_000, kernel: str = "jvm", compare_limit: int = 64, full_key: str | None = None) -> DataFrame:
-    """The adaptive most-significant-digit sort by hex key ``key`` and pointer columns ``ptr``.
+    After the key come digits of the full key or of the pointers, up to the first whose digits don't tell
+    all its values apart.
+    """
+    name = fresh(df, "digits")
+    k = F.col(f"`{key}`")
+    parts, size = [F.when(k.isNull(), F.lit("00" * (width + 1))).otherwise(F.concat(F.lit("01"), k))], width + 1
+    rest = [*([full_key] if full_key else []), *ptr]
+    while rest:
+        digits, more, whole = tie_digits(F.col(f"`{rest[0]}`"), df.schema[rest[0]].dataType)
+        parts.append(digits)
+        size += more
+        if not whole:
+            break
+        rest.pop(0)
+    return df.withColumn(name, F.concat(*parts)), name, size, rest
+
+
+class Ranges:
+    """Rows with their range: ``rows`` has the columns ``digits``, ``range_id`` and ``start`` under fresh names."""
+
+    def __init__(self, df: DataFrame, key: str, width: int, ptr: list[str], split_limit: int, target_rows: int, full_key: str | None = None, counted: DataFrame | None = None):
+        self.columns = df.columns
+        full, self.digits, self.width, self.rest = with_digits(df, key, width, ptr, full_key)
+        source = full if counted is None else with_digits(counted, key, width, ptr, full_key)[0].withColumnRenamed(fresh(counted, "digits"), self.digits)
+        self.cuts: Cuts = cut(source, F.col(f"`{self.digits}`"), self.width, split_limit, target_rows)
+        self.range_id, self.start = fresh(full, "range"), fresh(full, "start")
+        self.rows = deal(full, self.digits, self.cuts, range_id=self.range_id, start=self.start)
+
+    @property
+    def n(self) -> int:
+        return max(1, len(self.cuts.ranges))
+
+    def order(self, key: str, ptr: list[str], full_key: str | None = None) -> list:
+        return [F.col(f"`{c}`").asc_nulls_first() for c in [key, *([full_key] if full_key else []), *ptr]]
+
+    def spread(self) -> DataFrame:
+        """The one exchange of the rows."""
+        return self.rows.repartitionById(self.n, F.col(self.range_id))
+
+    def placed(self, rows: DataFrame, order: list) -> DataFrame:
+        rank = F.row_number().over(Window.partitionBy(self.range_id).orderBy(*order))
+        return rows.select((F.col(self.start) + rank).cast("long").alias("position"), *named(self.columns))
+
+
+def adaptive_sort(df: DataFrame, key: str, ptr: list[str], width: int = 10, split_limit: int = 2_000_000, target_rows: int = 2_000_000, kernel: str = "jvm", compare_limit: int | None = None, full_key: str | None = None, counted: DataFrame | None = None) -> DataFrame:
+    """The adaptive most-significant-digit sort by hex key ``key`` of ``width`` bytes and pointer columns ``ptr``.
 
     With kernel ``jvm`` a range is sorted by Spark; any name of KERNELS sorts it as key bytes and row
-    numbers in one Arrow task, and applies the order to the rows after. ``full_key`` orders rows
-    whose fixed-width keys are equal.
+    numbers in one Arrow task, and takes the payload in that order there. ``full_key`` orders rows
+    whose fixed-width keys are equal; its first 64 bytes part ranges, and rows equal in all of these stay
+    in one range. ``counted`` may hold the pairs of key and pointer, if they are cached somewhere.
     """
-    ties = [full_key] if full_key else []
-    dealt, starts, n = ranges(df, key, width, [] if ties else ptr, split_limit, target_rows)
-    spread = dealt.repartitionById(n, F.col("range_id"))
+    df = prepared(df, key, ptr)
+    ranges = Ranges(df, key, width, ptr, split_limit, target_rows, full_key, counted)
+    spread = ranges.spread()
     if kernel == "jvm":
-        return _placed(spread, starts, [key, *ties, *ptr], df.columns)
-    source = spread.join(F.broadcast(starts.select("range_id", "range_start")), "range_id").select("range_start", *[f"`{c}`" for c in df.columns], "__full")
+        return ranges.placed(spread, ranges.order(key, ptr, full_key))
+    source = spread.withColumn(ranges.digits, F.unhex(ranges.digits)).drop(ranges.range_id)
     schema = T.StructType([T.StructField("position", T.LongType()), *df.schema.fields])
-    return source.mapInArrow(_sorting(kernel, compare_limit, df.columns, ptr), schema)
+    return source.mapInArrow(_sorting(kernel, compare_limit, df.columns, ranges.rest, ranges.digits, ranges.width, ranges.start), schema)
+
+
+def key_bytes(column: pa.ChunkedArray, width: int) -> np.ndarray:
+    """Binary keys of equal width as rows of bytes, without copies where one chunk has them."""
+    whole = column.combine_chunks()
+    whole = whole.chunk(0) if isinstance(whole, pa.ChunkedArray) else whole
+    _, offsets, data = whole.buffers()
+    first = int(np.frombuffer(offsets, np.int32)[whole.offset])
+    return np.frombuffer(data, np.uint8, len(whole) * width, first).reshape(-1, width)
 
 
-def _sorting(kernel: str, compare_limit: int, columns: list[str], ptr: list[str]):
+def _sorting(kernel: str, compare_limit: int | None, columns: list[str], rest: list[str], digits: str, width: int, start: str):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        table = pa.Table.from_batches(list(batches)) if (batches := list(batches)) else None  # one range: bounded by its size
-        if table is None or not table.num_rows:
+        own = [b for b in batches if b.num_rows]
+        if not own:
             return
-        keys = table.column("__full").to_pylist()
-        own = as_bytes(keys, len(keys[0]) // 2)
-        order = KERNELS[kernel](own)
-        rest = [c for c in ptr if not pa.types.is_integer(table.schema.field(c).type)]
-        if rest:  # pointers without digits settle what is left
-            same = np.cumsum(np.concatenate([[0], (own[order][1:] != own[order][:-1]).any(1)]))
-            order = order[np.lexsort([*(table.column(c).to_numpy()[order] for c in reversed(rest)), same])]
-        start = table.column("range_start")[0].as_py()
-        out = table.take(pa.array(order)).select(columns)
-        yield from out.add_column(0, pa.field("position", pa.int64()), pa.array(start + 1 + np.arange(len(order)))).to_batches()
+        table = pa.Table.from_batches(own)  # one range: bounded by its size
+        keys = key_bytes(table.column(digits), width)
+        order = KERNELS[kernel](keys) if compare_limit is None else KERNELS[kernel](keys, compare_limit)
+        if rest and len(order) > 1:  # columns without full digits settle what is left
+            ranked = keys[order]
+            same = np.cumsum(np.concatenate([[0], (ranked[1:] != ranked[:-1]).any(1)]))
+            if same[-1] + 1 < len(same):
+                ties = pa.table([pa.array(same), *[table.column(c).take(pa.array(order)) for c in rest]], names=[str(i) for i in range(len(rest) + 1)])
+                order = order[pc.sort_indices(ties, [(str(i), "ascending") for i in range(len(rest) + 1)], null_placement="at_start").to_numpy()]
+        first = table.column(start)[0].as_py()
+        out = table.select(columns).take(pa.array(order))
+        yield from out.add_column(0, pa.field("position", pa.int64()), pa.array(first + 1 + np.arange(len(order)))).to_batches(100_000)
 
     return run
 
 
 def static_sort(df: DataFrame, key: str, ptr: list[str], depth: int = 1) -> DataFrame:
     """The plain form: one task for each value of the first digits, whatever its size."""
-    tree = df.groupBy(F.substring(key, 1, 2 * depth).alias("prefix")).agg(F.count("*").alias("n"))
+    df = prepared(df, key, ptr)
+    name = fresh(df, "key")
+    keyed = df.withColumn(name, F.coalesce(F.col(f"`{key}`"), F.lit("")))
+    tree = keyed.groupBy(F.substring(name, 1, 2 * depth).alias("prefix")).agg(F.count("*").alias("n"))
     tree = kept(pack_ranges(tree.withColumn("depth", F.lit(depth)), 1), "static")
-    starts = tree.select("range_id", F.col("start").alias("range_start"))
-    dealt = assign(df, key, tree, ["range_id"]).repartitionById(max(1, tree.count()), F.col("range_id"))
-    return _placed(dealt, starts, [key, *ptr], df.columns)
+    at, start = fresh(keyed, "range"), fresh(keyed, "start")
+    dealt = assign(keyed, name, tree.withColumnsRenamed({"range_id": at, "start": start}), [at, start]).repartitionById(max(1, tree.count()), F.col(at))
+    rank = F.row_number().over(Window.partitionBy(at).orderBy(*[F.col(f"`{c}`").asc_nulls_first() for c in (key, *ptr)]))
+    return dealt.select((F.col(start) + rank).cast("long").alias("position"), *named(df.columns))
 
 
 def lsd_distributed(df: DataFrame, key: str, ptr: list[str], width: int) -> DataFrame:
     """Least significant digit first over the cluster: a pass, and a shuffle, for each digit; for small data only."""
-    at = df.withColumn("__at", F.row_number().over(Window.orderBy(*ptr)))
+    df = prepared(df, key, ptr)
+    name = fresh(df, "at")
+    at = df.withColumn(name, F.row_number().over(Window.orderBy(*named(ptr))))
     for d in range(width - 1, -1, -1):
-        at = kept(at.withColumn("__at", F.row_number().over(Window.orderBy(F.substring(key, 2 * d + 1, 2), "__at"))), "pass")
-    return at.select(F.col("__at").cast("long").alias("position"), *[f"`{c}`" for c in df.columns])
+        at = kept(at.withColumn(name, F.row_number().over(Window.orderBy(F.substring(f"`{key}`", 2 * d + 1, 2), name))), "pass")
+    return at.select(F.col(name).cast("long").alias("position"), *named(df.columns))
 
 
 def lpt_sort(df: DataFrame, key: str, ptr: list[str], workers: int = 8) -> DataFrame:
     """Buckets of two digits dealt to workers by size, whole; starts come from the histogram."""
     from ..plans.tree import offsets, pack_lpt
 
-    tree = kept(df.groupBy(F.substring(key, 1, 4).alias("prefix")).agg(F.count("*").alias("n")), "lpt")
+    df = prepared(df, key, ptr)
+    name = fresh(df, "key")
+    keyed = df.withColumn(name, F.coalesce(F.col(f"`{key}`"), F.lit("")))
+    tree = kept(keyed.groupBy(F.substring(name, 1, 4).alias("prefix")).agg(F.count("*").alias("n")), "lpt")
     placed = offsets(tree).join(pack_lpt(tree, workers).select("prefix", "worker"), "prefix").withColumn("depth", F.lit(2))
-    dealt = assign(df, key, kept(placed, "lpt"), ["worker", "start", "prefix"]).repartitionById(workers, F.col("worker"))
-    rank = F.row_number().over(Window.partitionBy("worker", "prefix").orderBy(key, *ptr))
-    return dealt.select((F.col("start") + rank).cast("long").alias("position"), *[f"`{c}`" for c in df.columns])
+    worker, start, bucket = fresh(keyed, "worker"), fresh(keyed, "start"), fresh(keyed, "bucket")
+    placed = kept(placed.withColumn(bucket, F.col("prefix")).withColumnsRenamed({"worker": worker, "start": start}), "lpt")
+    dealt = assign(keyed, name, placed, [worker, start, bucket]).repartitionById(workers, F.col(worker))
+    rank = F.row_number().over(Window.partitionBy(worker, bucket).orderBy(*[F.col(f"`{c}`").asc_nulls_first() for c in (key, *ptr)]))
+    return dealt.select((F.col(start) + rank).cast("long").alias("position"), *named(df.columns))
 
 
 def gather(order: DataFrame, records: DataFrame, ptr: list[str]) -> DataFrame:
@@ -113,15 +177,17 @@ def gather(order: DataFrame, records: DataFrame, ptr: list[str]) -> DataFrame:
 
 
 def select_rank(df: DataFrame, key: str, rank: int, width: int) -> str:
-    """The key of a rank (from 1), by descending only the bucket that holds it."""
+    """The key of a rank (from 1), by descending only the bucket that holds it; shared digits are skipped in one scan."""
     found, left = "", rank
     while len(found) < 2 * width:
-        below = df.where(F.col(key).startswith(found)).groupBy(F.substring(key, len(found) + 1, 2).alias("digit")).count()
-        for r in below.orderBy("digit").collect():  # at most 256 rows
-            if left <= r["count"]:
-                found += r["digit"]
+        below = df.where(F.col(key).startswith(found)).groupBy(F.substring(key, len(found) + 1, 4).alias("digits"))
+        for r in below.agg(F.count("*").alias("n"), F.min(key).alias("low"), F.max(key).alias("high")).orderBy("digits").collect():  # at most 65,536 rows
+            if left <= r["n"]:
+                if r["low"] == r["high"]:
+                    return r["low"]
+                found += r["digits"]
                 break
-            left -= r["count"]
+            left -= r["n"]
         else:
             raise IndexError("rank beyond the rows")
     return found

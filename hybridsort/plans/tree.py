@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import functools
 import os
 
 from pyspark.sql import Column, DataFrame, Window
@@ -18,9 +19,9 @@ def digit_histogram(df: DataFrame, key: Column, depth: int, within: DataFrame |
     """prefix, n of all prefixes of ``depth`` digits, or of those below the prefixes of ``within``."""
     rows = df.select(key.alias("k"))
     if within is not None:
-        above = within.first()
-        size = len(above["prefix"]) // 2 if above else 0
-        rows = rows.withColumn("prefix", prefix(F.col("k"), size)).join(F.broadcast(within.select("prefix")), "prefix", "left_semi")
+        sizes = [r[0] for r in within.select(F.length("prefix")).distinct().collect()]  # at most the key width
+        parts = [rows.withColumn("prefix", F.substring("k", 1, n)).join(within.select("prefix"), "prefix", "left_semi") for n in sizes]
+        rows = functools.reduce(DataFrame.unionByName, parts) if parts else rows.limit(0)
     return rows.groupBy(prefix(F.col("k"), depth).alias("prefix")).agg(F.count("*").alias("n"))
 
 
@@ -49,7 +50,7 @@ def leaves(df: DataFrame, key: Column, width: int, split_limit: int, step: int =
         to = min(width, depth + step)
         part = rows
         if heavy is not None:
-            part = rows.withColumn("above", prefix(F.col("k"), depth)).join(F.broadcast(heavy.select(F.col("prefix").alias("above"))), "above", "left_semi")
+            part = rows.withColumn("above", prefix(F.col("k"), depth)).join(heavy.select(F.col("prefix").alias("above")), "above", "left_semi")  # Spark broadcasts it where its size allows
         counted = kept(part.groupBy(prefix(F.col("k"), to).alias("prefix")).agg(F.count("*").alias("n")), "histogram")
         open_ = counted
         for d in range(depth + 1, to + 1):
@@ -57,7 +58,7 @@ def leaves(df: DataFrame, key: Column, width: int, split_limit: int, step: int =
             done = level.where((F.col("total") <= split_limit) | F.lit(d == width))
             found.append(done.select(F.col("above").alias("prefix"), F.lit(d).alias("depth"), F.col("total").alias("n")))
             more = level.where(F.col("total") > split_limit) if d < width else level.limit(0)
-            open_ = open_.withColumn("above", prefix(F.col("prefix"), d)).join(F.broadcast(more.select("above")), "above", "left_semi").select("prefix", "n")
+            open_ = open_.withColumn("above", prefix(F.col("prefix"), d)).join(more.select("above"), "above", "left_semi").select("prefix", "n")
         heavy = kept(open_, "heavy")
         depth = to
         if depth == width or not heavy.limit(1).count():

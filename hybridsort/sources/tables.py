@@ -14,16 +14,46 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def shared_dir(spark: SparkSession) -> str:
+    """The folder of spark.checkpoint.dir. A temporary one stands in for it only where driver and executors are one process."""
+    found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
+    if found:
+        return found.rstrip("/")
+    master = spark.sparkContext.master
+    if not master.startswith("local") or master.startswith("local-cluster"):
+        raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
+    application = spark.sparkContext.applicationId
+    if application not in _own:
+        _own[application] = tempfile.mkdtemp(prefix="hybridsort-")
+    return _own[application]
+
+
 def scratch(spark: SparkSession, tag: str) -> str:
-    """A fresh path in the folder of spark.checkpoint.dir; a temporary folder only where that is unset."""
-    base = spark.sparkContext.getConf().get("spark.checkpoint.dir")
-    if not base:
-        base = _own.setdefault(spark.sparkContext.applicationId, "") or _own.__setitem__(spark.sparkContext.applicationId, tempfile.mkdtemp(prefix="hybridsort-")) or _own[spark.sparkContext.applicationId]
-    return f"{base}/{tag}-{uuid.uuid4().hex}"
+    """A fresh path in the shared folder."""
+    return f"{shared_dir(spark)}/{tag}-{uuid.uuid4().hex}"
 
 
 def kept(df: DataFrame, tag: str = "kept") -> DataFrame:
-    """Write a small result and read it back, which cuts its lineage and survives lost executors."""
+    """Write a result and read it back, which cuts its lineage and survives lost executors."""
     path = scratch(df.sparkSession, tag)
     df.write.parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
+def delete(spark: SparkSession, path: str) -> None:
+    to = spark._jvm.org.apache.hadoop.fs.Path(path)
+    to.getFileSystem(spark._jsc.hadoopConfiguration()).delete(to, True)
+
+
+def exists(spark: SparkSession, path: str) -> bool:
+    to = spark._jvm.org.apache.hadoop.fs.Path(path)
+    return to.getFileSystem(spark._jsc.hadoopConfiguration()).exists(to)
+
+
+def fresh(df: DataFrame, name: str) -> str:
+    """A column name that df does not have yet, in any case."""
+    taken = {c.lower() for c in df.columns}
+    name = f"__{name}"
+    while name.lower() in taken:
+        name += "_"
+    return name

@@ -6,9 +6,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.keys import uniform_binary
-from ..operators.external import merge_runs, read_runs
-from ..plans.tree import leaves, pack_ranges
-from ..sources.tables import kept, scratch, table
+from ..operators.external import external_sort
+from ..sources.tables import scratch, table
 
 
 def source(spark: SparkSession, sf_dir: str, name: str, files: int = 4) -> DataFrame:
@@ -40,16 +39,12 @@ def sorted_from_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
     path, marks = scratch(spark, "runs"), scratch(spark, "runs-marks")
 
     def put(batch: DataFrame, number: int) -> None:
-        batch.withColumn("run_id", F.lit(int(number))).sortWithinPartitions("k", "event_id").write.mode("overwrite").parquet(f"{path}/batch={number}")
+        batch.sortWithinPartitions("k", "event_id").write.mode("overwrite").parquet(f"{path}/batch={number}")
 
     stream.writeStream.foreachBatch(put).option("checkpointLocation", marks).trigger(availableNow=True).start().awaitTermination()
-    runs = read_runs(spark, path).drop("batch")
+    runs = spark.read.parquet(path).drop("batch")
     target = max(1000, min(2_000_000, runs.count() // 8))
-    tree = kept(pack_ranges(leaves(runs, F.col("k"), 10, target // 10), target), "ranges")
-    starts = kept(tree.groupBy("range_id").agg(F.min("start").alias("range_start")), "starts")
-    from ..plans.tree import assign
-
-    return merge_runs(assign(runs, "k", tree, ["range_id"]), starts, "k", ["event_id"], ["k", "event_id"], max(1, starts.count()))
+    return external_sort(runs, "k", ["event_id"], 10, target // 10, target)
 
 
 def histogram_from_stream(spark: SparkSession, sf_dir: str) -> DataFrame:

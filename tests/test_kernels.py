@@ -45,5 +45,16 @@ def test_two_digit_passes():
 
 
 def test_merge():
-    runs = [sorted(random.Random(s).choices(range(50), k=20)) for s in range(5)] + [[]]
-    assert list(kway_merge(runs)) == sorted(sum(runs, []))
+    runs = [rows(20 * s, 3, 3, s) for s in (3, 0, 1, 5, 2)]
+    runs = [r[KERNELS["stable"](r)] for r in runs]
+    every = np.concatenate(runs)
+    assert kway_merge(runs).tolist() == sorted(range(len(every)), key=lambda i: (every[i].tolist(), i))
+    assert kway_merge([]).tolist() == [] and kway_merge(runs[:1]).tolist() == list(range(60))
+
+
+@pytest.mark.parametrize("limit", [None, 0, 8, 1000])
+@pytest.mark.parametrize("name", ["msd", "msd_blocked"])
+def test_limits_do_not_change_the_order(name, limit):
+    for n, width, values in ((3000, 17, 2), (2500, 1, 7), (1200, 9, 256)):
+        keys = rows(n, width, values)
+        assert KERNELS[name](keys, limit).tolist() == sorted(range(n), key=lambda i: (keys[i].tolist(), i))
