@@ -2,7 +2,7 @@
 
 Every stage takes (spark, docs, sf_dir) and returns a DataFrame; all but the last return the columns
 of documents. ``run`` writes each stage's result to the shared folder and reads it as the next one's
-input, so a lost executor never costs more than a stage.
+input, so a lost executor never costs more than a stage; what a stage left there besides is deleted then.
 """
 
 from __future__ import annotations
@@ -10,7 +10,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 
 from hybridsort.llm import stages
-from hybridsort.llm.common import staged, table
+from hybridsort.llm.common import delete_staged, staged, table
 from hybridsort.ship import ship
 
 STAGES = [
@@ -30,6 +30,7 @@ def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     for name, stage in STAGES:
         docs = staged(stage(spark, docs, sf_dir), name)
+        delete_staged(spark, keep=docs)
     return docs
 
 

@@ -2,8 +2,9 @@
 
 from __future__ import annotations
 
-import tempfile
-import uuid
+import contextlib
+import ctypes
+import functools
 from collections.abc import Iterator
 
 import numpy as np
@@ -13,6 +14,8 @@ import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..sources.tables import delete, scratch
+
 #: The six ASCII white-space bytes; every other byte belongs to a word.
 SPACE = np.zeros(256, dtype=bool)
 SPACE[[9, 10, 11, 12, 13, 32]] = True
@@ -25,24 +28,50 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The cluster's shared folder; a temporary one only where none is set (tests)."""
-    found = spark.sparkContext.getConf().get("spark.checkpoint.dir") or spark.conf.get("spark.checkpoint.dir", None)
-    if not found:
-        found = getattr(shared_dir, "own", None)
-        if found is None:
-            found = shared_dir.own = tempfile.mkdtemp(prefix="hybridsort-")
-    return found
+#: Paths staged since they were last deleted, by application.
+_staged: dict[str, list[str]] = {}
 
 
 def staged(df: DataFrame, tag: str) -> DataFrame:
     """Write df to the shared folder and read it back: lineage is cut, and a lost executor costs nothing."""
     spark = df.sparkSession
-    path = f"{shared_dir(spark)}/{tag}-{uuid.uuid4().hex}"
+    path = scratch(spark, tag)
     df.write.parquet(path)
+    _staged.setdefault(spark.sparkContext.applicationId, []).append(path)
     return spark.read.schema(df.schema).parquet(path)
 
 
+def delete_staged(spark: SparkSession, keep: DataFrame) -> None:
+    """Delete what was staged so far but the table ``keep``, whose rows must depend on no other."""
+    files = set(keep.inputFiles())
+    paths = _staged.get(spark.sparkContext.applicationId, [])
+    for path in list(paths):
+        name = path.rsplit("/", 1)[-1]
+        if not any(f"/{name}/" in f for f in files):
+            delete(spark, path)
+            paths.remove(path)
+
+
+def give_back() -> None:
+    """Return freed memory to the system, as Python workers live on from task to task."""
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(AttributeError, OSError):  # other C libraries
+        ctypes.CDLL(None).malloc_trim(0)
+
+
+def tidy(run):
+    """A function for mapInArrow that gives memory back when its task ends."""
+
+    @functools.wraps(run)
+    def tidied(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        try:
+            yield from run(batches)
+        finally:
+            give_back()
+
+    return tidied
+
+
 def without(df: DataFrame, *names: str) -> DataFrame:
     """df less the columns (in any case) that an operator is about to add."""
     taken = {n.lower() for n in names}

@@ -7,8 +7,8 @@ items. Only stretches whose every pair of neighbouring words occurs in the bench
 as no window can match elsewhere; they are found for a whole buffer at once.
 
 The automaton is broadcast, so its size is bounded: items are taken in blocks of at most
-``block_words`` words, each block has an automaton of its own, and the passes follow each other
-without a shuffle.
+``block_words`` words, and each block has an automaton and a pass of its own. Between passes the rows
+are staged, so that a task holds one automaton at a time.
 
 Defined results: null or empty text has no words and no hits; an item without words has no window;
 null items are ignored; repeated rows are judged each; an empty benchmark hits nothing; further
@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import column, old_names, plain_names, text_slices, without
+from .common import column, light_batches, old_names, plain_names, staged, text_slices, tidy, without
 
 #: ASCII letters (made lower-case), digits and all bytes of other characters stay; the rest parts words.
 NORMAL = bytes(b + 32 if 65 <= b <= 90 else b if 48 <= b <= 57 or 97 <= b <= 122 or b >= 128 else 32 for b in range(256))
@@ -195,10 +195,13 @@ def _merged(runs: list[tuple[int, int]]) -> list[tuple[int, int]]:
     return out
 
 
-def _finding(shared):
+def _finding(shared, covered: float | None = None):
+    """The pass of one block. With ``covered`` it is the last one, drops documents whose hit words exceed that share, and cuts the texts of the others."""
+
+    @tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         automaton = shared.value
-        for batch in batches:
+        for batch in light_batches(batches):
             old_spans, old_items = column(batch, "hit_spans").to_pylist(), column(batch, "hit_items").to_pylist()
             n_words: list[int] = []
             for first, rows, buffer, starts in text_slices(column(batch, "text")):
@@ -209,21 +212,38 @@ def _finding(shared):
                     old_spans[first + row] = [{"first": a, "past": b} for a, b in _merged(old + runs)]
                     old_items[first + row] = sorted(items.union(old_items[first + row]))
             new = {"hit_spans": old_spans, "hit_items": old_items, "n_words": n_words}
-            yield pa.RecordBatch.from_arrays([pa.array(new[f.name], f.type) if f.name in new else column(batch, f.name) for f in batch.schema], schema=batch.schema)
+            if covered is not None and any(old_spans):
+                texts = column(batch, "text")
+                new["text"] = [_cut(t.as_py(), s) if s else t.as_py() for t, s in zip(texts, old_spans, strict=True)]
+            out = pa.RecordBatch.from_arrays([pa.array(new[f.name], f.type) if f.name in new else column(batch, f.name) for f in batch.schema], schema=batch.schema)
+            if covered is not None:
+                hit = [sum(s["past"] - s["first"] for s in spans) for spans in old_spans]
+                out = out.filter(pa.array([not n or h <= covered * n for h, n in zip(hit, n_words, strict=True)], pa.bool_()))
+            yield out
 
     return run
 
 
-def find(docs: DataFrame, benchmark: DataFrame, window: int = 10, block_words: int = 500_000) -> DataFrame:
-    """docs with n_words (long), hit_spans (word ranges, disjoint, in order) and hit_items (item ids, sorted)."""
+def _passes(docs: DataFrame, benchmark: DataFrame, window: int, block_words: int, covered: float | None = None) -> DataFrame:
     docs = without(docs, "n_words", "hit_spans", "hit_items")
     out = docs.withColumns({"n_words": F.lit(0).cast("long"), "hit_spans": F.array().cast(SPANS), "hit_items": F.array().cast("array<long>")})
-    for block in _blocks(benchmark, block_words):
+    blocks = _blocks(benchmark, block_words)
+    block = next(blocks)
+    while block is not None:
+        after = next(blocks, None)
         shared = docs.sparkSession.sparkContext.broadcast(Automaton(block, window))  # bounded by block_words
-        out = out.mapInArrow(_finding(shared), out.schema)
+        out = out.mapInArrow(_finding(shared, covered if after is None else None), out.schema)
+        if after is not None:  # a task never holds two automata
+            out = staged(out, "decontaminated")
+        block = after
     return out
 
 
+def find(docs: DataFrame, benchmark: DataFrame, window: int = 10, block_words: int = 500_000) -> DataFrame:
+    """docs with n_words (long), hit_spans (word ranges, disjoint, in order) and hit_items (item ids, sorted)."""
+    return _passes(docs, benchmark, window, block_words)
+
+
 def _cut(text: str, spans: list) -> str:
     """text without the hit words and what stands between them."""
     raw = text.encode()
@@ -238,24 +258,14 @@ def _cut(text: str, spans: list) -> str:
     return b"".join([*keep, raw[at:]]).decode()
 
 
-def clean(docs: DataFrame, benchmark: DataFrame, window: int = 10, longest_coverage: float = 0.5) -> DataFrame:
+def clean(docs: DataFrame, benchmark: DataFrame, window: int = 10, longest_coverage: float = 0.5, block_words: int = 500_000) -> DataFrame:
     """docs with hit spans cut out of the text; a document whose hit words exceed the coverage limit is dropped.
 
     ``n_chars``, if it is a column, follows the text.
     """
     docs, old = plain_names(docs)
     names = docs.columns
-    found = find(docs, benchmark, window)
-    hit = F.aggregate("hit_spans", F.lit(0), lambda n, s: n + s["past"] - s["first"])
-    found = found.where((F.col("n_words") == 0) | (hit <= longest_coverage * F.col("n_words")))
-
-    def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            spans, texts = column(batch, "hit_spans").to_pylist(), column(batch, "text")
-            new = pa.array([_cut(t.as_py(), s) if s else t.as_py() for t, s in zip(texts, spans, strict=True)], texts.type)
-            yield pa.RecordBatch.from_arrays([new if f.name == "text" else column(batch, f.name) for f in batch.schema], schema=batch.schema)
-
-    out = found.mapInArrow(cut, found.schema)
+    out = _passes(docs, benchmark, window, block_words, longest_coverage)
     if "n_chars" in names:
         out = out.withColumn("n_chars", F.when(F.size("hit_spans") > 0, F.char_length("text").cast(docs.schema["n_chars"].dataType)).otherwise(F.col("n_chars")))
     return old_names(out.select(*names), old)

@@ -27,7 +27,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import column, gram_hashes, mix, split_words, staged, text_slices, word_hashes
+from .common import column, gram_hashes, light_batches, mix, split_words, staged, text_slices, tidy, word_hashes
 from .components import components
 
 #: Shingles of the sets that a task holds while others are streamed past.
@@ -76,9 +76,10 @@ def band_keys(found: np.ndarray, bands: int, rows: int, order: np.ndarray) -> np
 
 
 def _describing(width: int, bands: int, rows: int):
+    @tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         order = donors(bands * rows)
-        for batch in batches:
+        for batch in light_batches(batches):
             n, keys, buckets = [], [], []
             for _, _, buffer, starts in text_slices(column(batch, "text")):
                 for found in shingle_sets(buffer, starts, width):
@@ -92,8 +93,9 @@ def _describing(width: int, bands: int, rows: int):
 
 
 def _setting(width: int):
+    @tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in light_batches(batches, limit=4 << 20):
             keys, sets = [], []
             for _, _, buffer, starts in text_slices(column(batch, "text")):
                 for found in shingle_sets(buffer, starts, width):

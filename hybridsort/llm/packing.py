@@ -26,7 +26,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import column, staged
+from .common import column, light_batches, staged, tidy
 
 #: A blank after white space: only there may a split at blanks part what the tokenizer keeps together.
 UNEVEN = re.compile(r"\s ")
@@ -64,6 +64,11 @@ class Encoder:
         self.encode = tiktoken.Encoding("byte_bpe", pat_str=pattern, mergeable_ranks=ranks, special_tokens={}).encode_ordinary
         self.first, self.rest = _Ids(self.encode, ""), _Ids(self.encode, " ")
 
+    def forget(self) -> None:
+        """Let go of the words met, as the worker lives on."""
+        self.first.clear()
+        self.rest.clear()
+
     def __call__(self, text: str) -> bytes:
         if UNEVEN.search(text):
             return array("I", self.encode(text)).tobytes()
@@ -115,7 +120,7 @@ def _pack_partition(batches: Iterator[pa.RecordBatch], size: int, open_windows:
     windows: list[list] = []  # [gap, sequence id, pieces]
     rows, schema = _Rows(keep_ids), None
 
-    for batch in batches:
+    for batch in light_batches(batches):
         schema = schema or _schema(column(batch, "doc_id").type)
         for key, text in zip(column(batch, "doc_id").to_pylist(), column(batch, "text"), strict=True):
             ids = encode(text.as_py() or "") + b"\0\0\0\0"
@@ -146,6 +151,7 @@ def _pack_partition(batches: Iterator[pa.RecordBatch], size: int, open_windows:
                     rows.window(best[1], best[2], False)
             if len(rows.columns[0]) >= 4096:
                 yield rows.batch(schema)
+    encode.forget()
     if schema is not None:
         for _, sequence, pieces in windows:
             rows.window(sequence, pieces, True)
@@ -200,6 +206,7 @@ def pack(docs: DataFrame, size: int = 1024, open_windows: int = 32, least_cut: i
     parts = source.rdd.getNumPartitions()
     out = f"doc_id {key}, {FIELDS}"
 
+    @tidy
     def pack_partition(batches):
         return _pack_partition(batches, size, open_windows, least_cut, vocabulary, keep_ids)
 

@@ -39,7 +39,7 @@ from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import SPACE, column, gram_hashes, light_batches, mix, packed, split_words, staged, text_slices, unpacked, without, word_hashes
+from .common import SPACE, column, give_back, gram_hashes, light_batches, mix, packed, split_words, staged, text_slices, tidy, unpacked, without, word_hashes
 
 ORDER, BITS = 4, 6
 GAP = b"\n" * (ORDER - 1)
@@ -74,6 +74,7 @@ def packed_grams(buffer: bytes) -> np.ndarray:
     return c[3:] | (c[2:-1] << np.uint32(BITS)) | (c[1:-2] << np.uint32(2 * BITS)) | (c[:-3] << np.uint32(3 * BITS))
 
 
+@tidy
 def _count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         langs = np.array([x or "" for x in column(batch, "lang").to_pylist()], object)
@@ -321,6 +322,7 @@ def _pairing(shards: int):
             for s, (a, b) in enumerate(zip(found.edge[:-1].tolist(), found.edge[1:].tolist(), strict=True)):
                 if b > a:
                     rows.append((part["part"][0].as_py(), lang, s, packed(np.diff(found.code[a:b], prepend=np.uint64(0)).view(np.int64)), packed(found.count[a:b])))
+        give_back()
         return _table(rows, "part long, lang string, shard int, pairs binary, counts binary")
 
     return run
@@ -380,6 +382,7 @@ def _scoring(shared, cuts: dict[str, tuple[float, float, float]], keep: list[str
             if len(totals) != len(found.code) or follows.shape[1] != len(found.firsts()):
                 raise RuntimeError("a part has other rows than were counted: its input is not repeatable")
             spent += np.bincount(row, found.bits(totals, follows, cuts[lang], np.exp2(-np.minimum(own, 200.0))), len(spent))
+        give_back()
         return out.append_column(MEASURES[-1], pa.array(spent / np.maximum(1, _sizes(table))))
 
     return run
@@ -457,6 +460,7 @@ def judge(docs: DataFrame, spread: float = 3.0, keep: list[str] | None = None, p
     shards = max(1, int(spark.conf.get("spark.sql.shuffle.partitions")) // TO_A_SHARD)
     rows = docs.select(*dict.fromkeys([*keep, "text", "lang"])).withColumn("text_digest", text_digest())
 
+    @tidy
     def gather(batches):
         return _gathered(batches, part_bytes)
 

@@ -28,7 +28,7 @@ import xxhash
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import column, light_batches, mix, staged, text_slices
+from .common import column, light_batches, mix, staged, text_slices, tidy
 
 NO_ID = -(1 << 63)
 #: Occurrences in one batch from which a key is frequent, and in all.
@@ -117,8 +117,9 @@ def segments(hashes: np.ndarray, first: np.ndarray, kind: Kind) -> tuple[np.ndar
 
 
 def _keys(kind: Kind):
+    @tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in light_batches(batches):
             k1, k2 = column(batch, "k1").to_numpy(), column(batch, "k2").to_numpy()
             found: list[tuple] = []
             for at, _, buffer, starts in text_slices(column(batch, "text"), b"\n"):
@@ -151,6 +152,7 @@ def _keys(kind: Kind):
 
 
 def _cutting(kind: Kind):
+    @tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in light_batches(batches):
             k1, k2 = column(batch, "k1").to_pylist(), column(batch, "k2").to_pylist()
@@ -266,6 +268,7 @@ class _Shard:
 
 
 def _solving(kind: Kind):
+    @tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         shard, rest = _Shard(kind), []
         for batch in batches:
@@ -288,6 +291,7 @@ def _solving(kind: Kind):
 
 
 def _applying(kind: Kind):
+    @tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in light_batches(batches):
             n, removed, runs, kept = [], [], [], []
