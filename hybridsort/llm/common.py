@@ -5,6 +5,7 @@ from __future__ import annotations
 import contextlib
 import ctypes
 import functools
+import uuid
 from collections.abc import Iterator
 
 import numpy as np
@@ -41,6 +42,14 @@ def staged(df: DataFrame, tag: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def bucketed(df: DataFrame, key: str, tag: str) -> tuple[str, str]:
+    """Write df as a table bucketed by ``key`` for the session's number of shuffle partitions; its name and path."""
+    spark = df.sparkSession
+    path, name = scratch(spark, tag), f"{tag}_{uuid.uuid4().hex}"
+    df.write.bucketBy(int(spark.conf.get("spark.sql.shuffle.partitions")), key).option("path", path).saveAsTable(name)
+    return name, path
+
+
 def delete_staged(spark: SparkSession, keep: DataFrame) -> None:
     """Delete what was staged so far but the table ``keep``, whose rows must depend on no other."""
     files = set(keep.inputFiles())

@@ -16,7 +16,7 @@ a language of few or very like texts keeps a band.
 Above that stands a model of pairs of word pieces, whose number grows with the input: a word and the blank
 before it are cut into pieces of four bytes, and a piece is foretold by the one before it, across words
 too. Its modified Kneser-Ney estimate leans on the character model for a piece's own probability. No task
-holds this model. Rows are gathered into parts of a few megabytes, which are exchanged compressed; a part
+holds this model. Rows are gathered into compressed parts of a few megabytes, staged in buckets; a part
 counts its pairs and sends them, as sorted arrays of differences, to shards by the hash of the first
 piece. A shard adds the counts up and answers each part, in the order of its pairs, with totals and with
 what follows each first piece. A text's own pairs are taken off all these numbers exactly, as it
@@ -30,7 +30,7 @@ but once in the band; a text without any character scores 0 bits.
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -39,7 +39,8 @@ from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import SPACE, column, give_back, gram_hashes, light_batches, mix, packed, split_words, staged, text_slices, tidy, unpacked, without, word_hashes
+from ..sources.tables import delete
+from .common import SPACE, bucketed, column, give_back, gram_hashes, light_batches, mix, packed, split_words, staged, text_slices, tidy, unpacked, without, word_hashes
 
 ORDER, BITS = 4, 6
 GAP = b"\n" * (ORDER - 1)
@@ -309,21 +310,22 @@ def _gathered(batches: Iterator[pa.RecordBatch], part_bytes: int) -> Iterator[pa
         yield part()
 
 
-def _opened(part: pa.Table) -> pa.Table:
-    tables = [pa.ipc.open_stream(x.as_py()).read_all() for x in part["rows"]]
-    return pa.concat_tables(tables).combine_chunks()
+def _opened(rows: Iterable[pa.Scalar]) -> pa.Table:
+    return pa.concat_tables([pa.ipc.open_stream(x.as_buffer()).read_all() for x in rows]).combine_chunks()
 
 
 def _pairing(shards: int):
-    def run(part: pa.Table) -> pa.Table:
-        rows = []
-        for lang, row, code, _ in _texts(_opened(part)):
-            found = Pairs(code, row, shards)
-            for s, (a, b) in enumerate(zip(found.edge[:-1].tolist(), found.edge[1:].tolist(), strict=True)):
-                if b > a:
-                    rows.append((part["part"][0].as_py(), lang, s, packed(np.diff(found.code[a:b], prepend=np.uint64(0)).view(np.int64)), packed(found.count[a:b])))
-        give_back()
-        return _table(rows, "part long, lang string, shard int, pairs binary, counts binary")
+    @tidy
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for part, value in zip(column(batch, "part").to_pylist(), column(batch, "rows"), strict=True):
+                rows = []
+                for lang, row, code, _ in _texts(_opened([value])):
+                    found = Pairs(code, row, shards)
+                    for s, (a, b) in enumerate(zip(found.edge[:-1].tolist(), found.edge[1:].tolist(), strict=True)):
+                        if b > a:
+                            rows.append((part, lang, s, packed(np.diff(found.code[a:b], prepend=np.uint64(0)).view(np.int64)), packed(found.count[a:b])))
+                yield from _table(rows, "part long, lang string, shard int, pairs binary, counts binary").to_batches()
 
     return run
 
@@ -365,7 +367,7 @@ def _scoring(shared, cuts: dict[str, tuple[float, float, float]], keep: list[str
     lookups: dict[str, _Lookup] = {}
 
     def run(part: pa.Table, answers: pa.Table) -> pa.Table:
-        table = _opened(part)
+        table = _opened(part["rows"])
         if not lookups:
             lookups.update({lang: _Lookup(model) for lang, model in shared.value.items()})
         bits: list[np.ndarray] = []
@@ -464,13 +466,17 @@ def judge(docs: DataFrame, spread: float = 3.0, keep: list[str] | None = None, p
     def gather(batches):
         return _gathered(batches, part_bytes)
 
-    parts = rows.mapInArrow(gather, "part long, rows binary").groupBy("part")  # one exchange for counts and scores
-    asked = parts.applyInArrow(_pairing(shards), "part long, lang string, shard int, pairs binary, counts binary")
+    # a bucketed table: counted as it stands, and brought together with the answers without an exchange
+    name, path = bucketed(rows.mapInArrow(gather, "part long, rows binary"), "part", "parts")
+    parts = spark.table(name)
+    asked = parts.mapInArrow(_pairing(shards), "part long, lang string, shard int, pairs binary, counts binary")
     answers = staged(asked.groupBy("lang", "shard").applyInArrow(_answer, ANSWER), "answers")
     counts = answers.where("part < 0").groupBy("lang").agg(*[F.sum(f"n{k}") for k in (1, 2, 3, 4)]).collect()  # a row a language
     cuts = {r[0]: discounts(*r[1:]) for r in counts}
-    measured = parts.cogroup(answers.where("part >= 0").groupBy("part")).applyInArrow(_scoring(shared, cuts, carried, shards), schema)
+    measured = parts.groupBy("part").cogroup(answers.where("part >= 0").groupBy("part")).applyInArrow(_scoring(shared, cuts, carried, shards), schema)
     measured = staged(measured, "measured")
+    spark.sql(f"drop table {name}")
+    delete(spark, path)
     measured = measured.withColumn("base_failed", (F.col("n_words") < 50) | (100 * F.col("n_repeat_words") > 50 * F.col("n_words")))
     scores = MEASURES[-2:]
     texts = measured.where("not base_failed").groupBy("lang_group", "text_digest").agg(*[F.min(c).alias(c) for c in scores])
