@@ -5,7 +5,6 @@ from __future__ import annotations
 import contextlib
 import ctypes
 import functools
-import uuid
 from collections.abc import Iterator
 
 import numpy as np
@@ -42,12 +41,10 @@ def staged(df: DataFrame, tag: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
-def bucketed(df: DataFrame, key: str, tag: str) -> tuple[str, str]:
-    """Write df as a table bucketed by ``key`` for the session's number of shuffle partitions; its name and path."""
-    spark = df.sparkSession
-    path, name = scratch(spark, tag), f"{tag}_{uuid.uuid4().hex}"
-    df.write.bucketBy(int(spark.conf.get("spark.sql.shuffle.partitions")), key).option("path", path).saveAsTable(name)
-    return name, path
+def repeatable(df: DataFrame) -> bool:
+    """Whether df is read from files without an exchange, so that each partition has the same rows in the same order whenever it is computed."""
+    plan = df._jdf.queryExecution().executedPlan().toString()
+    return "Scan" in plan and not any(x in plan for x in ("Exchange", "Sample", "rand(", "Python", "InArrow", "InPandas", "Scan ExistingRDD"))
 
 
 def delete_staged(spark: SparkSession, keep: DataFrame) -> None:

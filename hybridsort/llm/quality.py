@@ -16,10 +16,10 @@ a language of few or very like texts keeps a band.
 Above that stands a model of pairs of word pieces, whose number grows with the input: a word and the blank
 before it are cut into pieces of four bytes, and a piece is foretold by the one before it, across words
 too. Its modified Kneser-Ney estimate leans on the character model for a piece's own probability. No task
-holds this model. Rows are gathered into compressed parts of a few megabytes, staged in buckets; a part
+holds this model. Rows are gathered into parts of a few megabytes, the same ones whenever the input is read; a part
 counts its pairs and sends them, as sorted arrays of differences, to shards by the hash of the first
 piece. A shard adds the counts up and answers each part, in the order of its pairs, with totals and with
-what follows each first piece. A text's own pairs are taken off all these numbers exactly, as it
+what follows each first piece; parts meet their answers compressed. A text's own pairs are taken off all these numbers exactly, as it
 would foretell itself. Only the upper edge of the band rejects here: text that others repeat is left to
 deduplication.
 
@@ -39,8 +39,7 @@ from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..sources.tables import delete
-from .common import SPACE, bucketed, column, give_back, gram_hashes, light_batches, mix, packed, split_words, staged, text_slices, tidy, unpacked, without, word_hashes
+from .common import SPACE, column, give_back, gram_hashes, light_batches, mix, packed, repeatable, split_words, staged, text_slices, tidy, unpacked, without, word_hashes
 
 ORDER, BITS = 4, 6
 GAP = b"\n" * (ORDER - 1)
@@ -172,9 +171,12 @@ class _Lookup:
         row = self.row[context]
         fresh = np.unique(context[row == 0])
         if len(fresh):
-            every = (fresh.astype(np.int64)[:, None] << BITS) | np.arange(1 << BITS)
             self.row[fresh] = len(self.bits) + np.arange(len(fresh))
-            self.bits = np.vstack([self.bits, self.model.bits(every.ravel()).reshape(-1, 1 << BITS).astype(np.float32)])
+            new = [self.bits]
+            for a in range(0, len(fresh), 1024):  # the arrays of a search stay small
+                every = (fresh[a : a + 1024].astype(np.int64)[:, None] << BITS) | np.arange(1 << BITS)
+                new.append(self.model.bits(every.ravel()).reshape(-1, 1 << BITS).astype(np.float32))
+            self.bits = np.concatenate(new)
             row = self.row[context]
         return self.bits[row, grams & np.uint32((1 << BITS) - 1)]
 
@@ -289,45 +291,41 @@ def _texts(table: pa.Table, bits: list[np.ndarray] | None = None) -> Iterator[tu
             yield lang, row[mine], code[mine], own[mine]
 
 
-def _gathered(batches: Iterator[pa.RecordBatch], part_bytes: int) -> Iterator[pa.RecordBatch]:
-    """Parts of about ``part_bytes`` of text, each as one compressed value."""
+def _gathered(batches: Iterator[pa.RecordBatch], part_bytes: int) -> Iterator[tuple[int, pa.Table]]:
+    """Parts of about ``part_bytes`` of text, numbered."""
     number = TaskContext.get().partitionId() << 32
     held, size = [], 0
-
-    def part() -> pa.RecordBatch:
-        sink = pa.BufferOutputStream()
-        with pa.ipc.new_stream(sink, held[0].schema, options=pa.ipc.IpcWriteOptions(compression=pa.Codec("zstd", compression_level=6))) as out:
-            out.write_table(pa.Table.from_batches(held).combine_chunks())
-        return pa.RecordBatch.from_arrays([pa.array([number], pa.int64()), pa.array([sink.getvalue().to_pybytes()], pa.binary())], names=["part", "rows"])
-
     for batch in light_batches(batches, limit=part_bytes // 2):
         held.append(batch)
         size += column(batch, "text").nbytes
         if size >= part_bytes:
-            yield part()
+            yield number, pa.Table.from_batches(held).combine_chunks()
             held, size, number = [], 0, number + 1
     if held:
-        yield part()
+        yield number, pa.Table.from_batches(held).combine_chunks()
+
+
+def _closed(part: tuple[int, pa.Table]) -> pa.RecordBatch:
+    """A part as one compressed value."""
+    sink = pa.BufferOutputStream()
+    with pa.ipc.new_stream(sink, part[1].schema, options=pa.ipc.IpcWriteOptions(compression=pa.Codec("zstd", compression_level=6))) as out:
+        out.write_table(part[1])
+    return pa.RecordBatch.from_arrays([pa.array([part[0]], pa.int64()), pa.array([sink.getvalue().to_pybytes()], pa.binary())], names=["part", "rows"])
 
 
 def _opened(rows: Iterable[pa.Scalar]) -> pa.Table:
     return pa.concat_tables([pa.ipc.open_stream(x.as_buffer()).read_all() for x in rows]).combine_chunks()
 
 
-def _pairing(shards: int):
-    @tidy
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for part, value in zip(column(batch, "part").to_pylist(), column(batch, "rows"), strict=True):
-                rows = []
-                for lang, row, code, _ in _texts(_opened([value])):
-                    found = Pairs(code, row, shards)
-                    for s, (a, b) in enumerate(zip(found.edge[:-1].tolist(), found.edge[1:].tolist(), strict=True)):
-                        if b > a:
-                            rows.append((part, lang, s, packed(np.diff(found.code[a:b], prepend=np.uint64(0)).view(np.int64)), packed(found.count[a:b])))
-                yield from _table(rows, "part long, lang string, shard int, pairs binary, counts binary").to_batches()
-
-    return run
+def _pairing(parts: Iterator[tuple[int, pa.Table]], shards: int) -> Iterator[pa.RecordBatch]:
+    for part, table in parts:
+        rows = []
+        for lang, row, code, _ in _texts(table):
+            found = Pairs(code, row, shards)
+            for s, (a, b) in enumerate(zip(found.edge[:-1].tolist(), found.edge[1:].tolist(), strict=True)):
+                if b > a:
+                    rows.append((part, lang, s, packed(np.diff(found.code[a:b], prepend=np.uint64(0)).view(np.int64)), packed(found.count[a:b])))
+        yield from _table(rows, "part long, lang string, shard int, pairs binary, counts binary").to_batches()
 
 
 KINDS = {"long": pa.int64(), "int": pa.int32(), "string": pa.string(), "binary": pa.binary()}
@@ -455,28 +453,28 @@ def judge(docs: DataFrame, spread: float = 3.0, keep: list[str] | None = None, p
     keep = ["doc_id"] if keep is None else keep
     docs = without(docs, *ADDED)
     spark = docs.sparkSession
+    docs = docs.select(*dict.fromkeys([*keep, "text", "lang"]))
+    docs = docs if repeatable(docs) else staged(docs, "documents")
     shared = spark.sparkContext.broadcast(train(docs))
     carried = [*keep, "text_digest"]
     kinds = "".join(f"`{k}` {docs.schema[k].dataType.simpleString()}, " for k in keep)
     schema = f"{kinds}text_digest binary, lang_group string, {', '.join(f'{m} long' for m in MEASURES[:-2])}, bits_per_char double, piece_bits_per_char double"
     shards = max(1, int(spark.conf.get("spark.sql.shuffle.partitions")) // TO_A_SHARD)
-    rows = docs.select(*dict.fromkeys([*keep, "text", "lang"])).withColumn("text_digest", text_digest())
+    rows = docs.withColumn("text_digest", text_digest())
 
-    @tidy
     def gather(batches):
-        return _gathered(batches, part_bytes)
+        return map(_closed, _gathered(batches, part_bytes))
+
+    def pair(batches):
+        return _pairing(_gathered(batches, part_bytes), shards)
 
-    # a bucketed table: counted as it stands, and brought together with the answers without an exchange
-    name, path = bucketed(rows.mapInArrow(gather, "part long, rows binary"), "part", "parts")
-    parts = spark.table(name)
-    asked = parts.mapInArrow(_pairing(shards), "part long, lang string, shard int, pairs binary, counts binary")
+    asked = rows.mapInArrow(tidy(pair), "part long, lang string, shard int, pairs binary, counts binary")
+    parts = rows.mapInArrow(tidy(gather), "part long, rows binary")  # the same parts again, as the input is repeatable
     answers = staged(asked.groupBy("lang", "shard").applyInArrow(_answer, ANSWER), "answers")
     counts = answers.where("part < 0").groupBy("lang").agg(*[F.sum(f"n{k}") for k in (1, 2, 3, 4)]).collect()  # a row a language
     cuts = {r[0]: discounts(*r[1:]) for r in counts}
     measured = parts.groupBy("part").cogroup(answers.where("part >= 0").groupBy("part")).applyInArrow(_scoring(shared, cuts, carried, shards), schema)
     measured = staged(measured, "measured")
-    spark.sql(f"drop table {name}")
-    delete(spark, path)
     measured = measured.withColumn("base_failed", (F.col("n_words") < 50) | (100 * F.col("n_repeat_words") > 50 * F.col("n_words")))
     scores = MEASURES[-2:]
     texts = measured.where("not base_failed").groupBy("lang_group", "text_digest").agg(*[F.min(c).alias(c) for c in scores])
