@@ -10,11 +10,13 @@ that occurs once in the corpus belongs to windows that occur once.
    that occur twice or more in all are kept. A key that is frequent is deepened: its segments are
    taken apart into single windows, each with its full content as key.
 3. The segments of kept keys are cut from the texts and brought together by key, equal ones of a
-   task as one. A task holds the segments of one key at a time, and few keys have unequal ones;
-   these are solved by the index structure of the operator.
+   task as one; what a task already knows to go is sent as whole spans. Equal segments of a key become
+   one string with all its places, and the strings are solved by the index structure of the operator,
+   about INDEX_UNITS at once.
 4. The spans found are applied to the texts.
 
-The texts are exchanged once, by id, and read three times from that exchange.
+The texts are exchanged once, by row, and read three times from that exchange. A row is known by its id
+and 63 bits of its text's digest, a row without an id by 127 bits.
 """
 
 from __future__ import annotations
@@ -30,7 +32,8 @@ from pyspark.sql import functions as F
 
 from .common import column, light_batches, mix, staged, text_slices, tidy
 
-NO_ID = -(1 << 63)
+#: Bits of a segment's key: two different grams of one key only cost a comparison.
+KEY = np.uint64((1 << 48) - 1)
 #: Occurrences in one batch from which a key is frequent, and in all.
 OFTEN_HERE, OFTEN = 64, 50_000
 #: Most windows of a segment.
@@ -45,7 +48,8 @@ class Kind:
 
     ``units(buffer, starts)`` gives the hash of each unit and the first unit of each text.
     ``pieces(text)`` gives the units of one text as something to slice; ``pack(units)`` makes bytes.
-    ``solve(payloads, windows, order)`` gives for each payload which of its windows go.
+    ``solve(payloads, windows, many, docs, starts)`` gives for the windows of all payloads whether they go;
+    ``many`` of the payloads stand in several places, the first of which is given.
     """
 
     length: int
@@ -54,7 +58,7 @@ class Kind:
     pieces: Callable[[bytes], object]
     pack: Callable[[object], bytes]
     join: Callable[[list], bytes]
-    solve: Callable[[list[bytes], np.ndarray, np.ndarray, np.ndarray], np.ndarray]
+    solve: Callable[[list[bytes], np.ndarray, np.ndarray, np.ndarray, np.ndarray], np.ndarray]
     keep_first: bool
 
 
@@ -113,7 +117,7 @@ def segments(hashes: np.ndarray, first: np.ndarray, kind: Kind) -> tuple[np.ndar
         piece = np.arange(int(parts.sum())) - np.repeat(np.cumsum(parts) - parts, parts)
         begin, whole = np.repeat(begin, parts) + piece * LONGEST, np.repeat(size, parts)
         size, several = np.minimum(LONGEST, whole - piece * LONGEST), np.repeat(several, parts)
-    return row[begin], begin - first[row[begin]], size, key[begin], several
+    return row[begin], begin - first[row[begin]], size, key[begin] & KEY, several
 
 
 def _keys(kind: Kind):
@@ -142,7 +146,7 @@ def _keys(kind: Kind):
                 lead = order[edge[often]]
                 n[lead] = -runs[often]
                 rest = np.setdiff1d(some, lead)
-                key[rest] = np.random.default_rng(int(key[0])).integers(0, 1 << 63, len(rest), dtype=np.uint64)
+                key[rest] = np.random.default_rng(int(key[0])).integers(1 << 48, 1 << 63, len(rest), dtype=np.uint64)  # kept, alone
             yield pa.RecordBatch.from_arrays(
                 [pa.array(key.view(np.int64)), pa.array(k1[row]), pa.array(k2[row]), pa.array(seg), pa.array(n)],
                 names=["key", "k1", "k2", "seg", "n"],
@@ -186,25 +190,37 @@ def _cutting(kind: Kind):
                     else:
                         meet(int(key[j]), kind.pack(units[low : low + size - 1 + kind.length]), (k1[i], k2[i], low), size, several)
             rows = [(k, *here, size, several, count, payload) for (k, payload), (here, size, several, count) in seen.items()]
-            rows += [(xxhash.xxh3_64_intdigest(repr(g)) - (1 << 63), *g, 0, 0, None) for g in gone]
-            kinds = (pa.int64(), pa.int64(), pa.int32(), pa.int64(), pa.int32(), pa.int32(), pa.int32(), pa.binary())
+            rows += _joined(gone, kind.length)
+            kinds = (pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.binary())
             columns = list(zip(*rows, strict=True)) if rows else [[]] * 8
             yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, kinds, strict=True)], names=["key", "k1", "k2", "low", "size", "several", "copies", "payload"])
 
     return run
 
 
+def _joined(gone: list[tuple], length: int) -> list[tuple]:
+    """Rows for the spans (k1, k2, first window, windows) that go, those that meet or overlap as one."""
+    out: list[list] = []
+    for k1, k2, low, size in sorted(gone):
+        last = out[-1] if out else None
+        if last is not None and last[1] == k1 and last[2] == k2 and low <= last[3] + last[4] - 1 + length:
+            last[4] = max(last[4], low + size - last[3])
+        else:
+            out.append([k2, k1, k2, low, size, 0, 0, None])
+    return [tuple(r) for r in out]
+
+
 class _Shard:
     """Groups of equal key; unequal payloads of a group wait for the index."""
 
     def __init__(self, kind: Kind):
         self.kind = kind
         self.out: list[tuple[np.ndarray, ...]] = []
-        self.waiting: list[tuple[bytes, tuple]] = []
+        self.waiting: list[tuple] = []
         self.units = 0
 
     def spans(self, k1, k2, low, windows) -> None:
-        self.out.append((np.asarray(k1, np.int64), np.asarray(k2, np.int32), np.asarray(low, np.int64), np.asarray(low, np.int64) + windows - 1 + self.kind.length))
+        self.out.append((np.asarray(k1, np.int64), np.asarray(k2, np.int64), np.asarray(low, np.int64), np.asarray(low, np.int64) + windows - 1 + self.kind.length))
 
     def groups(self, rows: pa.Table) -> None:
         """Whole groups: equal payloads are settled at once, the earliest stands for each in the index."""
@@ -217,51 +233,56 @@ class _Shard:
         if not n:
             return
         key, k1, k2, low, size, several, copies = (rows.column(c).to_numpy() for c in ("key", "k1", "k2", "low", "size", "several", "copies"))
-        digest = np.fromiter(map(xxhash.xxh3_64_intdigest, rows.column("payload").to_pylist()), np.uint64, n)
-        order = np.lexsort((low, k2, k1, digest, key))
-        key, digest = key[order], digest[order]
+        payloads = rows.column("payload").combine_chunks().dictionary_encode()
+        payloads = payloads.combine_chunks() if isinstance(payloads, pa.ChunkedArray) else payloads
+        string, payloads = payloads.indices.to_numpy(), payloads.dictionary
+        order = np.lexsort((low, k2, k1, string, key))
+        key, string = key[order], string[order]
         new_key = np.concatenate([[True], key[1:] != key[:-1]])
-        new_payload = new_key | np.concatenate([[True], digest[1:] != digest[:-1]])
+        new_payload = new_key | np.concatenate([[True], string[1:] != string[:-1]])
         lead = np.flatnonzero(new_payload)
         total = np.add.reduceat(copies[order], lead)
         runs = np.diff(np.append(lead, n))
-        goes = np.repeat(total > 1, runs)
+        group = np.cumsum(new_key[lead]) - 1
+        chosen = np.bincount(group) > 1
+        chosen[group[several[order[lead]] > 0]] = True  # windows of one segment can be equal
         if self.kind.keep_first:
             first = order[np.repeat(lead, runs)]
-            goes &= (k1[order] != k1[first]) | (k2[order] != k2[first]) | (low[order] != low[first])
-        at = order[goes]
-        self.spans(k1[at], k2[at], low[at], size[at])
-        group = np.cumsum(new_key[lead]) - 1
-        unequal = np.bincount(group) > 1
-        unequal[group[several[order[lead]] > 0]] = True  # windows of one segment can be equal
-        payloads = rows.column("payload")
-        chosen = unequal[group]
+            at = order[np.repeat(total > 1, runs) & ((k1[order] != k1[first]) | (k2[order] != k2[first]) | (low[order] != low[first]))]
+            self.spans(k1[at], k2[at], low[at], size[at])  # the first of equal strings stands for them
+            runs = np.ones_like(runs)
+        else:
+            chosen[group[total > 1]] = True
         last = -1
-        for i, many, own in zip(order[lead[chosen]].tolist(), (total[chosen] > 1).tolist(), group[chosen].tolist(), strict=True):
+        for i, n_rows, many, own in zip(lead[chosen[group]].tolist(), runs[chosen[group]].tolist(), (total > 1)[chosen[group]].tolist(), group[chosen[group]].tolist(), strict=True):
             if own != last and self.units >= INDEX_UNITS:
                 self.flush()
             last = own
-            self.waiting.append((payloads[i].as_py(), (int(size[i]), many, int(k1[i]), int(k2[i]), int(low[i]))))
-            self.units += int(size[i]) + self.kind.length
+            rows_ = order[i : i + n_rows]
+            self.waiting.append((payloads[int(string[i])].as_py(), int(size[order[i]]), many, k1[rows_], k2[rows_], low[rows_]))
+            self.units += int(size[order[i]]) + self.kind.length
 
     def flush(self) -> None:
         if not self.waiting:
             return
-        sizes, many, k1, k2, low = (np.array(x) for x in zip(*(w[1] for w in self.waiting), strict=True))
-        doc = np.unique(np.rec.fromarrays([k1, k2]), return_inverse=True)[1]
-        goes = self.kind.solve([w[0] for w in self.waiting], sizes, doc, low)
-        if not self.kind.keep_first:
-            goes &= ~np.repeat(many, sizes)  # these are settled
+        payloads, sizes, many, k1, k2, low = zip(*self.waiting, strict=True)
+        sizes, many, places = np.array(sizes), np.array(many), np.array([len(x) for x in k1])
+        k1, k2, low = np.concatenate(k1), np.concatenate(k2), np.concatenate(low)
+        begin = np.cumsum(places) - places
+        doc = np.unique(np.rec.fromarrays([k1[begin], k2[begin]]), return_inverse=True)[1]
+        goes = self.kind.solve(list(payloads), sizes, many, doc, low[begin])
         owner = np.repeat(np.arange(len(sizes)), sizes)
         offset = np.arange(len(owner)) - np.repeat(np.cumsum(sizes) - sizes, sizes)
         on = goes.astype(np.int8)
         first = np.flatnonzero(goes & ((offset == 0) | np.concatenate([[True], on[:-1] == 0])))
         last = np.flatnonzero(goes & np.concatenate([(offset[1:] == 0) | (on[1:] == 0), [True]]))
-        self.spans(k1[owner[first]], k2[owner[first]], low[owner[first]] + offset[first], last - first + 1)
+        n = places[owner[first]]  # a run goes at all places of its string
+        at = np.repeat(begin[owner[first]] - (np.cumsum(n) - n), n) + np.arange(int(n.sum()))
+        self.spans(k1[at], k2[at], low[at] + np.repeat(offset[first], n), np.repeat(last - first + 1, n))
         self.waiting, self.units = [], 0
 
     def batch(self) -> pa.RecordBatch:
-        kinds = (pa.int64(), pa.int32(), pa.int64(), pa.int64())
+        kinds = (pa.int64(), pa.int64(), pa.int64(), pa.int64())
         columns = [np.concatenate(c) for c in zip(*self.out, strict=True)] if self.out else [[]] * 4
         self.out = []
         return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, kinds, strict=True)], names=["k1", "k2", "first", "past"])
@@ -325,27 +346,31 @@ def _applying(kind: Kind):
 def remove(docs: DataFrame, kind: Kind, carry: list[str] | None = None) -> DataFrame:
     """doc_id (long), text (null made empty), the columns ``carry``, n_units, n_removed, n_spans and kept_bytes for each row."""
     carry = carry or []
-    own = [F.coalesce(F.col("doc_id").cast("long"), F.lit(NO_ID)).alias("k1"), F.hash(F.coalesce("text", F.lit(""))).alias("k2")]
-    text = F.coalesce("text", F.lit("")).alias("text")
+    text = F.coalesce("text", F.lit(""))
+    digest = F.md5(text.cast("binary"))
+    half = lambda k: F.conv(F.substring(digest, k, 16), 16, -10).cast("long")
+    # the lowest bit of k2 tells rows without an id
+    own = [F.coalesce(F.col("doc_id").cast("long"), half(1)).alias("k1"), half(17).bitwiseAND(F.lit(-2)).bitwiseOR(F.col("doc_id").isNull().cast("long")).alias("k2")]
+    text = text.alias("text")
     keyed = docs.select(*own, text)
-    narrow = docs.select(*own, F.unhex(F.md5(F.coalesce("text", F.lit("")).cast("binary"))).alias("digest"))
+    narrow = docs.select(*own, F.unhex(digest).alias("digest"))
     firsts = narrow.groupBy("digest").agg(F.min(F.struct("k1", "k2")).alias("lead"), F.count("*").alias("copies"))
     flags = narrow.distinct().join(firsts, "digest").select("k1", "k2", (F.struct("k1", "k2") == F.col("lead")).alias("lead"), "copies")
     flags = staged(flags.groupBy("k1", "k2").agg(F.max("lead").alias("lead"), F.max("copies").alias("copies")), "flags")
 
     leads = keyed.join(flags.where("lead").select("k1", "k2"), ["k1", "k2"])
-    keys = leads.mapInArrow(_keys(kind), "key long, k1 long, k2 int, seg long, n int")
+    keys = leads.mapInArrow(_keys(kind), "key long, k1 long, k2 long, seg long, n int")
     same = Window.partitionBy("key")
     keys = keys.select("*", F.sum(F.abs("n")).over(same).alias("all"), (F.min("n").over(same) < 0).alias("frequent"))
     kept = keys.where("all > 1 or n < 0").select("k1", "k2", F.struct("seg", "key", (F.col("frequent") | (F.col("all") > OFTEN)).alias("often")).alias("s"))
     lists = kept.groupBy("k1", "k2").agg(F.collect_list("s").alias("segs"))  # at most the segments of one text
-    cut = keyed.join(lists, ["k1", "k2"]).mapInArrow(_cutting(kind), "key long, k1 long, k2 int, low long, size int, several int, copies int, payload binary")
-    spans = cut.repartition("key").sortWithinPartitions("key").mapInArrow(_solving(kind), "k1 long, k2 int, first long, past long")
+    cut = keyed.join(lists, ["k1", "k2"]).mapInArrow(_cutting(kind), "key long, k1 long, k2 long, low long, size long, several int, copies int, payload binary")
+    spans = cut.repartition("key").sortWithinPartitions("key").mapInArrow(_solving(kind), "k1 long, k2 long, first long, past long")
     spans = spans.groupBy("k1", "k2").agg(F.collect_list(F.struct("first", "past")).alias("spans"))
 
     whole = keyed if not carry else docs.select(*own, text, *[f"`{c}`" for c in carry])
     everything = (~F.col("lead")) if kind.keep_first else (F.col("copies") > 1)
     ready = whole.join(flags.select("k1", "k2", everything.alias("all")), ["k1", "k2"], "left").join(spans, ["k1", "k2"], "left")
-    ready = ready.select(F.when(F.col("k1") != NO_ID, F.col("k1")).alias("doc_id"), "text", *[f"`{c}`" for c in carry], "spans", "all")
+    ready = ready.select(F.when(F.col("k2").bitwiseAND(F.lit(1)) == 0, F.col("k1")).alias("doc_id"), "text", *[f"`{c}`" for c in carry], "spans", "all")
     kinds = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in ready.schema if f.name not in ("spans", "all"))
     return ready.mapInArrow(_applying(kind), f"{kinds}, n_units long, n_removed long, n_spans long, kept_bytes binary")

@@ -12,7 +12,8 @@ but the earliest go.
 
 Defined results: null or empty text has no bytes; texts shorter than a window lose nothing; of
 equal texts the smallest id stays; rows equal in id and text are one occurrence; rows without an id
-come first; an empty table gives no rows.
+stand where half of their text's digest would as an id; an empty table gives no rows; other columns may
+have any names; a very long text is cut at LONGEST windows into strings that overlap by a window.
 """
 
 from __future__ import annotations
@@ -116,13 +117,29 @@ def suffix_array(x: np.ndarray, depth: int | None = None) -> np.ndarray:
         value = mix((total[past + 1] - total[seeds]) * _powers(n)[n - 1 - seeds]) ^ mix((past - seeds).astype(np.uint64) + np.uint64(77))
         value[-1] = np.uint64(1)  # the last one ends at the end of the text
         place = np.searchsorted(seeds, order)
-        names = np.cumsum(np.concatenate([[0], value[place][1:] != value[place][:-1]]))
+        ranked = seeds[place]
+        same = np.flatnonzero(value[place][1:] == value[place][:-1])
+        same = same[_equal(x, ranked[same], ranked[same + 1], past[place][same] + 1 - ranked[same])]
+        fresh = np.ones(len(ranked), np.int64)
+        fresh[0] = 0
+        fresh[same + 1] = 0
+        names = np.cumsum(fresh)
         reduced = np.empty(len(seeds), np.int64)
         reduced[place] = names
         seeds = seeds[by_doubling(reduced, depth)] if names[-1] + 1 < len(seeds) else order
     return _induce(x, smaller, seeds)
 
 
+def _equal(x: np.ndarray, a: np.ndarray, b: np.ndarray, size: np.ndarray) -> np.ndarray:
+    """Whether the bytes from a and from b agree for ``size`` bytes each."""
+    out, at, k = np.ones(len(a), bool), np.arange(len(a)), 0
+    while len(at):
+        out[at[x[a[at] + k] != x[b[at] + k]]] = False
+        k += 1
+        at = at[out[at] & (size[at] > k)]
+    return out
+
+
 _power = np.ones(1, np.uint64)
 
 
@@ -133,27 +150,34 @@ def _powers(n: int) -> np.ndarray:
     return _power[:n]
 
 
-def shares_window(x: np.ndarray, order: np.ndarray, length: int) -> np.ndarray:
-    """For each position, whether its suffix and the one before it in order share ``length`` bytes; found in text order."""
+def permuted_common_prefixes(x: np.ndarray, order: np.ndarray, most: int) -> np.ndarray:
+    """For each position, in text order, the bytes that its suffix shares with the one before it in ``order``, ``most`` at most."""
     n = len(x)
-    before = np.full(n, -1, np.int64)
+    before = np.full(n, n, np.int64)
     before[order[1:]] = order[:-1]
-    eight = np.zeros(n, np.uint64)
+    eight = np.zeros(n + most + 8, np.uint64)
     for k in range(8):
-        eight[: n - k] |= x[k:].astype(np.uint64) << np.uint64(8 * k)
-    at = np.flatnonzero((before >= 0) & (np.arange(n) + length <= n) & (before + length <= n))
-    for k in [*range(0, length - 7, 8), length - 8]:
-        at = at[eight[at + k] == eight[before[at] + k]]
-    out = np.zeros(n, bool)
-    out[at] = True
-    return out
+        eight[: max(0, n - k)] |= x[k:].astype(np.uint64) << np.uint64(8 * k)
+    left = n - np.maximum(np.arange(n), before)  # what is left of the shorter suffix; nothing for the first
+    out = np.zeros(n, np.int64)
+    at, k = np.arange(n), 0
+    while len(at) and k < most:
+        differ = eight[at + k] ^ eight[before[at] + k]
+        low = differ & (~differ + np.uint64(1))
+        out[at] = k + np.where(differ == 0, 8, np.searchsorted(_LOWEST, low, side="right") - 1)
+        at, k = at[differ == 0], k + 8
+    return np.minimum(np.minimum(out, left), most)
+
+
+#: The first bit of each byte of a number.
+_LOWEST = np.uint64(1) << (np.uint64(8) * np.arange(8, dtype=np.uint64))
 
 
 def later_windows(payloads: list[bytes], sizes: np.ndarray, docs: np.ndarray, starts: np.ndarray, length: int) -> np.ndarray:
     """For the windows of all payloads in turn, whether an equal window starts earlier."""
     x = np.frombuffer(b"".join(payloads), np.uint8)
     order = suffix_array(x, length)
-    share = shares_window(x, order, length)
+    share = permuted_common_prefixes(x, order, length) >= length
     string = np.empty(len(x), np.int64)
     string[order] = np.cumsum(~share[order])
     units = sizes + length - 1
@@ -174,7 +198,7 @@ def bytes_kind(length: int, gram: int) -> Kind:
         own[starts[1:] - 1] = False  # what sets texts apart
         return mix(data[own].astype(np.uint64) + np.uint64(1)), starts - np.arange(len(starts))
 
-    def solve(payloads, sizes, docs, starts):
+    def solve(payloads, sizes, many, docs, starts):
         return later_windows(payloads, sizes, docs, starts, length)
 
     return Kind(length, gram, units, lambda text: text, bytes, b"".join, solve, keep_first=True)

@@ -229,7 +229,11 @@ def brute_words(rows, length):
     return sorted(out, key=repr)
 
 
-def test_suffix_tree(docs):
+@pytest.mark.parametrize("often", [50_000, 2])
+def test_suffix_tree(docs, often, monkeypatch):
+    from hybridsort.llm import repeats
+
+    monkeypatch.setattr(repeats, "OFTEN", often)
     got = suffix_tree.dedup(docs, 35).collect()
     assert sorted(((r["doc_id"], r["n_units"], r["n_removed"], bytes(r["kept_bytes"])) for r in got), key=repr) == brute_words(ROWS, 35)
     assert suffix_tree.clean(docs).columns == docs.columns
@@ -258,6 +262,49 @@ def test_suffix_array(docs, often, monkeypatch):
     assert sorted(((r["doc_id"], r["n_units"], r["n_removed"], r["n_spans"], bytes(r["kept_bytes"])) for r in got), key=repr) == brute_bytes(ROWS, 100)
 
 
+def test_tree_nodes_are_the_maximal_repeats():
+    rng = random.Random(3)
+    for _ in range(60):
+        parts = [np.array([rng.randrange(2) for _ in range(rng.randrange(0, 30))], np.int64) for _ in range(rng.randrange(1, 5))]
+        tree = suffix_tree.SuffixTree(parts)
+        places = {}
+        for k, s in enumerate(parts):
+            for i in range(len(s)):
+                for j in range(i + 1, len(s) + 1):
+                    places.setdefault(tuple(s[i:j].tolist()), []).append((k, i))
+
+        def sides(found, size):
+            left = [parts[k][i - 1] if i else -1 - k for k, i in found]
+            right = [parts[k][i + size] if i + size < len(parts[k]) else -1 - k for k, i in found]
+            return len(set(left)) > 1 and len(set(right)) > 1
+
+        want = sorted((list(w), sorted(int(tree.starts[k]) + i for k, i in at)) for w, at in places.items() if len(w) >= 3 and len(at) > 1 and sides(at, len(w)))
+        assert sorted(tree.maximal_repeats(3)) == want
+        for k, s in enumerate(parts):
+            for i in range(len(s)):
+                longest = max((j for j in range(len(s) - i + 1) if len(places.get(tuple(s[i : i + j].tolist()), [])) > 1), default=0)
+                assert tree.parents()[tree.starts[k] + i] == longest
+
+
+def test_rows_without_id_are_told_apart_by_whole_digests(spark):
+    rng = random.Random(12)
+    rows = [(None, f"{i} " + words(60, rng)) for i in range(300)] + [(None, None), (7, words(50, rng)), (7, words(50, rng))]
+    got = suffix_tree.dedup(spark.createDataFrame(rows, "doc_id long, text string")).collect()
+    assert sorted(((r["doc_id"], r["n_units"], r["n_removed"], bytes(r["kept_bytes"])) for r in got), key=repr) == brute_words(rows, 35)
+
+
+def test_permuted_common_prefixes():
+    rng = random.Random(4)
+    for _ in range(200):
+        x = bytes(rng.choice(b"ab") for _ in range(rng.randrange(1, 80)))
+        order = sorted(range(len(x)), key=lambda i: x[i:])
+        got = suffix_array.permuted_common_prefixes(np.frombuffer(x, np.uint8), np.array(order), 20)
+        for a, b in zip(order, order[1:]):
+            same = next((k for k in range(21) if k == 20 or x[a + k : a + k + 1] != x[b + k : b + k + 1] or max(a, b) + k >= len(x)), 20)
+            assert got[b] == same
+        assert got[order[0]] == 0
+
+
 def test_induced_sorting():
     rng = random.Random(2)
     for _ in range(300):
