@@ -4,13 +4,18 @@ The builder supplies the tags that authors may leave out (html, head and body, e
 items, definition terms, options, rows, cells and table sections), ignores stray end tags, and takes
 script, style and the like as raw text. The renderer drops what is not shown (head, script, style,
 template, the hidden attribute, display:none, visibility:hidden unless made visible again below,
-closed dialogs, hidden inputs), collapses white space except in preformatted text, sets blocks apart
+closed dialogs, what closed details hold besides their summary, hidden inputs, what svg and math only
+describe), gives all options of a select, collapses white space except in preformatted text, sets blocks apart
 by line breaks or blank lines, marks list items by nesting, and pads table cells so that columns line
-up.
+up, also beside cells that span rows or columns.
+
+Markup is read in one pass: a quotation mark that is never closed is an ordinary character, and where
+quotes swallow the end of a tag, the rest of the page is read without regard to quotes.
 
 Defined results: null html gives null text; empty html gives empty text; an unclosed comment or raw
 element reaches to the end; markup nested more than ``DEEPEST`` levels is flattened into its
-ancestor; repeated rows are rendered each; an empty table gives no rows.
+ancestor; repeated rows are rendered each; an empty table gives no rows; a very long page takes time in
+proportion; columns named as the result are replaced, others may have any names.
 """
 
 from __future__ import annotations
@@ -23,16 +28,18 @@ from html import unescape
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from .common import column, without
+from .common import column, light_batches, tidy, without
 
 DEEPEST = 400
 # Element names with a role of their own in HTML.
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 RAW = frozenset("script style template noscript iframe noembed noframes textarea title xmp".split())
 HEAD = frozenset("base link meta title style script template noscript".split())
-UNSEEN = frozenset("head script style template noscript iframe noembed noframes title object svg math canvas audio video datalist select".split())
+UNSEEN = frozenset("head script style template noscript iframe noembed noframes title object canvas audio video datalist".split())
+#: Parts of svg and math that are not drawn.
+NOT_DRAWN = frozenset("desc defs metadata symbol clippath mask annotation annotation-xml".split())
 SPACED = frozenset("p h1 h2 h3 h4 h5 h6 ul ol dl table blockquote pre figure hr menu".split())
-BLOCK = SPACED | frozenset("html body div article section header footer nav aside main address form fieldset legend li dt dd tr caption thead tbody tfoot figcaption details summary center dialog hgroup search option".split())
+BLOCK = SPACED | frozenset("html body div article section header footer nav aside main address form fieldset legend li dt dd tr caption thead tbody tfoot figcaption details summary center dialog hgroup search option optgroup".split())
 #: Start tags that end an open paragraph.
 ENDS_P = SPACED | frozenset("address article aside center details dialog div dd dl dt fieldset figcaption footer form header hgroup li main nav search section summary".split())
 #: For a start tag: the open elements that it ends, and those that such a search doesn't go beyond.
@@ -51,7 +58,10 @@ ENDS = {
 #: Elements that a stray end tag inside them doesn't reach out of.
 WALLS = frozenset("table td th caption button".split())
 
-TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)>|<[!?][^>]*>?", re.S)
+NAME = re.compile(r"/?[a-zA-Z][^\s/>]*")
+STOP = re.compile("[>\"']")
+#: The greatest spans that HTML knows.
+MOST_COLUMNS, MOST_ROWS = 1000, 65534
 ATTRIBUTE = re.compile(r"([^\s=/>\"']+)(?:\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+)))?")
 BLANKS = re.compile(r"[ \t\n\r\f]+")
 
@@ -69,6 +79,48 @@ class Node:
         return None
 
 
+def tokens(html: str) -> Iterator[tuple[int, int, str | None, bool, str]]:
+    """Where each piece of markup begins and ends, its tag in lower case (None for comments), whether it is an end tag, and its attributes."""
+    at, n, quoted = 0, len(html), True
+    last = {q: html.rfind(q) for q in ">\"'"}
+    while (begin := html.find("<", at)) >= 0:
+        if html.startswith("<!--", begin):
+            end = html.find("-->", begin + 4)
+            at = n if end < 0 else end + 3
+            yield begin, at, None, False, ""
+            continue
+        if html.startswith(("<!", "<?"), begin):
+            end = html.find(">", begin)
+            at = n if end < 0 else end + 1
+            yield begin, at, None, False, ""
+            continue
+        name = NAME.match(html, begin + 1)
+        if name is None or begin > last[">"]:
+            at = begin + 1
+            continue
+        end = name.end()
+        while quoted:
+            stop = STOP.search(html, end)
+            if stop is None:
+                quoted = False
+            elif stop[0] == ">":
+                end = stop.start()
+                break
+            else:
+                close = html.find(stop[0], stop.end()) if stop.start() < last[stop[0]] else stop.start()
+                end = close + 1
+        if not quoted:
+            end = html.find(">", name.end())
+            if end < 0:
+                at = begin + 1
+                continue
+        at = end + 1
+        tag = name[0].lower()
+        moved = yield begin, at, tag.lstrip("/"), tag[0] == "/", html[name.end() : end]
+        if moved is not None:
+            at = moved
+
+
 def build(html: str) -> Node:
     """The document's element tree; text children are strings."""
     root = Node("html")
@@ -85,19 +137,21 @@ def build(html: str) -> Node:
             if stack[k].tag in walls:
                 return
 
-    at, n = 0, len(html)
-    while at < n:
-        m = TOKEN.search(html, at)
-        if m is None:
-            stack[-1].children.append(unescape(html[at:]))
+    at, n, found, moved = 0, len(html), tokens(html), None
+    while True:
+        try:
+            begin, past, tag, is_end, attributes = found.send(moved)
+        except StopIteration:
+            if at < n:
+                stack[-1].children.append(unescape(html[at:]))
             break
-        if m.start() > at:
-            stack[-1].children.append(unescape(html[at : m.start()]))
-        at = m.end()
-        if m[2] is None:
+        moved = None
+        if begin > at:
+            stack[-1].children.append(unescape(html[at:begin]))
+        at = past
+        if tag is None:
             continue
-        tag = m[2].lower()
-        if m[1]:
+        if is_end:
             if tag in ("html", "body"):
                 continue
             if tag == "head":
@@ -118,7 +172,7 @@ def build(html: str) -> Node:
             if tag == "body":
                 stack = [root, body]
                 head = None
-                body.attributes += m[3]
+                body.attributes += attributes
             continue
         if tag == "head":
             head = Node("head")
@@ -135,30 +189,30 @@ def build(html: str) -> Node:
                 row = Node("tr")
                 stack[-1].children.append(row)
                 stack.append(row)
-        node = Node(tag, m[3])
+        node = Node(tag, attributes)
         stack[-1].children.append(node)
         if tag in RAW:
             end = re.compile(rf"</{re.escape(tag)}[\s/>]", re.I).search(html, at)
             if tag == "textarea":
                 node.children.append(unescape(html[at : end.start() if end else n]))
             at = html.find(">", end.start()) + 1 if end else n
-            at = at or n
-        elif tag not in VOID and not m[3].rstrip().endswith("/") and len(stack) < DEEPEST:
+            at = moved = at or n
+        elif tag not in VOID and not attributes.rstrip().endswith("/") and len(stack) < DEEPEST:
             stack.append(node)
     return root
 
 
 def _hidden(node: Node) -> bool:
-    if node.tag in UNSEEN:
+    if node.tag in UNSEEN or node.tag in NOT_DRAWN:
+        return True
+    if node.tag == "dialog" and node.attribute("open") is None:
         return True
     if not node.attributes:
         return False
     low = node.attributes.lower()
     if "hidden" in low and node.attribute("hidden") is not None:
         return True
-    if "display" in low and re.search(r"display\s*:\s*none", (node.attribute("style") or "").lower()):
-        return True
-    return node.tag == "dialog" and node.attribute("open") is None
+    return "display" in low and re.search(r"display\s*:\s*none", (node.attribute("style") or "").lower()) is not None
 
 
 def _visibility(node: Node, visible: bool) -> bool:
@@ -217,12 +271,14 @@ def _render(node: Node, page: _Page, visible: bool = True, exact: bool = False,
     number = 1
     if node.tag == "ol" and (start := node.attribute("start")) and start.lstrip("-").isdigit():
         number = int(start)
+    closed = node.tag == "details" and node.attribute("open") is None
+    summary = next((c for c in node.children if not isinstance(c, str) and c.tag == "summary"), None) if closed else None
     for child in node.children:
         if isinstance(child, str):
-            if visible:
+            if visible and not closed:
                 (page.exact if exact else page.text)(child)
             continue
-        if _hidden(child):
+        if _hidden(child) or (closed and child is not summary):
             continue
         shown = _visibility(child, visible)
         tag = child.tag
@@ -271,57 +327,76 @@ def _block(node: Node, visible: bool, exact: bool, lists: tuple) -> str:
     return "".join(page.parts)
 
 
-def _rows(node: Node, visible: bool) -> Iterator[tuple[Node, bool]]:
+def _parts(node: Node, visible: bool) -> Iterator[tuple[Node | str, bool]]:
+    """The rows below a table, and all else that stands between them, in order; sections and forms are looked into."""
     for child in node.children:
-        if isinstance(child, str) or _hidden(child):
-            continue
-        shown = _visibility(child, visible)
-        if child.tag == "tr":
-            yield child, shown
-        elif child.tag != "table" and child.tag not in ("td", "th"):
-            yield from _rows(child, shown)
+        if isinstance(child, str):
+            if visible:
+                yield child, True
+        elif not _hidden(child) and child.tag not in ("col", "colgroup"):
+            shown = _visibility(child, visible)
+            if child.tag in ("thead", "tbody", "tfoot", "form"):
+                yield from _parts(child, shown)
+            else:
+                yield child, shown
+
+
+def _span(cell: Node, name: str, most: int) -> int:
+    value = (cell.attribute(name) or "1").strip()
+    return min(int(value), most) if value.isascii() and value.isdigit() else 1
 
 
 def _table(table: Node, visible: bool) -> str:
-    """Rows of cells, each column as wide as its widest line; cells of several lines make rows of several lines."""
-    grid: list[list[list[str]]] = []
+    """Rows of cells, each column as wide as its widest line; cells of several lines make rows of several lines.
+
+    None stands where a cell of the same row or of one above reaches.
+    """
+    grid: list[list[list[str] | None]] = []
     loose = _Page()
-    for child in table.children:
-        if isinstance(child, str):
-            if visible:
-                loose.text(child)
-        elif child.tag not in ("tr", "thead", "tbody", "tfoot", "colgroup", "col") and not _hidden(child):
+    reach: dict[int, int] = {}  # columns that cells above take, and for how many rows more
+    for part, shown in _parts(table, visible):
+        if isinstance(part, str):
+            loose.text(part)
+            continue
+        if part.tag != "tr":
             holder = Node("div")
-            holder.children.append(child)
-            _render(holder, loose, visible)
+            holder.children.append(part)
+            _render(holder, loose, shown)
             loose.gap(1)
-    for row, shown in _rows(table, visible):
-        cells: list[list[str]] = []
-        for cell in row.children:
+            continue
+        cells: list[list[str] | None] = []
+        held, reach = reach, {k: n - 1 for k, n in reach.items() if n > 1}
+        for cell in part.children:
             if isinstance(cell, str):
                 if shown and cell.strip():
                     loose.text(cell)
                 continue
             if _hidden(cell):
                 continue
+            while len(cells) in held:
+                cells.append(None)
             inner = _block(cell, _visibility(cell, shown), False, ())
+            columns, rows = max(1, _span(cell, "colspan", MOST_COLUMNS)), _span(cell, "rowspan", MOST_ROWS) or MOST_ROWS
+            if rows > 1:
+                reach.update((k, rows - 1) for k in range(len(cells), len(cells) + columns))
             cells.append(inner.split("\n") if inner else [""])
-            span = cell.attribute("colspan") or "1"
-            cells += [[""]] * (min(int(span), 50) - 1 if span.isdigit() and int(span) > 1 else 0)
-        if any(any(c) for c in cells):
+            cells += [None] * (columns - 1)
+        while cells and cells[-1] is None:
+            cells.pop()
+        if any(any(c) for c in cells if c):
             grid.append(cells)
     wide: list[int] = []
     for cells in grid:
         for k, lines in enumerate(cells):
-            size = max(map(width, lines))
+            size = max(map(width, lines or [""]))
             if k == len(wide):
                 wide.append(size)
             elif size > wide[k]:
                 wide[k] = size
     out = []
     for cells in grid:
-        for line in range(max(map(len, cells))):
-            parts = [(c[line] if line < len(c) else "") for c in cells]
+        for line in range(max(len(c or "") for c in cells)):
+            parts = [(c[line] if c and line < len(c) else "") for c in cells]
             out.append(" | ".join(p + " " * (wide[k] - width(p)) for k, p in enumerate(parts)).rstrip())
     text = "".join(loose.parts)
     return "\n".join([*([text] if text else []), *out])
@@ -340,8 +415,9 @@ def render(pages: DataFrame, html: str = "html", to: str = "text") -> DataFrame:
     kept = [c for c in rest.columns if c != html]
     kinds = "".join(f"`{c}` {rest.schema[c].dataType.simpleString()}, " for c in kept)
 
+    @tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in light_batches(batches, html):
             texts = pa.array([extract(x.as_py()) for x in column(batch, html)], pa.string())
             yield pa.RecordBatch.from_arrays([*[column(batch, c) for c in kept], texts], names=[*kept, to])
 

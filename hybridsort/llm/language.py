@@ -7,12 +7,14 @@ the empty context every byte has probability 1/256. The statistics are frozen on
 code length of a byte depends on four bytes only and is exact; a text's code length is their sum,
 and the language with the shortest code is predicted.
 
-A tree is learned from a bounded, documented sample: at most ``docs_per_lang`` whole documents of at
-most ``longest`` bytes for each language, those with the smallest hash of their id.
+A tree is learned from a bounded, documented sample: at most ``docs_per_lang`` documents for each
+language, those with the smallest hash of their id, and those of at most ``longest`` bytes before longer
+ones, of which only ``longest`` characters are learned.
 
 Defined results: null text, or text with no letter, is ``und`` with score 0; rows without a language
 are scored but not learned from; with nothing to learn from, all is ``und``; ties go to the language
-first in order; repeated rows are scored each.
+first in order; repeated rows are scored each, and learned once; a very long text is scored whole, as one
+buffer; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -24,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import column, text_slices
+from .common import column, light_batches, text_slices, tidy
 
 ORDER = 3
 #: Texts are set apart by so many newlines that each begins in the same context.
@@ -102,11 +104,11 @@ class CodeLengths:
 
 def learn(docs: DataFrame, train, docs_per_lang: int = 200, longest: int = 20_000) -> dict[str, ContextTree]:
     """A tree for each language of the rows where ``train`` holds; collects the bounded sample named above."""
-    rows = docs.where(train & F.col("lang").isNotNull() & (F.octet_length("text") <= longest) & (F.octet_length("text") > 0))
-    by_hash = Window.partitionBy("lang").orderBy(F.xxhash64("doc_id"), "doc_id")
-    chosen = rows.select("doc_id", "lang").withColumn("rank", F.row_number().over(by_hash)).where(F.col("rank") <= docs_per_lang)
+    rows = docs.where(train & F.col("lang").isNotNull() & (F.octet_length("text") > 0))
+    by_hash = Window.partitionBy("lang").orderBy("long", F.xxhash64("doc_id"), "doc_id")
+    chosen = rows.select("doc_id", "lang", (F.octet_length("text") > longest).alias("long")).withColumn("rank", F.row_number().over(by_hash)).where(F.col("rank") <= docs_per_lang)
     chosen = chosen.select("doc_id", F.col("lang").alias("chosen_lang")).distinct()
-    sample = rows.join(F.broadcast(chosen), (rows["doc_id"] == chosen["doc_id"]) & (F.col("lang") == F.col("chosen_lang"))).select("lang", "text")
+    sample = rows.join(F.broadcast(chosen), (rows["doc_id"] == chosen["doc_id"]) & (F.col("lang") == F.col("chosen_lang"))).select("lang", F.substring("text", 1, longest).alias("text")).distinct()
     found: dict[str, list[bytes]] = {}
     for r in sample.toLocalIterator():
         found.setdefault(r["lang"], []).append(r["text"].encode())
@@ -115,7 +117,7 @@ def learn(docs: DataFrame, train, docs_per_lang: int = 200, longest: int = 20_00
 
 def _predict(batches: Iterator[pa.RecordBatch], names: list[str], trees: list[ContextTree]) -> Iterator[pa.RecordBatch]:
     lengths = CodeLengths(trees) if trees else None
-    for batch in batches:
+    for batch in light_batches(batches):
         texts = column(batch, "text")
         lang, score = [], []
         for first, rows, buffer, starts in text_slices(texts, GAP):
@@ -141,6 +143,7 @@ def identify(docs: DataFrame, trees: dict[str, ContextTree], key: str = "doc_id"
     shared = docs.sparkSession.sparkContext.broadcast([trees[n] for n in names])  # bounded by the sample
     kind = docs.schema[key].dataType.simpleString()
 
+    @tidy
     def predict(batches):
         return _predict(batches, names, shared.value)
 

@@ -12,9 +12,12 @@ whose sets hold so many shingles of their own that they can have no further link
 the rest of those outside the largest component are asked, in blocks, against all of them. So no link
 between members of a bucket is lost, and no bucket is capped. Links are confirmed on the full sets.
 
+Classes are told apart by 128-bit digests of their sets and linked under numbers of their own; ids come
+in only once the components are known.
+
 Defined results: null text, empty text and text without words have empty sets and no links; rows that
-share an id are one node; rows without an id have no links and are kept; with an empty table there
-are no rows.
+share an id are one node with the links of all their texts; rows without an id have no links and are
+kept; with an empty table there are no rows; other columns are ignored; a very long text is one set.
 """
 
 from __future__ import annotations
@@ -101,16 +104,16 @@ def _setting(width: int):
                 for found in shingle_sets(buffer, starts, width):
                     keys.append(xxhash.xxh3_128_digest(found.tobytes()))
                     sets.append(found.view(np.int64))
-            yield pa.RecordBatch.from_arrays([column(batch, "doc_id"), pa.array(keys, pa.binary()), pa.array(sets, pa.list_(pa.int64()))], names=["node", "set_key", "shingles"])
+            yield pa.RecordBatch.from_arrays([column(batch, "doc_id"), pa.array(keys, pa.binary()), pa.array(sets, pa.list_(pa.int64()))], names=["doc_id", "set_key", "shingles"])
 
     return run
 
 
 def _full_sets(docs: DataFrame, nodes: DataFrame, width: int) -> DataFrame:
-    """node and shingles for each of nodes(node, set_key)."""
-    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(nodes.select(F.col("node").alias("doc_id")), "doc_id", "left_semi")
-    sets = texts.mapInArrow(_setting(width), "node long, set_key binary, shingles array<long>")
-    return sets.join(nodes, ["node", "set_key"], "left_semi").dropDuplicates(["node"]).select("node", "shingles")
+    """node and shingles for each of nodes(node, set_key, first_id)."""
+    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(nodes.select(F.col("first_id").alias("doc_id")).distinct(), "doc_id", "left_semi")
+    sets = texts.mapInArrow(_setting(width), "doc_id long, set_key binary, shingles array<long>").drop("doc_id")
+    return sets.join(nodes.select("node", "set_key"), "set_key").dropDuplicates(["node"]).select("node", "shingles")
 
 
 def _confirmed(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
@@ -130,7 +133,7 @@ def link(docs: DataFrame, width: int = 5, percent: int = 80, bands: int = 20, ro
     kind = docs.schema["doc_id"].dataType.simpleString()
     described = staged(text.mapInArrow(_describing(width, bands, rows), f"doc_id {kind}, n_shingles long, set_key binary, buckets array<long>"), "described")
     linkable = described.where("set_key is not null and doc_id is not null")
-    classes = staged(linkable.groupBy("set_key").agg(F.min("doc_id").cast("long").alias("node"), F.first("n_shingles").alias("n"), F.first("buckets").alias("buckets")), "classes")
+    classes = staged(linkable.groupBy("set_key").agg(F.min("doc_id").cast("long").alias("first_id"), F.first("n_shingles").alias("n"), F.first("buckets").alias("buckets")).withColumn("node", F.monotonically_increasing_id()), "classes")
     members = classes.select("node", "n", F.explode("buckets").alias("bucket"))
     stars = members.groupBy("bucket").agg(F.min(F.struct("node", "n")).alias("centre"), F.count("*").alias("size")).where("size > 1")
     members = staged(members.join(stars, "bucket").select("bucket", "node", "n", "centre"), "members")
@@ -138,13 +141,15 @@ def link(docs: DataFrame, width: int = 5, percent: int = 80, bands: int = 20, ro
     similar = 100 * F.least("na", "nb") >= percent * F.greatest("na", "nb")
     tried = staged(pairs.where(similar).distinct(), "pairs")
     met = members.select("node").distinct()
-    sets = staged(_full_sets(docs, classes.join(met, "node", "left_semi").select("node", "set_key"), width), "sets")
+    sets = staged(_full_sets(docs, classes.join(met, "node", "left_semi").select("node", "set_key", "first_id"), width), "sets")
     links = staged(_confirmed(tried, sets, percent), "links")
     joined = staged(components(links), "components")
     open_ = _possible(members, joined, sets, percent)
     found = staged(_across(open_, joined, sets, percent), "links")
     joined = staged(components(links.union(found)), "components")
-    same = classes.select("set_key", "node").join(joined, "node", "left").select("set_key", F.coalesce("component", "node").alias("class_component"))
+    own = classes.select("set_key", "node", "first_id").join(joined, "node", "left")
+    least = own.where("component is not null").groupBy("component").agg(F.min("first_id").alias("least"))
+    same = own.join(least, "component", "left").select("set_key", F.coalesce("least", "first_id").alias("class_component"))
     out = described.join(same, "set_key", "left")
     by_id = _by_shared_id(out)
     component = F.coalesce("class_component", F.col("doc_id").cast("long"))

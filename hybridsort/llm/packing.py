@@ -9,7 +9,7 @@ all but the last sequence of a merge are full.
 
 Defined results: null or empty text is the separator alone; a null id is carried along; repeated
 rows are packed once each; an empty table gives no pieces; columns other than the id and the text
-are ignored.
+are ignored; a very long text fills windows of its own and leaves its rest.
 """
 
 from __future__ import annotations
@@ -50,10 +50,14 @@ class _Ids(dict):
         return found
 
 
+#: Fixed value: the special token of the vocabulary, which is one id wherever its string stands in a text.
+SPECIAL, SPECIAL_ID = "<|endoftext|>", 50256
+
+
 class Encoder:
     """Byte-level BPE ids from a public vocabulary file; the same ids as the ``tokenizers`` file of that vocabulary.
 
-    A blank after a character that is no white space always begins a new pre-token, so a text
+    The special token parts a text, and each part is encoded by itself. A blank after a character that is no white space always begins a new pre-token, so a text
     without doubled white space can be cut at its blanks and each word looked up.
     """
 
@@ -70,9 +74,16 @@ class Encoder:
         self.rest.clear()
 
     def __call__(self, text: str) -> bytes:
+        if SPECIAL in text:
+            return array("I", [SPECIAL_ID]).tobytes().join(map(self.plain, text.split(SPECIAL)))
+        return self.plain(text)
+
+    def plain(self, text: str) -> bytes:
         if UNEVEN.search(text):
             return array("I", self.encode(text)).tobytes()
         head, *rest = text.split(" ")
+        if not text:
+            return b""
         return self.first[head] + b"".join(map(self.rest.__getitem__, rest))
 
 

@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from hybridsort.ship import ship
+from hybridsort.sources.tables import fresh
 
 from . import decontam, neardup, packing, quality, suffix_tree
 from .common import old_names, plain_names, staged, table
@@ -29,13 +30,19 @@ def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 
 def minhash_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each near-duplicate group, the one with the smallest id."""
+    """One document of each near-duplicate group, the one with the smallest id.
+
+    Rows that share an id are one document: if it stays, each of its different texts does, once.
+    Rows without an id stay.
+    """
     ship(spark)
     linked = neardup.link(docs)
     kept = linked.where("kept and doc_id is not null").select("doc_id").distinct()
-    out = docs.join(kept, "doc_id", "left_semi").select(*[f"`{c}`" for c in docs.columns])
+    names = [f"`{c}`" for c in docs.columns]
+    out = docs.join(kept, "doc_id", "left_semi").select(*names)
     if linked.where("doc_id is not null").groupBy("doc_id").count().where("count > 1").limit(1).count():
-        out = out.dropDuplicates(["doc_id"])
+        digest = fresh(out, "digest")
+        out = out.withColumn(digest, quality.text_digest()).dropDuplicates(["doc_id", digest]).select(*names)
     return out.unionByName(docs.where("doc_id is null"))
 
 

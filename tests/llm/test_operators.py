@@ -25,7 +25,7 @@ def corpus():
     shared = words(60, rng)
     texts = [words(rng.randrange(0, 200), rng) for _ in range(30)]
     texts += [texts[3], texts[3], texts[4] + " tail", shared + " " + words(40, rng), words(50, rng) + "\n" + shared, "ab" * 300, "ab" * 300 + "c", "word " * 90]
-    texts += [None, "", "  \n\t ", "one", "two words", "<|endoftext|> a  b", "x" * 5000]
+    texts += [None, "", "  \n\t ", "one", "two words", "<|endoftext|> a  b<|endoftext|>", "x" * 5000]
     near = texts[5].split()
     texts.append(" ".join(near[:-1] + ["changed"]))
     rows = [(i, t) for i, t in enumerate(texts)]
@@ -51,7 +51,6 @@ def ids(text):
     from tokenizers import Tokenizer
 
     tok = ids.tok = getattr(ids, "tok", None) or Tokenizer.from_file(path("byte_bpe_50k.json"))
-    tok.encode_special_tokens = True
     return tok.encode(text or "", add_special_tokens=False).ids + [0]
 
 
@@ -122,6 +121,19 @@ def test_neardup_group_of_varied_copies(spark):
     assert {(r["doc_id"], r["n_shingles"], r["component_id"]) for r in got} == brute_components(rows, 3, 85)
 
 
+def test_texts_of_a_shared_id(spark):
+    rng = random.Random(16)
+    a, b, c = (words(80, rng) for _ in range(3))
+    rows = [(1, a), (1, b), (1, b), (2, a + " x"), (3, b + " y"), (4, c), (None, c)]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    got = {r["doc_id"]: r["component_id"] for r in neardup.link(df, 3, 85).collect() if r["doc_id"] is not None}
+    assert got == {1: 1, 2: 1, 3: 1, 4: 4}
+    from hybridsort.llm import stages
+
+    kept = stages.minhash_dedup(spark, df, "")
+    assert sorted(((r["doc_id"], r["text"]) for r in kept.collect()), key=repr) == sorted([(1, a), (1, b), (4, c), (None, c)], key=repr)
+
+
 def test_components(spark):
     rng = random.Random(5)
     edges = [(rng.randrange(300), rng.randrange(300)) for _ in range(260)] + [(400 + i, 401 + i) for i in range(60)]
@@ -152,12 +164,48 @@ def test_sharding(docs):
 
 def test_communication_matrix_sums():
     counts, capacity = np.array([5, 0, 12, 3, 20]), np.array([10, 10, 9, 11])
-    rows = [sharding.matrix_row(counts, capacity, p, 1) for p in range(5)]
+    rows = [sharding.matrix_row(counts, sharding.roots(counts, capacity, 1), p, 1) for p in range(5)]
     assert np.sum(rows, 0).tolist() == capacity.tolist() and np.sum(rows, 1).tolist() == counts.tolist()
-    mean = np.mean([sharding.matrix_row(counts, capacity, 4, s) for s in range(400)], 0)
+    mean = np.mean([sharding.matrix_row(counts, sharding.roots(counts, capacity, s), 4, s) for s in range(400)], 0)
     assert np.abs(mean - 20 * capacity / 40).max() < 0.3
 
 
+def test_large_draws_follow_the_hypergeometric_law(monkeypatch):
+    """By halving down to nothing, against the exact probabilities."""
+    monkeypatch.setattr(sharding, "SMALL", 1)
+    rng = np.random.default_rng(3)
+    good, bad, n, rounds = 6, 9, 7, 20_000
+    found = Counter(sharding.hypergeometric(rng, good, bad, n) for _ in range(rounds))
+    off = 0.0
+    for k in range(n + 1):
+        p = math.comb(good, k) * math.comb(bad, n - k) / math.comb(good + bad, n)
+        assert found[k] == 0 or p > 0
+        off += (found[k] - rounds * p) ** 2 / (rounds * p) if p else 0
+    assert off < 30  # chi-square with six degrees of freedom
+    counts, capacity = np.array([5, 0, 12, 3, 20]), np.array([10, 10, 9, 11])
+    nodes = sharding.roots(counts, capacity, 1)
+    rows = [sharding.matrix_row(counts, nodes, p, 1) for p in range(5)]
+    assert np.sum(rows, 0).tolist() == capacity.tolist() and np.sum(rows, 1).tolist() == counts.tolist()
+
+
+def test_draws_of_many_rows():
+    rng = np.random.default_rng(5)
+    got = [sharding.hypergeometric(rng, 10**12, 3 * 10**12, 10**10) for _ in range(200)]
+    spread = math.sqrt(10**10 * 0.25 * 0.75)
+    assert abs(np.mean(got) - 25 * 10**8) < 4 * spread / math.sqrt(200) * 1.2
+    assert 0.8 * spread < np.std(got) < 1.2 * spread
+    out = sharding.draw(rng, np.array([10**12, 5, 2 * 10**12]), 10**11)
+    assert int(out.sum()) == 10**11 and 0 <= out[1] <= 5
+
+
+def test_every_order_is_as_likely(spark, tmp_path):
+    """All placements of four rows in two shards, over many seeds."""
+    df = spark.createDataFrame([(i, "") for i in range(4)], "doc_id long, text string").repartition(2)
+    df.write.parquet(f"{tmp_path}/rows")
+    df = spark.read.parquet(f"{tmp_path}/rows")
+    found = Counter(tuple(r["doc_id"] for r in sorted(sharding.shard(df, 2, seed=s).collect(), key=lambda r: (r["shard"], r["slot"]))) for s in range(48))
+    assert len(found) > 14 and max(found.values()) < 9
+
 HTML = [
     ("<p>a<p>b", "a\n\nb"),
     ("<ul><li>x<li>y<ol start=4><li>z</ol></ul>", "- x\n- y\n  4. z"),
@@ -173,6 +221,19 @@ HTML = [
     ("a < b &copy; <b>c</b>", "a < b © c"),
     ("<div>" * 2000 + "deep", "deep"),
     ("<!-- open", ""),
+    ("<dialog>no</dialog><dialog open>yes</dialog>", "yes"),
+    ("<details><summary>s</summary>no</details><details open><summary>t</summary>yes</details>", "s\nt\nyes"),
+    ("<svg><title>no</title><text>drawn</text></svg> <math><mi>x</mi><annotation>no</annotation></math>", "drawn x"),
+    ("<select><option>a<option>b</select>", "a\nb"),
+    ("<table><tr><td rowspan=2>a<td>b<tr><td>c<tr><td>d<td>e</table>", "a | b\n  | c\nd | e"),
+    ("<table><tr><td colspan=2>ab<td>c<tr><td>d<td>e<td>f</table>", "ab |   | c\nd  | e | f"),
+    ("<table><tbody>loose<tr><td>x</table>", "loose\nx"),
+    ("<table><form><tr><td>x</td></tr></form></table>", "x"),
+    ("<table><tr><td colspan=900>x</table>", "x"),
+    ("<a title='x>y'>in</a> <b title=\"z>out</b>", "in out"),
+    ("<a x='>1</a><a>2</a>", "12"),
+    ("a <b", "a <b"),
+    ("<SCRIPT>x</SCRIPT ><TEXTAREA> t </TEXTAREA>", " t"),
 ]
 
 
@@ -181,6 +242,18 @@ def test_html(html, text):
     assert htmltext.extract(html) == text
 
 
+@pytest.mark.parametrize("piece", ["<a ", "<a '", "<a \"x' ", "<", "<!", "<div><", "<a b='>", "</"])
+def test_html_takes_time_in_proportion(piece):
+    import time
+
+    times = []
+    for n in (20_000, 200_000):
+        began = time.perf_counter()
+        htmltext.extract(piece * n)
+        times.append(time.perf_counter() - began)
+    assert times[1] < 40 * max(times[0], 0.01)
+
+
 def test_html_frame(spark):
     df = spark.createDataFrame([(i, h, "old") for i, (h, _) in enumerate(HTML)], "page_id long, html string, text string")
     assert {r["page_id"]: r["text"] for r in htmltext.render(df).collect()} == {i: t for i, (_, t) in enumerate(HTML)}
@@ -461,6 +534,60 @@ def test_levenshtein_automaton():
         assert k == (toxicity.EXACT if exact else toxicity.FUZZY if fuzzy else toxicity.NONE), w
 
 
+def brute_features(text, words_, stems, window=8):
+    raw = text.lower().encode()
+    found = [(m.start(), m.end()) for m in re.finditer(rb"[a-z'\x80-\xff](?:[a-z'\x80-\xff]|(?<=[a-z'\x80-\xff])[0-9*@$!#_+](?=[a-z'\x80-\xff]))*", raw)]
+    marks = [m.start() for m in re.finditer(b'"|\xe2\x80\x9c|\xe2\x80\x9d|\xe2\x80\x9e|\xc2\xab|\xc2\xbb', raw)]
+    kinds = []
+    for a, b in found:
+        w = raw[a:b]
+        exact = w in words_ or any(w.startswith(s) for s in stems)
+        kinds.append(2 if exact else 1 if any(len(t) >= 5 and within_one(w, t) for t in words_) else 0)
+    hits = [k for k, kind in enumerate(kinds) if kind]
+    out = [0.0] * 7
+    counts, most, plain = [0] * 4, 0, 0
+    for k in hits:
+        low, high = max(0, k - window), min(len(found) - 1, k + window)
+        quoted = any(found[low][0] - 3 <= m < found[k][0] for m in marks) and any(found[k][1] <= m < found[high][1] + 3 for m in marks)
+        burst = sum(low <= x <= high for x in hits)
+        counts[(0 if kinds[k] == 2 else 2) + quoted] += 1
+        if not quoted:
+            most, plain = max(most, burst), plain + 1
+    out[:4] = [math.log1p(c) for c in counts]
+    out[4] = math.log1p(most)
+    out[5] = min(1, 20 * plain / max(1, len(found)))
+    out[6] = float(counts[0] > 0)
+    return out
+
+
+@pytest.mark.parametrize("block", [2, 150])
+def test_features_against_brute_force(block):
+    rng = random.Random(15)
+    lexicon = toxicity.Lexicon([b"idiot", b"moron", b"trash", b"ape", b"clown"], [b"lowe"])
+    auto = toxicity.Automata(lexicon, block)
+    pool = ["idiot", "id1ot", "st*pid", "moron!", "trahs", "ape", "apes", "lower", "clown", "cl*wn", '"', "“x”", "hello", "world", "b", "é", "idi0t", "mor on"]
+    texts = [" ".join(rng.choice(pool) for _ in range(rng.randrange(0, 40))) for _ in range(120)] + ["", "*", "a*", "x" * 30_000]
+    buffer, starts = b"", [0]
+    for t in texts:
+        buffer += t.lower().encode() + b"\n"
+        starts.append(len(buffer))
+    got = toxicity.features(buffer, np.array(starts), auto)
+    for k, t in enumerate(texts):
+        assert got[k].tolist() == pytest.approx(brute_features(t, lexicon.words, lexicon.stems)), t
+
+
+def test_lexicon_has_no_limit(spark):
+    terms = [f"bad{chr(97 + i // 26)}{chr(97 + i % 26)}xq" for i in range(200)]
+    rows = [(10 * i + k, f"some plain words {t} and more") for i, t in enumerate(terms) for k in range(6)]
+    rows += [(5000 + i, "some plain words and more") for i in range(1200)]
+    labels = [(i, int(i < 5000)) for i, _ in rows] + [(0, 0), (5000, None)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    model = toxicity.learn(docs, spark.createDataFrame(labels, "doc_id long, toxic int"), F.lit(True))
+    got = {r["doc_id"]: r["score"] for r in toxicity.score(docs, model).collect()}
+    assert all((got[i] >= 0.7) == (i < 5000) for i, _ in rows)
+    assert toxicity.score(docs.limit(0), model).count() == 0
+
+
 def test_quotation_counts_apart():
     auto = toxicity.Automaton(toxicity.Lexicon([b"idiot"], []))
     buffer = b'he said "you idiot" to me\nyou idiot\n'
@@ -499,6 +626,50 @@ def test_language(spark):
     assert {r["lang_pred"] for r in language.identify(docs, {}).collect()} == {"und"}
 
 
+def brute_bits(sample, text):
+    """Code length of text after counting sample, byte by byte, longest context first."""
+    seen = {}
+    data = b"\n\n\n" + b"\n\n\n".join(sample) + b"\n\n\n"
+    for i in range(len(data)):
+        for k in range(4):
+            if i >= k:
+                seen.setdefault(data[i - k : i], Counter())[data[i]] += 1
+    bits, data = 0.0, b"\n\n\n" + text + b"\n\n\n"
+    for i in range(3, len(data)):
+        for k in (3, 2, 1, 0):
+            follow = seen.get(data[i - k : i])
+            if follow is None:
+                continue
+            total = sum(follow.values()) + len(follow)
+            if data[i] in follow:
+                bits -= math.log2(follow[data[i]] / total)
+                break
+            bits -= math.log2(len(follow) / total)
+        else:
+            bits += 8
+    return bits
+
+
+def test_language_scores_are_code_lengths(spark):
+    rng = random.Random(14)
+    parts = {"aa": ["ba", "be", "bo", "lu"], "bb": ["kri", "stü", "zwa", "xi"], "cc": ["ba", "kri", "é"]}
+    rows = [(i, " ".join("".join(rng.choice(parts[k]) for _ in range(2)) for _ in range(rng.randrange(1, 9))), k) for i, k in enumerate(["aa", "bb", "cc"] * 20)]
+    rows += [(900, "lu" * 30_000, "dd"), (901, "lu" * 20_000 + "é", None), (902, "?!", "aa"), (3, rows[3][1], "aa")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    trees = language.learn(docs, F.col("doc_id") % 2 == 0)
+    assert sorted(trees) == ["aa", "bb", "cc", "dd"]  # a language of long texts only is learned too
+    samples = {k: sorted({t.encode()[:20_000] for i, t, x in rows if x == k and i % 2 == 0}) for k in trees}
+    got = {(r["doc_id"]): (r["lang_pred"], r["score"]) for r in language.identify(docs, trees).collect()}
+    for i, t, _ in rows:
+        if len(t) > 1000 or i == 902:
+            continue
+        bits = {k: brute_bits(samples[k], t.encode()) for k in samples}
+        best = min(sorted(bits), key=lambda k: bits[k])
+        assert got[i][0] == best
+        assert got[i][1] == pytest.approx(1 / sum(2.0 ** (bits[best] - b) for b in bits.values()), rel=1e-3)
+    assert got[902] == ("und", 0.0) and got[901][0] == "dd"
+
+
 def test_context_tree_is_a_code():
     tree = language.ContextTree([b"abracadabra " * 5])
     for quad in (b"\n\n\n", b"bra", b"zzz"):
