@@ -47,7 +47,7 @@ SYMBOLS = np.frombuffer(b"#*$%&|<>", np.uint8)
 #: Bits a character that the quartiles of a language count as apart at least.
 LEAST_SPREAD = 0.02
 #: Bytes of text of a part, and shuffle partitions for each shard of a language's pairs.
-PART_BYTES, TO_A_SHARD = 4 << 20, 4
+PART_BYTES, TO_A_SHARD = 3 << 20, 4
 MEASURES = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "bits_per_char", "piece_bits_per_char")
 ADDED = (*MEASURES, "lang_group", "text_digest", "base_failed", "kept")
 

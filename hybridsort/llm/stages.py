@@ -26,7 +26,8 @@ def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
     gone = staged(judged.where("not kept").select("lang_group", "text_digest").distinct(), "rejected")
     gone = gone.withColumn("salt", F.explode(F.array(*[F.lit(k) for k in range(SALTS)])))
     keyed = docs.withColumns({"lang_group": F.coalesce("lang", F.lit("")), "text_digest": quality.text_digest(), "salt": F.pmod(F.xxhash64("doc_id"), F.lit(SALTS)).cast("int")})
-    return old_names(keyed.join(gone, ["lang_group", "text_digest", "salt"], "left_anti").select(*docs.columns), old)
+    # the rejected digests grow with the input, so they are never broadcast
+    return old_names(keyed.join(gone.hint("merge"), ["lang_group", "text_digest", "salt"], "left_anti").select(*docs.columns), old)
 
 
 def minhash_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
