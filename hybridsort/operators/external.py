@@ -8,6 +8,7 @@ can also be merged and written as independent jobs, restarted where they ended (
 
 from __future__ import annotations
 
+import functools
 import math
 import uuid
 from concurrent.futures import ThreadPoolExecutor
@@ -67,8 +68,11 @@ def _write(rows: DataFrame, runs: Runs, n: int, order: list[str]) -> None:
     rows.write.bucketBy(n, runs.bucket).sortBy(runs.run, *order).option("path", scratch(runs.spark, "runs")).saveAsTable(runs.name)
 
 
-def make_runs(df: DataFrame, key: str, ptr: list[str], width: int = 10, split_limit: int = 2_000_000, target_rows: int = 2_000_000, run_rows: int = 8_000_000) -> Runs:
-    """Write df as sorted runs, cut by range. No shuffle: a run holds rows of one input split, ``run_rows`` at most."""
+def make_runs(df: DataFrame, key: str, ptr: list[str], width: int = 10, split_limit: int = 2_000_000, target_rows: int = 2_000_000, run_rows: int = 8_000_000, run_of: str | None = None) -> Runs:
+    """Write df as sorted runs, cut by range. No shuffle: a run holds rows of one input split, ``run_rows`` at most.
+
+    With the column ``run_of`` its values are the runs; it is no part of the output.
+    """
     df = prepared(df, key, ptr)
     spark = df.sparkSession
     ranges = Ranges(df, key, width, ptr, split_limit, target_rows)
@@ -76,10 +80,11 @@ def make_runs(df: DataFrame, key: str, ptr: list[str], width: int = 10, split_li
     bucket, run = fresh(ranges.rows, "bucket"), fresh(ranges.rows, "run")
     place = F.monotonically_increasing_id()
     in_split = F.floor(place.bitwiseAND(F.lit((1 << 33) - 1)) / run_rows)
-    rows = ranges.rows.withColumn(run, (F.spark_partition_id().cast("long") * (1 << 20) + in_split).cast("long"))
+    number = F.spark_partition_id().cast("long") * (1 << 20) + in_split if run_of is None else F.col(f"`{run_of}`")
+    rows = ranges.rows.withColumn(run, number.cast("long"))
     rows = rows.withColumn(bucket, F.element_at(F.array(*[F.lit(b) for b in numbers]), F.col(ranges.range_id) + 1)).drop(ranges.range_id, ranges.start)
     starts = [s for _, s, _ in ranges.cuts.ranges] or [0]
-    out = Runs(spark, f"runs_{uuid.uuid4().hex}", bucket, run, ranges.digits, ranges.width, ranges.rest, df.columns, [key, *ptr], numbers, starts)
+    out = Runs(spark, f"runs_{uuid.uuid4().hex}", bucket, run, ranges.digits, ranges.width, ranges.rest, [c for c in df.columns if c != run_of], [key, *ptr], numbers, starts)
     _write(rows, out, len(numbers), out.order)
     return out
 
@@ -142,6 +147,13 @@ def external_sort(df: DataFrame, key: str, ptr: list[str], width: int = 10, spli
     return merge_runs(make_runs(df, key, ptr, width, split_limit, target_rows, run_rows), kernel, most)
 
 
+def merge_sorted(inputs: list[DataFrame], key: str, ptr: list[str], width: int = 10, split_limit: int = 2_000_000, target_rows: int = 2_000_000) -> DataFrame:
+    """One order from several sorted inputs with the same columns: each is a run, and the runs are merged by key."""
+    run = fresh(inputs[0], "input")
+    every = functools.reduce(DataFrame.unionByName, [df.withColumn(run, F.lit(i).cast("long")) for i, df in enumerate(inputs)])
+    return merge_runs(make_runs(every, key, ptr, width, split_limit, target_rows, run_of=run), "kway")
+
+
 def run_pipeline(runs: Runs, path: str, overlap: bool = True, order: str = "key", workers: int = 4) -> DataFrame:
     """Merge and write every range as a job of its own, and return the whole output.
 

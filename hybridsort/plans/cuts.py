@@ -51,6 +51,15 @@ class Cuts:
     def leaves(self) -> list[Node]:
         return [x for x in self.nodes if x.node < 0]
 
+    def routes(self, compare_limit: int) -> dict[str, tuple[int, int]]:
+        """Buckets and rows by what happens to them: ``cooperative`` ones were refined by a scan of everybody, the others are one task's work."""
+        out: dict[str, tuple[int, int]] = {}
+        for x in self.nodes:
+            name = "cooperative" if x.node >= 0 else "finished" if x.low == x.high else "comparison" if x.n < compare_limit else "sequential"
+            buckets, rows = out.get(name, (0, 0))
+            out[name] = (buckets + 1, rows + x.n)
+        return out
+
     def levels(self) -> int:
         return max((x.level for x in self.nodes), default=-1) + 1
 

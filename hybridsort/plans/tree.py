@@ -81,6 +81,20 @@ def route(n: Column, depth: Column, split_limit: int, compare_limit: int, width:
     return F.when((n <= 1) | (depth >= width), "finished").when(n > split_limit, "cooperative").when(tiny, "comparison").otherwise("sequential")
 
 
+def leaf_depths(df: DataFrame, key: str, width: int, split_limit: int) -> DataFrame:
+    """df with ``depth``: the least number of digits that at most ``split_limit`` rows share with the row, or all of them.
+
+    The definition of the leaves, a window for each digit; ``leaves`` finds the same from histograms.
+    """
+    out = df
+    depth = F.lit(width)
+    for d in range(width - 1, 0, -1):
+        name = f"__n{d}"
+        out = out.withColumn(name, F.count("*").over(Window.partitionBy(F.substring(key, 1, 2 * d))))
+        depth = F.when(F.col(name) <= split_limit, d).otherwise(depth)
+    return out.select(*[f"`{c}`" for c in df.columns], depth.alias("depth"))
+
+
 def tree_nodes(df: DataFrame, key: Column, width: int, split_limit: int, compare_limit: int, eager_tiny: bool = False) -> DataFrame:
     """Every node that the adaptive sort meets: prefix, depth, n, route, from_task; for cost counting on small widths."""
     rows = kept(df.select(key.alias("k")), "keys")

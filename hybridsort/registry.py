@@ -6,12 +6,12 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import queries_around, queries_sort
+from . import queries_around, queries_more, queries_sort
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return queries_sort.QUERIES | queries_around.QUERIES
+    return queries_sort.QUERIES | queries_around.QUERIES | queries_more.QUERIES
 
 
 def oracle_sql() -> dict[str, str]:
-    return queries_sort.SQL | queries_around.SQL
+    return queries_sort.SQL | queries_around.SQL | queries_more.SQL

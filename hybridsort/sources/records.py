@@ -5,7 +5,9 @@ from __future__ import annotations
 from collections.abc import Iterator
 from dataclasses import dataclass
 
+import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.datasource import DataSource, DataSourceArrowWriter, DataSourceReader, InputPartition, WriterCommitMessage
@@ -24,6 +26,16 @@ class PartFile(WriterCommitMessage):
     rows: int
 
 
+def local(path: str) -> str:
+    """A path for ``open``: the scheme of local files is taken off, any other is refused."""
+    scheme, colon, rest = path.partition(":")
+    if not colon or "/" in scheme:
+        return path
+    if scheme != "file":
+        raise ValueError(f"{path}: the workers open this path themselves, so it has to be one of theirs, such as a mounted folder")
+    return "/" + rest.lstrip("/")
+
+
 class FixedRecords(DataSource):
     """Format ``fixed_records``: options path, record_bytes (100), key_bytes (10), request_bytes (262144), split_bytes.
 
@@ -47,7 +59,7 @@ class FixedRecords(DataSource):
 
 class FixedReader(DataSourceReader):
     def __init__(self, options):
-        self.path = options["path"]
+        self.path = local(options["path"])
         self.record, self.key = int(options.get("record_bytes", 100)), int(options.get("key_bytes", 10))
         whole = lambda n: max(1, n // self.record) * self.record
         self.request, self.split = whole(int(options.get("request_bytes", 262144))), whole(int(options.get("split_bytes", 128 << 20)))
@@ -73,15 +85,29 @@ class FixedReader(DataSourceReader):
                 data = f.read(min(self.request, left))
                 left -= len(data)
                 n = len(data) // self.record
-                rows = [data[i * self.record : (i + 1) * self.record] for i in range(n)]
-                yield pa.RecordBatch.from_arrays([pa.array([r[: self.key] for r in rows], pa.binary()), pa.array([r[self.key :] for r in rows], pa.binary())], names=["key", "value"])
+                rows = np.frombuffer(data, np.uint8).reshape(n, self.record)
+                yield pa.RecordBatch.from_arrays([_fixed(rows[:, : self.key]), _fixed(rows[:, self.key :])], names=["key", "value"])
+
+
+def _fixed(rows: np.ndarray) -> pa.Array:
+    """Rows of bytes as binary values, without a Python object for each."""
+    n, size = rows.shape
+    offsets = np.arange(n + 1, dtype=np.int32) * np.int32(size)
+    return pa.BinaryArray.from_buffers(pa.binary(), n, [None, pa.py_buffer(offsets), pa.py_buffer(np.ascontiguousarray(rows))])
+
+
+def _rows(values: pa.Array, size: int) -> np.ndarray:
+    """Binary values of one size, none of them null, as rows of bytes."""
+    _, offsets, data = values.buffers()
+    first = int(np.frombuffer(offsets, np.int32)[values.offset])
+    return np.frombuffer(data, np.uint8, len(values) * size, first).reshape(-1, size)
 
 
 class FixedWriter(DataSourceArrowWriter):
     """Part files in partition order; the names sort as the partitions do."""
 
     def __init__(self, options):
-        self.path, self.record = options["path"], int(options.get("record_bytes", 100))
+        self.path, self.record = local(options["path"]), int(options.get("record_bytes", 100))
 
     def write(self, batches: Iterator[pa.RecordBatch]) -> PartFile:
         from pathlib import Path
@@ -95,12 +121,13 @@ class FixedWriter(DataSourceArrowWriter):
         rows = 0
         with to.open("wb") as f:
             for batch in batches:
-                for key, value in zip(batch.column(0), batch.column(1), strict=True):
-                    data = key.as_py() + value.as_py()
-                    if len(data) != self.record:
-                        raise ValueError(f"a record has {len(data)} bytes, not {self.record}")
-                    f.write(data)
-                    rows += 1
+                if not batch.num_rows:
+                    continue
+                sizes = [pc.unique(pc.binary_length(c)).to_pylist() for c in batch.columns[:2]]
+                if any(len(n) != 1 or n[0] is None for n in sizes) or sizes[0][0] + sizes[1][0] != self.record:
+                    raise ValueError(f"records have keys of {sizes[0]} and values of {sizes[1]} bytes, which is not {self.record} together")
+                f.write(np.hstack([_rows(c, n[0]) for c, n in zip(batch.columns[:2], sizes, strict=True)]).tobytes())
+                rows += batch.num_rows
         return PartFile(str(to), rows)
 
     def commit(self, messages) -> None:
@@ -127,8 +154,3 @@ def records(df: DataFrame, key: Column, payload: list[str], value_bytes: int = 9
     """key (bytes of a hex key) and a value of fixed size: the columns joined by bars, padded with blanks."""
     text = F.rpad(F.concat_ws("|", *[F.col(c).cast("string") for c in payload]), value_bytes, " ")
     return df.select(F.unhex(key).alias("key"), text.cast("binary").alias("value"))
-
-
-def with_pointer(df: DataFrame) -> DataFrame:
-    """Rows of a file scan with where they stand: file and row number."""
-    return df.select("*", F.col("_metadata.file_path").alias("file_path"), F.col("_metadata.row_index").alias("row_index"))

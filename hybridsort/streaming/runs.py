@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.keys import uniform_binary
-from ..operators.external import external_sort
+from ..operators.external import make_runs, merge_runs
 from ..sources.tables import scratch, table
 
 
@@ -33,8 +33,8 @@ def _drain(stream: DataFrame, spark: SparkSession, tag: str, mode: str = "append
     return spark.read.schema(stream.schema).parquet(f"{path}/{put.last}")
 
 
-def sorted_from_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Each micro-batch becomes a sorted run; the runs are merged by range at the end."""
+def sorted_from_stream(spark: SparkSession, sf_dir: str, most: int = 500) -> DataFrame:
+    """Each micro-batch becomes a sorted run; the runs are merged by range at the end, in rounds where more than ``most`` meet."""
     stream = source(spark, sf_dir, "events").select(uniform_binary("event_id").alias("k"), "event_id")
     path, marks = scratch(spark, "runs"), scratch(spark, "runs-marks")
 
@@ -42,9 +42,9 @@ def sorted_from_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
         batch.sortWithinPartitions("k", "event_id").write.mode("overwrite").parquet(f"{path}/batch={number}")
 
     stream.writeStream.foreachBatch(put).option("checkpointLocation", marks).trigger(availableNow=True).start().awaitTermination()
-    runs = spark.read.parquet(path).drop("batch")
-    target = max(1000, min(2_000_000, runs.count() // 8))
-    return external_sort(runs, "k", ["event_id"], 10, target // 10, target)
+    rows = spark.read.parquet(path)
+    target = max(1000, min(2_000_000, rows.count() // 8))
+    return merge_runs(make_runs(rows, "k", ["event_id"], 10, target // 10, target, run_of="batch"), "kway", most)
 
 
 def histogram_from_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
