@@ -349,8 +349,8 @@ def remove(docs: DataFrame, kind: Kind, carry: list[str] | None = None) -> DataF
     text = F.coalesce("text", F.lit(""))
     digest = F.md5(text.cast("binary"))
     half = lambda k: F.conv(F.substring(digest, k, 16), 16, -10).cast("long")
-    # the lowest bit of k2 tells rows without an id
-    own = [F.coalesce(F.col("doc_id").cast("long"), half(1)).alias("k1"), half(17).bitwiseAND(F.lit(-2)).bitwiseOR(F.col("doc_id").isNull().cast("long")).alias("k2")]
+    # the lowest bit of k2 tells rows without an id; neither can be null, else joins would filter some of the readings of one exchange
+    own = [F.coalesce(F.col("doc_id").cast("long"), half(1), F.lit(0)).alias("k1"), F.coalesce(half(17), F.lit(0)).bitwiseAND(F.lit(-2)).bitwiseOR(F.col("doc_id").isNull().cast("long")).alias("k2")]
     text = text.alias("text")
     keyed = docs.select(*own, text)
     narrow = docs.select(*own, F.unhex(digest).alias("digest"))
