@@ -8,6 +8,7 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 #: Temporary SQL functions; they are expressions, so they stay inside generated code.
 SQL_FUNCTIONS = {
@@ -19,7 +20,7 @@ SQL_FUNCTIONS = {
 }
 
 
-@F.pandas_udf("array<long>")
+@F.pandas_udf(T.ArrayType(T.LongType()))
 def digit_counts(digits: pd.Series) -> list:
     """How often each of the 256 digit values (two hex characters) occurs in a group."""
     known = digits.dropna()
@@ -27,7 +28,7 @@ def digit_counts(digits: pd.Series) -> list:
     return np.bincount(values, minlength=256).tolist()
 
 
-@F.udtf(returnType="prefix string, n long, start long")
+@F.udtf(returnType=T.StructType([T.StructField("prefix", T.StringType()), T.StructField("n", T.LongType()), T.StructField("start", T.LongType())]))
 class BucketChildren:
     """The non-empty children of a bucket from its counts, with the offset of each."""
 

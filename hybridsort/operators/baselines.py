@@ -36,7 +36,7 @@ def single_task_sort(df: DataFrame, key: str, ptr: list[str]) -> DataFrame:
     return df.coalesce(1).select(rank.cast("long").alias("position"), *[f"`{c}`" for c in df.columns])
 
 
-def staged_sort(df: DataFrame, key: str, ptr: list[str], path: str) -> dict[str, float]:
+def staged_sort(df: DataFrame, key: str, ptr: list[str], path: str, **options) -> dict[str, float]:
     """Read, sort and write without overlap, each materialised before the next; seconds of each."""
     import time
 
@@ -46,7 +46,7 @@ def staged_sort(df: DataFrame, key: str, ptr: list[str], path: str) -> dict[str,
     read = df.persist(StorageLevel.MEMORY_AND_DISK)
     read.count()
     marks.append(time.perf_counter())
-    ordered = comparison_sort(read, key, ptr).persist(StorageLevel.MEMORY_AND_DISK)
+    ordered = comparison_sort(read, key, ptr, **options).persist(StorageLevel.MEMORY_AND_DISK)
     ordered.count()
     marks.append(time.perf_counter())
     ordered.write.mode("overwrite").parquet(path)

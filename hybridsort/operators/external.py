@@ -71,7 +71,7 @@ def _write(rows: DataFrame, runs: Runs, n: int, order: list[str]) -> None:
 def make_runs(df: DataFrame, key: str, ptr: list[str], width: int = 10, split_limit: int = 2_000_000, target_rows: int = 2_000_000, run_rows: int = 8_000_000, run_of: str | None = None) -> Runs:
     """Write df as sorted runs, cut by range. No shuffle: a run holds rows of one input split, ``run_rows`` at most.
 
-    With the column ``run_of`` its values are the runs; it is no part of the output.
+    With the column ``run_of`` its values are the runs, as far as a task has them; it is no part of the output.
     """
     df = prepared(df, key, ptr)
     spark = df.sparkSession
@@ -80,7 +80,7 @@ def make_runs(df: DataFrame, key: str, ptr: list[str], width: int = 10, split_li
     bucket, run = fresh(ranges.rows, "bucket"), fresh(ranges.rows, "run")
     place = F.monotonically_increasing_id()
     in_split = F.floor(place.bitwiseAND(F.lit((1 << 33) - 1)) / run_rows)
-    number = F.spark_partition_id().cast("long") * (1 << 20) + in_split if run_of is None else F.col(f"`{run_of}`")
+    number = F.spark_partition_id().cast("long") * (1 << 20) + in_split if run_of is None else F.col(f"`{run_of}`").cast("long") * (1 << 32) + F.spark_partition_id()
     rows = ranges.rows.withColumn(run, number.cast("long"))
     rows = rows.withColumn(bucket, F.element_at(F.array(*[F.lit(b) for b in numbers]), F.col(ranges.range_id) + 1)).drop(ranges.range_id, ranges.start)
     starts = [s for _, s, _ in ranges.cuts.ranges] or [0]

@@ -45,6 +45,7 @@ def radix_merge_join(left: DataFrame, right: DataFrame, key: str, width: int, ta
     rest = [left.schema[c] for c in left.columns if c != key], [right.schema[c] for c in right.columns if c != key]
     schema = T.StructType([left.schema[key], *[T.StructField(f.name, f.dataType) for part in rest for f in part]])
     sides = [s.withColumn(name, F.when(F.col(key).isNotNull(), F.unhex(name))) for s in (a, b)]
+    sides[1] = sides[1].select(*[F.col(f"`{c}`").alias(c) for c in sides[1].columns])  # a table may be joined to itself
     merge = _merging(key, name, width + 1, [f.name for f in rest[0]], [f.name for f in rest[1]], how)
     return sides[0].groupBy(cell, pieces).cogroup(sides[1].groupBy(cell, pieces)).applyInArrow(merge, schema)
 

@@ -40,12 +40,14 @@ def prepared(df: DataFrame, key: str, ptr: list[str]) -> DataFrame:
 def with_digits(df: DataFrame, key: str, width: int, ptr: list[str], full_key: str | None = None) -> tuple[DataFrame, str, int, list[str]]:
     """df with the digits of its whole order, their column and number, and the columns that they leave unsettled.
 
-    After the key come digits of the full key or of the pointers, up to the first whose digits don't tell
+    Shorter keys are filled up with zeros, longer ones are an error. After the key come digits of the full key or of the pointers, up to the first whose digits don't tell
     all its values apart.
     """
     name = fresh(df, "digits")
     k = F.col(f"`{key}`")
-    parts, size = [F.when(k.isNull(), F.lit("00" * (width + 1))).otherwise(F.concat(F.lit("01"), k))], width + 1
+    long = F.raise_error(F.lit(f"a key is longer than {width} bytes")).cast("string")
+    own = F.when(F.length(k) > 2 * width, long).otherwise(F.rpad(k, 2 * width, "0"))
+    parts, size = [F.when(k.isNull(), F.lit("00" * (width + 1))).otherwise(F.concat(F.lit("01"), own))], width + 1
     rest = [*([full_key] if full_key else []), *ptr]
     while rest:
         digits, more, whole = tie_digits(F.col(f"`{rest[0]}`"), df.schema[rest[0]].dataType)

@@ -69,16 +69,18 @@ def leaves(df: DataFrame, key: Column, width: int, split_limit: int, step: int =
     return kept(out, "leaves")
 
 
-def route(n: Column, depth: Column, split_limit: int, compare_limit: int, width: int, eager_tiny: bool = False, from_task: Column | None = None) -> Column:
+def route(n: Column, depth: Column, split_limit: int, compare_limit: int, width: int, eager_tiny: bool = False, from_task: Column | None = None, single_finished: bool = True) -> Column:
     """What happens to a bucket: all workers on it, one task, a comparison sort, or nothing more.
 
     Above split_limit it is shared, below compare_limit it is compared; the second test is only made
-    for buckets that come out of a task, unless ``eager_tiny``.
+    for buckets that come out of a task, unless ``eager_tiny``. A single key is finished at once, unless
+    ``single_finished`` is off.
     """
     tiny = n < compare_limit
     if not eager_tiny and from_task is not None:
         tiny = tiny & from_task
-    return F.when((n <= 1) | (depth >= width), "finished").when(n > split_limit, "cooperative").when(tiny, "comparison").otherwise("sequential")
+    done = depth >= width
+    return F.when((n <= 1) | done if single_finished else done, "finished").when(n > split_limit, "cooperative").when(tiny, "comparison").otherwise("sequential")
 
 
 def leaf_depths(df: DataFrame, key: str, width: int, split_limit: int) -> DataFrame:
@@ -95,7 +97,7 @@ def leaf_depths(df: DataFrame, key: str, width: int, split_limit: int) -> DataFr
     return out.select(*[f"`{c}`" for c in df.columns], depth.alias("depth"))
 
 
-def tree_nodes(df: DataFrame, key: Column, width: int, split_limit: int, compare_limit: int, eager_tiny: bool = False) -> DataFrame:
+def tree_nodes(df: DataFrame, key: Column, width: int, split_limit: int, compare_limit: int, eager_tiny: bool = False, single_finished: bool = True) -> DataFrame:
     """Every node that the adaptive sort meets: prefix, depth, n, route, from_task; for cost counting on small widths."""
     rows = kept(df.select(key.alias("k")), "keys")
     level = rows.agg(F.count("*").alias("n")).select(F.lit("").alias("prefix"), F.lit(0).alias("depth"), "n", F.lit("cooperative").alias("route"), F.lit(False).alias("from_task"))
@@ -104,7 +106,7 @@ def tree_nodes(df: DataFrame, key: Column, width: int, split_limit: int, compare
         active = level.where(F.col("route").isin("cooperative", "sequential")).select(F.col("prefix").alias("above"), (F.col("route") == "sequential").alias("from_task"))
         cut = rows.groupBy(prefix(F.col("k"), d).alias("prefix")).agg(F.count("*").alias("n")).withColumn("above", prefix(F.col("prefix"), d - 1))
         level = cut.join(F.broadcast(active), "above").select("prefix", F.lit(d).alias("depth"), "n", "from_task")
-        level = level.withColumn("route", route(F.col("n"), F.col("depth"), split_limit, compare_limit, width, eager_tiny, F.col("from_task")))
+        level = level.withColumn("route", route(F.col("n"), F.col("depth"), split_limit, compare_limit, width, eager_tiny, F.col("from_task"), single_finished))
         level = kept(level.select("prefix", "depth", "n", "route", "from_task"), "level")
         out = out.unionByName(level)
     return out

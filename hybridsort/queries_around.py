@@ -6,7 +6,7 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from .functions import keys as K
-from .operators import joins
+from .operators import baselines, joins
 from .sources import records as R
 from .sources.tables import table
 
@@ -91,7 +91,13 @@ query("win_topk_per_group", "lineitem", "select l_suppkey, l_orderkey, l_linenum
 query("win_sessionize", "events", "select event_id, cast(sum(case when gap is null or gap > 1800000000 then 1 else 0 end) over (partition by user_id order by ts, event_id) as bigint) as session from (select *, epoch_us(ts) - lag(epoch_us(ts)) over (partition by user_id order by ts, event_id) as gap from events)")(lambda e: e.withColumn("at", F.unix_micros(F.col("ts").cast("timestamp"))).withColumn("gap", F.col("at") - F.lag("at").over(w := W.partitionBy("user_id").orderBy("ts", "event_id"))).select("event_id", F.sum(F.when(F.col("gap").isNull() | (F.col("gap") > 1800000000), 1).otherwise(0)).over(w).cast("long").alias("session")))
 
 # Order, limit, sets
-query("order_nulls_first_last", "documents labels", "select doc_id, row_number() over (order by quality nulls last, doc_id) as r from documents left join labels using (doc_id) order by r limit 100")(lambda d, lab: d.join(lab, "doc_id", "left").select("doc_id", "quality").orderBy(F.asc_nulls_last("quality"), "doc_id").limit(100).select("doc_id", F.row_number().over(W.orderBy(F.asc_nulls_last("quality"), "doc_id")).cast("long").alias("r")))
+@query("order_nulls_first_last", "documents labels", "select doc_id, row_number() over (order by quality nulls last, doc_id) as r from documents left join labels using (doc_id)")
+def _nulls_last(docs, labels):
+    """Positions of all rows; without labels they stand last."""
+    rows = docs.join(labels, "doc_id", "left").select("doc_id", "quality")
+    return baselines.spark_sort(rows, F.asc_nulls_last("quality"), F.asc("doc_id")).select("doc_id", F.col("position").alias("r"))
+
+
 query("topk_global", "orders", "select o_orderkey from orders order by o_totalprice desc, o_orderkey limit 20")(lambda o: o.orderBy(F.desc("o_totalprice"), "o_orderkey").limit(20).select("o_orderkey"))
 query("bottomk_global", "orders", "select o_orderkey from orders order by o_totalprice, o_orderkey limit 20")(lambda o: o.orderBy("o_totalprice", "o_orderkey").limit(20).select("o_orderkey"))
 query("limit_offset", "orders", "select o_orderkey from orders order by o_orderkey limit 10 offset 30")(lambda o: o.orderBy("o_orderkey").offset(30).limit(10).select("o_orderkey"))

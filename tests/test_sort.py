@@ -69,28 +69,6 @@ def test_tree_is_the_shallowest(spark):
             assert sum(k.startswith(r["prefix"][:2]) for k in keys) > 20
 
 
-@pytest.mark.parametrize("eager,moves", [(False, 28), (True, 25)])
-def test_route_example(spark, eager, moves):
-    # digit 0: a6 b3 c1; a splits into 4, 1, 1; b into 2, 1; c into 1
-    keys = ["0A0000", "0A0001", "0A0002", "0A0003", "0A0100", "0A0200", "0B0000", "0B0001", "0B0100", "0C0000"]
-    total = 0
-    level = {"": len(keys)}
-    route = {"": "cooperative"}
-    for d in range(3):
-        nxt, nroute = {}, {}
-        for p, n in level.items():
-            if route[p] not in ("cooperative", "sequential"):
-                continue
-            total += n
-            task = route[p] == "sequential"
-            for q in {k[: 2 * d + 2] for k in keys if k.startswith(p)}:
-                m = sum(k.startswith(q) for k in keys)
-                tiny = m < 2 and (eager or task)
-                nxt[q], nroute[q] = m, "cooperative" if m > 4 else "comparison" if tiny else "sequential"
-        level, route = nxt, nroute
-    assert total == moves
-
-
 def test_modes():
     gb = 1 << 30
     assert [engine.choose_mode(n * gb, 30 * gb) for n in (10, 15, 16, 20, 30, 31, 60)] == ["internal", "internal", "partial", "partial", "partial", "external", "external"]
