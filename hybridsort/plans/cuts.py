@@ -1,9 +1,10 @@
 """Cut points of a sort: contiguous key ranges of about equal size, from exact histograms.
 
-The first scan counts two digits at once. Buckets above the limit are refined one digit a scan, each at
-the digit where its own keys first differ, so that long common prefixes cost nothing. Only counts reach
-the driver: 65,536 of the first scan, and of each later one 256 for each heavy bucket, of which there
-are MAX_LEAVES at most. Rows find their range by one broadcast hash join for each scan.
+The first scan counts two digits at once, and sums them to one digit where that bucket is small. Buckets
+above the limit are refined one digit a scan, each at the digit where its own keys first differ, so that
+long common prefixes cost nothing. Only counts reach the driver: 65,536 of the first scan at most, and
+of each later one 256 for each heavy bucket, of which there are MAX_LEAVES at most. Rows find their
+range by one broadcast hash join for each level of the tree.
 """
 
 from __future__ import annotations
@@ -13,14 +14,13 @@ from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..sources.tables import fresh
 
 #: Leaves of a tree at most; beyond, leaves and ranges grow with the rows, and Spark's sorter spills inside them.
 MAX_LEAVES = 50_000
-FIRST = 2
 
 
 @dataclass
@@ -39,6 +39,7 @@ class Node:
     range_id: int = -1
     start: int = 0
     pieces: int = 1
+    open: bool = True
 
 
 @dataclass
@@ -69,10 +70,10 @@ class Cuts:
         return pa.table({name: pa.array([getattr(x, name) for x in own], kind) for name, kind in kinds})
 
 
-def _descend(df: DataFrame, key: Column, cuts: Cuts, levels: int) -> tuple[DataFrame, list[dict[str, str]]]:
-    """df joined to the first ``levels`` levels; the names of the columns that each has added."""
+def _descend(df: DataFrame, key: Column, cuts: Cuts) -> tuple[DataFrame, list[dict[str, str]]]:
+    """df joined to the levels known so far; the names of the columns that each has added."""
     out, names = df, []
-    for level in range(levels):
+    for level in range(cuts.levels()):
         own = {c: fresh(out, f"{c}{level}") for c in ("parent", "digits", "node", "depth", "range_id", "start", "pieces")}
         right = df.sparkSession.createDataFrame(cuts.table(level)).withColumnsRenamed(own)  # bounded by MAX_LEAVES
         if level:
@@ -80,40 +81,58 @@ def _descend(df: DataFrame, key: Column, cuts: Cuts, levels: int) -> tuple[DataF
             digits = F.substring(key, 2 * F.col(last["depth"]) + 1, F.lit(2))
             on = (F.col(last["node"]) == F.col(own["parent"])) & (digits == F.col(own["digits"]))
         else:
-            on = F.substring(key, 1, 2 * FIRST) == F.col(own["digits"])
+            on = F.substring(key, 1, 2) == F.col(own["digits"])
         out = out.join(F.broadcast(right), on, "left")
         names.append(own)
     return out, names
 
 
+def _counted(rows: DataFrame, *group: Column) -> DataFrame:
+    return rows.groupBy(*group).agg(F.count("*").alias("n"), F.min("k").alias("low"), F.max("k").alias("high"))
+
+
 def cut(df: DataFrame, key: Column, width: int, split_limit: int, target_rows: int) -> Cuts:
     """The ranges of df by the hex key ``key`` of ``width`` bytes, which is never null."""
     rows = df.select(key.alias("k"))
     k = F.col("k")
-    out, heavy, level = Cuts(), 1, 0
-    while heavy:
-        if level:
-            found, names = _descend(rows, k, out, level)
-            node, depth = F.col(names[-1]["node"]), F.col(names[-1]["depth"])
-            group = [node.alias("parent"), F.substring(k, 2 * depth + 1, F.lit(2)).alias("digits")]
-            found = found.where(node >= 0).groupBy(*group)
-        else:
-            found = rows.groupBy(F.lit(0).alias("parent"), F.substring(k, 1, 2 * FIRST).alias("digits"))
-        counted = found.agg(F.count("*").alias("n"), F.min("k").alias("low"), F.max("k").alias("high")).toArrow().to_pylist()
-        if not level:
-            out.rows = sum(r["n"] for r in counted)
-            split_limit, target_rows = max(split_limit, out.rows // MAX_LEAVES), max(target_rows, out.rows // MAX_LEAVES)
-        above = {x.node: x for x in out.nodes if x.level == level - 1 and x.node >= 0}
-        heavy = 0
-        for r in counted:
-            lead = above[r["parent"]].low[: 2 * above[r["parent"]].depth] if level else ""
-            x = Node(level, r["parent"], r["digits"], lead + r["digits"], r["n"], r["low"], r["high"])
-            shared = len(os.path.commonprefix([x.low, x.high])) // 2
-            if x.n > split_limit and shared < width:
-                x.node, x.depth = heavy, shared
-                heavy += 1
-            out.nodes.append(x)
-        level += 1
+    both = _counted(rows, F.substring(k, 1, 4).alias("digits"))
+    lead = F.substring("digits", 1, 2)
+    small = F.sum("n").over(Window.partitionBy(lead)) <= split_limit
+    both = both.withColumn("digits", F.when(small, lead).otherwise(F.col("digits")))
+    first = both.groupBy("digits").agg(F.sum("n").alias("n"), F.min("low").alias("low"), F.max("high").alias("high")).toArrow().to_pylist()
+    out = Cuts(sum(r["n"] for r in first))
+    split_limit, target_rows = max(split_limit, out.rows // MAX_LEAVES), max(target_rows, out.rows // MAX_LEAVES)
+    heavy: dict[int, Node] = {}
+
+    def add(parent: Node | None, r: dict) -> Node:
+        """A bucket; it is heavy if it is large and its keys differ."""
+        lead = parent.low[: 2 * parent.depth] if parent else ""
+        x = Node(parent.level + 1 if parent else 0, parent.node if parent else 0, r["digits"], lead + r["digits"], r["n"], r["low"], r["high"])
+        shared = len(os.path.commonprefix([x.low, x.high])) // 2
+        if x.n > split_limit and shared < width:
+            x.node, x.depth = len(heavy), shared
+            heavy[x.node] = x
+        out.nodes.append(x)
+        return x
+
+    leads: dict[str, list[dict]] = {}
+    for r in first:
+        leads.setdefault(r["digits"][:2], []).append(r)
+    for digits, parts in leads.items():
+        x = add(None, {"digits": digits, "n": sum(r["n"] for r in parts), "low": min(r["low"] for r in parts), "high": max(r["high"] for r in parts)})
+        if x.node >= 0 and x.depth == 1:  # the second digit is counted already
+            x.open = False
+            for r in parts:
+                add(x, {**r, "digits": r["digits"][2:4]})
+    while any(x.open for x in heavy.values()):
+        found, names = _descend(rows, k, out)
+        node, depth = (F.coalesce(*[F.col(own[c]) for own in reversed(names)]) for c in ("node", "depth"))
+        counted = _counted(found.select("k", node.alias("parent"), depth.alias("depth")).where("parent >= 0"), F.col("parent"), F.substring(k, 2 * F.col("depth") + 1, F.lit(2)).alias("digits"))
+        children = counted.toArrow().to_pylist()
+        for x in heavy.values():
+            x.open = False
+        for r in children:
+            add(heavy[r["parent"]], r)
     _pack(out, target_rows)
     return out
 
@@ -135,7 +154,7 @@ def _pack(cuts: Cuts, target_rows: int) -> None:
 
 def deal(df: DataFrame, key: str, cuts: Cuts, **names: str) -> DataFrame:
     """df with the leaf's values under the given names (range_id, start, pieces); a row that was not counted is an error."""
-    out, levels = _descend(df, F.col(f"`{key}`"), cuts, cuts.levels())
+    out, levels = _descend(df, F.col(f"`{key}`"), cuts)
     found = {}
     for value, name in names.items():
         settled = [F.when(F.col(own["node"]) < 0, F.col(own[value])) for own in levels]

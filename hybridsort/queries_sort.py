@@ -56,9 +56,9 @@ def load(spark, sf_dir: str, name: str) -> tuple[DataFrame, list[str], int]:
 
 
 def limits(df: DataFrame) -> dict[str, int]:
-    """Rows of a range for about a dozen ranges on small data, and two million at most; leaves are a tenth of it."""
+    """Rows of a range for about a dozen ranges on small data, and two million at most; leaves are a quarter of it."""
     target = max(1000, min(2_000_000, df.count() // 12))
-    return {"split_limit": target // 10, "target_rows": target}
+    return {"split_limit": target // 4, "target_rows": target}
 
 
 def pairs_sql(name: str) -> str:
