@@ -23,7 +23,7 @@ from pyspark.sql import types as T
 
 from ..sources.tables import delete, exists, fresh, scratch
 from .kernels import kway_merge
-from .msd import Ranges, key_bytes, named, prepared
+from .msd import Ranges, key_bytes, named, prepared, with_digits
 
 
 @dataclass
@@ -34,9 +34,7 @@ class Runs:
     name: str
     bucket: str
     run: str
-    digits: str
     width: int
-    rest: list[str]
     columns: list[str]
     order: list[str]
     buckets: list[int]  # of each range
@@ -45,6 +43,10 @@ class Runs:
     def read(self) -> DataFrame:
         return self.spark.table(self.name)
 
+    def with_digits(self) -> tuple[DataFrame, str, int, list[str]]:
+        """The rows with the digits of their order, which are made again rather than stored."""
+        return with_digits(self.read(), self.order[0], self.width, self.order[1:])
+
     def drop(self) -> None:
         self.spark.sql(f"drop table if exists {self.name}")
 
@@ -82,9 +84,9 @@ def make_runs(df: DataFrame, key: str, ptr: list[str], width: int = 10, split_li
     in_split = F.floor(place.bitwiseAND(F.lit((1 << 33) - 1)) / run_rows)
     number = F.spark_partition_id().cast("long") * (1 << 20) + in_split if run_of is None else F.col(f"`{run_of}`").cast("long") * (1 << 32) + F.spark_partition_id()
     rows = ranges.rows.withColumn(run, number.cast("long"))
-    rows = rows.withColumn(bucket, F.element_at(F.array(*[F.lit(b) for b in numbers]), F.col(ranges.range_id) + 1)).drop(ranges.range_id, ranges.start)
+    rows = rows.withColumn(bucket, F.element_at(F.array(*[F.lit(b) for b in numbers]), F.col(ranges.range_id) + 1)).drop(ranges.range_id, ranges.start, ranges.digits)
     starts = [s for _, s, _ in ranges.cuts.ranges] or [0]
-    out = Runs(spark, f"runs_{uuid.uuid4().hex}", bucket, run, ranges.digits, ranges.width, ranges.rest, [c for c in df.columns if c != run_of], [key, *ptr], numbers, starts)
+    out = Runs(spark, f"runs_{uuid.uuid4().hex}", bucket, run, width, [c for c in df.columns if c != run_of], [key, *ptr], numbers, starts)
     _write(rows, out, len(numbers), out.order)
     return out
 
@@ -113,14 +115,15 @@ def merge_runs(runs: Runs, kernel: str = "jvm", most: int = 500) -> DataFrame:
     while fan_in(runs) > most:
         runs = compact(runs, most)
     start = F.element_at(F.map_from_arrays(F.array(*[F.lit(b) for b in runs.buckets]), F.array(*[F.lit(int(s)) for s in runs.starts])), F.col(runs.bucket))
-    rows = runs.read()
     if kernel == "jvm":
+        rows = runs.read()
         rank = F.row_number().over(Window.partitionBy(runs.bucket).orderBy(*[F.col(f"`{c}`").asc_nulls_first() for c in runs.order]))
         return rows.withColumn(runs.run, rank).select((start + F.col(runs.run)).cast("long").alias("position"), *named(runs.columns))
+    rows, digits, width, rest = runs.with_digits()
     first = fresh(rows, "first")
     schema = T.StructType([T.StructField("position", T.LongType()), *[rows.schema[c] for c in runs.columns]])
-    rows = rows.withColumns({first: start.cast("long"), runs.digits: F.unhex(runs.digits)})
-    return rows.groupBy(runs.bucket).applyInArrow(_merging(runs.digits, runs.width, runs.run, first, runs.columns, runs.rest), schema)
+    rows = rows.withColumns({first: start.cast("long"), digits: F.unhex(digits)})
+    return rows.groupBy(runs.bucket).applyInArrow(_merging(digits, width, runs.run, first, runs.columns, rest), schema)
 
 
 def _merging(digits: str, width: int, run: str, first: str, columns: list[str], rest: list[str]):
@@ -193,7 +196,8 @@ def run_pipeline(runs: Runs, path: str, overlap: bool = True, order: str = "key"
 def count_runs(runs: Runs) -> DataFrame:
     """Rows of all runs, ranges, and whether every run is sorted within its range; the number of runs and the fan-in depend on the splits."""
     by = Window.partitionBy(runs.bucket, runs.run).orderBy(*[F.col(f"`{c}`").asc_nulls_first() for c in runs.order])
-    rows = runs.read().withColumn("before", F.lag(runs.digits).over(by))
-    return rows.agg(F.count("*").alias("rows"), F.countDistinct(runs.bucket).alias("ranges"), F.bool_and(F.coalesce(F.col("before") <= F.col(runs.digits), F.lit(True))).alias("ordered"), F.max(runs.run).alias("last_run"))
+    rows, digits, _, _ = runs.with_digits()
+    rows = rows.withColumn("before", F.lag(digits).over(by))
+    return rows.agg(F.count("*").alias("rows"), F.countDistinct(runs.bucket).alias("ranges"), F.bool_and(F.coalesce(F.col("before") <= F.col(digits), F.lit(True))).alias("ordered"), F.max(runs.run).alias("last_run"))
 
 

@@ -15,7 +15,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -37,6 +37,14 @@ def prepared(df: DataFrame, key: str, ptr: list[str]) -> DataFrame:
     return df.select(*named([c for c in df.columns if c.lower() != "position"]))
 
 
+def key_digits(key: str, width: int) -> Column:
+    """A byte that puts nulls first, and the key."""
+    k = F.col(f"`{key}`")
+    long = F.raise_error(F.lit(f"a key is longer than {width} bytes")).cast("string")
+    own = F.when(F.length(k) > 2 * width, long).otherwise(F.rpad(k, 2 * width, "0"))
+    return F.when(k.isNull(), F.lit("00" * (width + 1))).otherwise(F.concat(F.lit("01"), own))
+
+
 def with_digits(df: DataFrame, key: str, width: int, ptr: list[str], full_key: str | None = None) -> tuple[DataFrame, str, int, list[str]]:
     """df with the digits of its whole order, their column and number, and the columns that they leave unsettled.
 
@@ -44,10 +52,7 @@ def with_digits(df: DataFrame, key: str, width: int, ptr: list[str], full_key: s
     all its values apart.
     """
     name = fresh(df, "digits")
-    k = F.col(f"`{key}`")
-    long = F.raise_error(F.lit(f"a key is longer than {width} bytes")).cast("string")
-    own = F.when(F.length(k) > 2 * width, long).otherwise(F.rpad(k, 2 * width, "0"))
-    parts, size = [F.when(k.isNull(), F.lit("00" * (width + 1))).otherwise(F.concat(F.lit("01"), own))], width + 1
+    parts, size = [key_digits(key, width)], width + 1
     rest = [*([full_key] if full_key else []), *ptr]
     while rest:
         digits, more, whole = tie_digits(F.col(f"`{rest[0]}`"), df.schema[rest[0]].dataType)
@@ -64,11 +69,13 @@ class Ranges:
 
     def __init__(self, df: DataFrame, key: str, width: int, ptr: list[str], split_limit: int, target_rows: int, full_key: str | None = None, counted: DataFrame | None = None):
         self.columns = df.columns
-        full, self.digits, self.width, self.rest = with_digits(df, key, width, ptr, full_key)
-        source = full if counted is None else with_digits(counted, key, width, ptr, full_key)[0].withColumnRenamed(fresh(counted, "digits"), self.digits)
-        self.cuts: Cuts = cut(source, F.col(f"`{self.digits}`"), self.width, split_limit, target_rows)
-        self.range_id, self.start = fresh(full, "range"), fresh(full, "start")
-        self.rows = deal(full, self.digits, self.cuts, range_id=self.range_id, start=self.start)
+        source, digits, self.width, self.rest = with_digits(df if counted is None else counted, key, width, ptr, full_key)
+        head = key_digits(key, width)
+        self.cuts: Cuts = cut(source, F.col(f"`{digits}`"), self.width, split_limit, target_rows, head, width + 1)
+        full, self.digits, _, _ = with_digits(df, key, width, ptr, full_key)
+        self.range_id, self.start, short = fresh(full, "range"), fresh(full, "start"), fresh(full, "head")
+        by = short if self.cuts.reach() <= width + 1 else self.digits
+        self.rows = deal(full.withColumn(short, head), by, self.cuts, range_id=self.range_id, start=self.start).drop(short)
 
     @property
     def n(self) -> int:

@@ -32,10 +32,10 @@ class Node:
     digits: str
     prefix: str
     n: int
-    low: str
-    high: str
+    known: str  # the digits that all its keys share, as far as they were looked at
+    depth: int
     node: int = -1
-    depth: int = 0
+    equal: bool = False
     range_id: int = -1
     start: int = 0
     pieces: int = 1
@@ -56,11 +56,15 @@ class Cuts:
         """Buckets and rows by what happens to them: ``cooperative`` ones were refined by a scan of everybody, the others are one task's work."""
         out: dict[str, tuple[int, int]] = {}
         for x in self.nodes:
-            name = "cooperative" if x.node >= 0 else "finished" if x.low == x.high else "comparison" if x.n < compare_limit else "sequential"
+            name = "cooperative" if x.node >= 0 else "finished" if x.equal or x.n == 1 else "comparison" if x.n < compare_limit else "sequential"
             buckets, rows = out.get(name, (0, 0))
             out[name] = (buckets + 1, rows + x.n)
         return out
 
+    def reach(self) -> int:
+        """How many digits a row needs to find its leaf."""
+        return 1 + max((x.depth for x in self.nodes if x.node >= 0), default=0)
+
     def levels(self) -> int:
         return max((x.level for x in self.nodes), default=-1) + 1
 
@@ -87,15 +91,34 @@ def _descend(df: DataFrame, key: Column, cuts: Cuts) -> tuple[DataFrame, list[di
     return out, names
 
 
-def _counted(rows: DataFrame, *group: Column) -> DataFrame:
-    return rows.groupBy(*group).agg(F.count("*").alias("n"), F.min("k").alias("low"), F.max("k").alias("high"))
+#: Digits after a bucket's own that a scan compares: as many as a long can hold, so that the grouping stays in hash tables.
+AHEAD = 7
+
+
+def _counted(rows: DataFrame, key: Column, depth: Column, *group: Column) -> DataFrame:
+    """Counts, and the least and greatest of the digits from ``depth`` on."""
+    ahead = F.conv(F.rpad(F.substring(key, 2 * depth + 1, F.lit(2 * AHEAD)), 2 * AHEAD, "0"), 16, 10).cast("long")
+    return rows.withColumn("ahead", ahead).groupBy(*group).agg(F.count("*").alias("n"), F.min("ahead").alias("low"), F.max("ahead").alias("high"))
+
 
+def _shared(low: int, high: int) -> str:
+    """The whole digits that the numbers from low to high begin with."""
+    common = os.path.commonprefix([f"{low:0{2 * AHEAD}X}", f"{high:0{2 * AHEAD}X}"])
+    return common[: len(common) // 2 * 2]
 
-def cut(df: DataFrame, key: Column, width: int, split_limit: int, target_rows: int) -> Cuts:
-    """The ranges of df by the hex key ``key`` of ``width`` bytes, which is never null."""
-    rows = df.select(key.alias("k"))
+
+def cut(df: DataFrame, key: Column, width: int, split_limit: int, target_rows: int, head: Column | None = None, head_width: int = 0) -> Cuts:
+    """The ranges of df by the hex key ``key`` of ``width`` bytes, which is never null.
+
+    ``head`` may give the first ``head_width`` bytes of the key, where they are cheaper than all of it: scans that
+    look no further compute only them.
+    """
     k = F.col("k")
-    both = _counted(rows, F.substring(k, 1, 4).alias("digits"))
+
+    def rows(reach: int) -> DataFrame:
+        return df.select((head if head is not None and reach <= head_width else key).alias("k"))
+
+    both = _counted(rows(2 + AHEAD), k, F.lit(2), F.substring(k, 1, 4).alias("digits"))
     lead = F.substring("digits", 1, 2)
     small = F.sum("n").over(Window.partitionBy(lead)) <= split_limit
     both = both.withColumn("digits", F.when(small, lead).otherwise(F.col("digits")))
@@ -104,14 +127,16 @@ def cut(df: DataFrame, key: Column, width: int, split_limit: int, target_rows: i
     split_limit, target_rows = max(split_limit, out.rows // MAX_LEAVES), max(target_rows, out.rows // MAX_LEAVES)
     heavy: dict[int, Node] = {}
 
-    def add(parent: Node | None, r: dict) -> Node:
-        """A bucket; it is heavy if it is large and its keys differ."""
-        lead = parent.low[: 2 * parent.depth] if parent else ""
-        x = Node(parent.level + 1 if parent else 0, parent.node if parent else 0, r["digits"], lead + r["digits"], r["n"], r["low"], r["high"])
-        shared = len(os.path.commonprefix([x.low, x.high])) // 2
-        if x.n > split_limit and shared < width:
-            x.node, x.depth = len(heavy), shared
-            heavy[x.node] = x
+    def add(parent: Node | None, digits: str, n: int, shared: str) -> Node:
+        """A bucket, whose keys go on with the digits ``shared``; it is heavy if it is large and has digits left."""
+        prefix = (parent.known if parent else "") + digits
+        known = (prefix + shared)[: 2 * width]
+        x = Node(parent.level + 1 if parent else 0, parent.node if parent else 0, digits, prefix, n, known, len(known) // 2)
+        if n > split_limit:
+            x.equal = x.depth == width
+            if not x.equal:
+                x.node = len(heavy)
+                heavy[x.node] = x
         out.nodes.append(x)
         return x
 
@@ -119,20 +144,22 @@ def cut(df: DataFrame, key: Column, width: int, split_limit: int, target_rows: i
     for r in first:
         leads.setdefault(r["digits"][:2], []).append(r)
     for digits, parts in leads.items():
-        x = add(None, {"digits": digits, "n": sum(r["n"] for r in parts), "low": min(r["low"] for r in parts), "high": max(r["high"] for r in parts)})
-        if x.node >= 0 and x.depth == 1:  # the second digit is counted already
+        alone = parts[0]["digits"][2:4] + _shared(parts[0]["low"], parts[0]["high"]) if len(parts) == 1 else ""
+        x = add(None, digits, sum(r["n"] for r in parts), alone)
+        if x.node >= 0 and len(parts) > 1:  # the second digit is counted already
             x.open = False
             for r in parts:
-                add(x, {**r, "digits": r["digits"][2:4]})
+                add(x, r["digits"][2:4], r["n"], _shared(r["low"], r["high"]))
     while any(x.open for x in heavy.values()):
-        found, names = _descend(rows, k, out)
+        found, names = _descend(rows(max(x.depth for x in heavy.values()) + 1 + AHEAD), k, out)
         node, depth = (F.coalesce(*[F.col(own[c]) for own in reversed(names)]) for c in ("node", "depth"))
-        counted = _counted(found.select("k", node.alias("parent"), depth.alias("depth")).where("parent >= 0"), F.col("parent"), F.substring(k, 2 * F.col("depth") + 1, F.lit(2)).alias("digits"))
+        found = found.select("k", node.alias("parent"), depth.alias("depth")).where("parent >= 0")
+        counted = _counted(found, k, F.col("depth") + 1, F.col("parent"), F.substring(k, 2 * F.col("depth") + 1, F.lit(2)).alias("digits"))
         children = counted.toArrow().to_pylist()
         for x in heavy.values():
             x.open = False
         for r in children:
-            add(heavy[r["parent"]], r)
+            add(heavy[r["parent"]], r["digits"], r["n"], _shared(r["low"], r["high"]))
     _pack(out, target_rows)
     return out
 
@@ -148,7 +175,7 @@ def _pack(cuts: Cuts, target_rows: int) -> None:
             cuts.ranges.append((len(cuts.ranges), at, 0))
         number, first, n = cuts.ranges[-1]
         x.range_id, x.start = number, first
-        x.pieces = max(1, x.n // target_rows) if x.low == x.high else 1
+        x.pieces = max(1, x.n // target_rows) if x.equal else 1
         cuts.ranges[-1] = (number, first, n + x.n)
 
 
