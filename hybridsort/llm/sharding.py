@@ -30,8 +30,8 @@ from .common import repeatable, staged, tidy, without
 
 #: numpy's hypergeometric sampler takes populations below this.
 SMALL = 1_000_000_000
-#: Bytes of a block, by the optimiser's estimate of the input, and blocks at most: beyond, blocks grow, and Spark's sorter spills inside them.
-BLOCK_BYTES, MOST_BLOCKS = 16 << 20, 20_000
+#: Bytes of a block, by the optimiser's estimate of the input (texts take some four times as much), and blocks at most: beyond, blocks grow, and Spark's sorter spills inside them.
+BLOCK_BYTES, MOST_BLOCKS = 4 << 20, 20_000
 
 
 def shard_sizes(rows: int, shards: int) -> list[int]:
