@@ -21,13 +21,14 @@ rows; a very long text is scored whole; other columns are ignored.
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Observation
 from pyspark.sql import functions as F
 
 from .common import column, light_batches, text_slices, tidy
@@ -255,24 +256,30 @@ def _choose(found: list) -> Lexicon:
     return Lexicon(sorted(bytes(r["term"]) for r in found if not r["is_stem"]), sorted(stems))
 
 
-def learn(docs: DataFrame, labels: DataFrame, train: Column, sample_rows: int = 6000, least_docs: int = 5, precision: float = 0.95, stem_kinds: int = 3) -> Model:
+def learn(docs: DataFrame, labels: DataFrame, train: Column, sample_rows: int = 6000, least_docs: int = 5, precision: float = 0.95, stem_kinds: int = 3, false_terms: float = 0.05) -> Model:
     """Fit lexicon and weights to labelled rows where ``train`` holds.
 
     At most ``sample_rows`` labels of either class are used, those with the smallest hash of their
     id; the lexicon has all terms that qualify there. A term enters if at least ``least_docs`` toxic documents have it
-    and they make up ``precision`` of those that do. A stem must lead to ``stem_kinds`` times as many
+    and they make up ``precision`` of those that do, and if so many are no chance: of the terms that enter,
+    a share of ``false_terms`` at most is expected to be there by chance, given all that were looked at. A stem must lead to ``stem_kinds`` times as many
     toxic documents as any one whole word that it begins.
     """
     known = labels.where(train & F.col("toxic").isin(0, 1) & F.col("doc_id").isNotNull()).groupBy("doc_id").agg(F.max("toxic").cast("int").alias("toxic"))
     picked = [known.where(F.col("toxic") == y).orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample_rows) for y in (0, 1)]
     spark = docs.sparkSession
-    chosen = spark.createDataFrame([tuple(r) for p in picked for r in p.collect()], "doc_id long, toxic int")  # bounded by sample_rows
+    picked_rows = [r for p in picked for r in p.collect()]
+    chosen = spark.createDataFrame([tuple(r) for r in picked_rows], "doc_id long, toxic int")  # bounded by sample_rows
     sample = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).join(F.broadcast(chosen), "doc_id").select("text", "toxic").cache()
     try:
         counts = sample.mapInArrow(_term_counts, "term binary, is_stem boolean, others long, toxic long")
         counts = counts.groupBy("term", "is_stem").agg(F.sum("others").alias("others"), F.sum("toxic").alias("toxic"))
+        terms = Observation()
+        counts = counts.observe(terms, F.count(F.lit(1)).alias("n"))
         good = counts.where((F.col("toxic") >= least_docs) & (F.col("toxic") >= precision * (F.col("others") + F.col("toxic"))))
-        lexicon = _choose(_leading(good.collect(), stem_kinds))  # terms of the sample's documents
+        found = good.collect()  # terms of the sample's documents
+        share = sum(r["toxic"] for r in picked_rows) / max(1, len(picked_rows))
+        lexicon = _choose(_leading(_significant(found, share, terms.get["n"], false_terms), stem_kinds))
         if not lexicon.words and not lexicon.stems:
             return Model(lexicon, np.zeros(0), np.ones(FEATURES))
         automaton = spark.sparkContext.broadcast(Automata(lexicon))
@@ -292,6 +299,22 @@ def learn(docs: DataFrame, labels: DataFrame, train: Column, sample_rows: int =
     return Model(lexicon, weights, scale)
 
 
+def chance(toxic: int, others: int, share: float) -> float:
+    """Probability that of so many documents at least ``toxic`` are toxic if each is with probability ``share``."""
+    n = toxic + others
+    if share <= 0 or share >= 1:
+        return float(share >= 1)
+    logs = [math.lgamma(n + 1) - math.lgamma(k + 1) - math.lgamma(n - k + 1) + k * math.log(share) + (n - k) * math.log(1 - share) for k in range(toxic, n + 1)]
+    return min(1.0, sum(map(math.exp, logs)))
+
+
+def _significant(found: list, share: float, looked_at: int, false_terms: float) -> list:
+    """The terms up to the last one whose chance is within its share of the expected errors (step-up rule)."""
+    ranked = sorted(((chance(r["toxic"], r["others"], share), bytes(r["term"]), r["is_stem"], r) for r in found), key=lambda x: x[:3])
+    last = max((i for i, x in enumerate(ranked, 1) if x[0] <= false_terms * i / max(1, looked_at)), default=0)
+    return [x[3] for x in ranked[:last]]
+
+
 def _leading(found: list, stem_kinds: int) -> list:
     """Whole words, and the stems that no single word explains."""
     out = [r for r in found if not r["is_stem"]]
@@ -354,24 +377,30 @@ def _choose(found: list) -> Lexicon:
     return Lexicon(sorted(bytes(r["term"]) for r in found if not r["is_stem"]), sorted(stems))
 
 
-def learn(docs: DataFrame, labels: DataFrame, train: Column, sample_rows: int = 6000, least_docs: int = 5, precision: float = 0.95, stem_kinds: int = 3) -> Model:
+def learn(docs: DataFrame, labels: DataFrame, train: Column, sample_rows: int = 6000, least_docs: int = 5, precision: float = 0.95, stem_kinds: int = 3, false_terms: float = 0.05) -> Model:
     """Fit lexicon and weights to labelled rows where ``train`` holds.
 
     At most ``sample_rows`` labels of either class are used, those with the smallest hash of their
     id; the lexicon has all terms that qualify there. A term enters if at least ``least_docs`` toxic documents have it
-    and they make up ``precision`` of those that do. A stem must lead to ``stem_kinds`` times as many
+    and they make up ``precision`` of those that do, and if so many are no chance: of the terms that enter,
+    a share of ``false_terms`` at most is expected to be there by chance, given all that were looked at. A stem must lead to ``stem_kinds`` times as many
     toxic documents as any one whole word that it begins.
     """
     known = labels.where(train & F.col("toxic").isin(0, 1) & F.col("doc_id").isNotNull()).groupBy("doc_id").agg(F.max("toxic").cast("int").alias("toxic"))
     picked = [known.where(F.col("toxic") == y).orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample_rows) for y in (0, 1)]
     spark = docs.sparkSession
-    chosen = spark.createDataFrame([tuple(r) for p in picked for r in p.collect()], "doc_id long, toxic int")  # bounded by sample_rows
+    picked_rows = [r for p in picked for r in p.collect()]
+    chosen = spark.createDataFrame([tuple(r) for r in picked_rows], "doc_id long, toxic int")  # bounded by sample_rows
     sample = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).join(F.broadcast(chosen), "doc_id").select("text", "toxic").cache()
     try:
         counts = sample.mapInArrow(_term_counts, "term binary, is_stem boolean, others long, toxic long")
         counts = counts.groupBy("term", "is_stem").agg(F.sum("others").alias("others"), F.sum("toxic").alias("toxic"))
+        terms = Observation()
+        counts = counts.observe(terms, F.count(F.lit(1)).alias("n"))
         good = counts.where((F.col("toxic") >= least_docs) & (F.col("toxic") >= precision * (F.col("others") + F.col("toxic"))))
-        lexicon = _choose(_leading(good.collect(), stem_kinds))  # terms of the sample's documents
+        found = good.collect()  # terms of the sample's documents
+        share = sum(r["toxic"] for r in picked_rows) / max(1, len(picked_rows))
+        lexicon = _choose(_leading(_significant(found, share, terms.get["n"], false_terms), stem_kinds))
         if not lexicon.words and not lexicon.stems:
             return Model(lexicon, np.zeros(0), np.ones(FEATURES))
         automaton = spark.sparkContext.broadcast(Automata(lexicon))
@@ -391,6 +420,22 @@ def learn(docs: DataFrame, labels: DataFrame, train: Column, sample_rows: int =
     return Model(lexicon, weights, scale)
 
 
+def chance(toxic: int, others: int, share: float) -> float:
+    """Probability that of so many documents at least ``toxic`` are toxic if each is with probability ``share``."""
+    n = toxic + others
+    if share <= 0 or share >= 1:
+        return float(share >= 1)
+    logs = [math.lgamma(n + 1) - math.lgamma(k + 1) - math.lgamma(n - k + 1) + k * math.log(share) + (n - k) * math.log(1 - share) for k in range(toxic, n + 1)]
+    return min(1.0, sum(map(math.exp, logs)))
+
+
+def _significant(found: list, share: float, looked_at: int, false_terms: float) -> list:
+    """The terms up to the last one whose chance is within its share of the expected errors (step-up rule)."""
+    ranked = sorted(((chance(r["toxic"], r["others"], share), bytes(r["term"]), r["is_stem"], r) for r in found), key=lambda x: x[:3])
+    last = max((i for i, x in enumerate(ranked, 1) if x[0] <= false_terms * i / max(1, looked_at)), default=0)
+    return [x[3] for x in ranked[:last]]
+
+
 def _leading(found: list, stem_kinds: int) -> list:
     """Whole words, and the stems that no single word explains."""
     words = {bytes(r["term"]): r["toxic"] for r in found if not r["is_stem"]}

@@ -578,16 +578,22 @@ def test_features_against_brute_force(block):
 
 def test_lexicon_has_no_limit(spark):
     terms = [f"bad{chr(97 + i // 26)}{chr(97 + i % 26)}xq" for i in range(200)]
-    rows = [(10 * i + k, f"some plain words {t} and more") for i, t in enumerate(terms) for k in range(6)]
-    rows += [(5000 + i, "some plain words and more") for i in range(1200)]
+    rows = [(20 * i + k, f"some plain words {t} and more") for i, t in enumerate(terms) for k in range(20)]
+    rows += [(5000 + i, f"some plain words and more by{i // 4}") for i in range(4000)]
     labels = [(i, int(i < 5000)) for i, _ in rows] + [(0, 0), (5000, None)]
     docs = spark.createDataFrame(rows, "doc_id long, text string")
     model = toxicity.learn(docs, spark.createDataFrame(labels, "doc_id long, toxic int"), F.lit(True))
     got = {r["doc_id"]: r["score"] for r in toxicity.score(docs, model).collect()}
-    assert all((got[i] >= 0.7) == (i < 5000) for i, _ in rows)
+    assert all((got[i] >= 0.7) == (i < 4000) for i, _ in rows)
+    assert len(model.lexicon.words) == 200
     assert toxicity.score(docs.limit(0), model).count() == 0
 
 
+def test_chance_is_the_binomial_tail():
+    for n, k, p in ((7, 5, 0.3), (4, 4, 0.5), (9, 0, 0.2)):
+        assert toxicity.chance(k, n - k, p) == pytest.approx(sum(math.comb(n, j) * p**j * (1 - p) ** (n - j) for j in range(k, n + 1)))
+
+
 def test_quotation_counts_apart():
     auto = toxicity.Automaton(toxicity.Lexicon([b"idiot"], []))
     buffer = b'he said "you idiot" to me\nyou idiot\n'
