@@ -171,5 +171,21 @@ from doc_words d left join counts c using (doc_id) left join kept k using (doc_i
 """
 
 
+OP7_SQL = """
+with texts as (select doc_id, hex(encode(coalesce(text, ''))) as h, octet_length(encode(coalesce(text, ''))) as n from documents),
+strings as (select doc_id, i, md5(substr(h, 2 * i - 1, 200)) as k from (select doc_id, h, unnest(range(1, n - 98)) as i from texts where n >= 100)),
+firsts as (select k, min({'d': doc_id, 'i': i}) as f from strings group by k having count(*) > 1),
+later as (select doc_id, i from strings join firsts using (k) where doc_id <> f.d or i <> f.i),
+marked as (select doc_id, i, case when i - lag(i) over (partition by doc_id order by i) <= 100 then 0 else 1 end as fresh from later),
+numbered as (select doc_id, i, sum(fresh) over (partition by doc_id order by i) as run from marked),
+runs as (select doc_id, min(i) as a, max(i) + 100 as b from numbered group by doc_id, run),
+edges as (select doc_id, b as low, lead(a) over (partition by doc_id order by a) as high from runs union all select doc_id, 1, min(a) from runs group by doc_id),
+kept as (select doc_id, string_agg(substr(h, 2 * low - 1, 2 * (coalesce(high, n + 1) - low)), '' order by low) as t from edges join texts using (doc_id) group by doc_id),
+sums as (select doc_id, sum(b - a) as removed, count(*) as spans from runs group by doc_id)
+select t.doc_id, cast(t.n as bigint) as n_bytes, cast(coalesce(s.removed, 0) as bigint) as n_removed, cast(coalesce(s.spans, 0) as bigint) as n_spans, sha256(unhex(coalesce(k.t, t.h))) as kept_sha256
+from texts t left join sums s using (doc_id) left join kept k using (doc_id)
+"""
+
+
 def oracle_sql() -> dict[str, str]:
-    return {"op2_minhash": OP2_SQL, "op5_decontamination": OP5_SQL, "op6_suffix_tree": OP6_SQL}
+    return {"op2_minhash": OP2_SQL, "op5_decontamination": OP5_SQL, "op6_suffix_tree": OP6_SQL, "op7_suffix_array": OP7_SQL}
