@@ -102,7 +102,7 @@ query("topk_global", "orders", "select o_orderkey from orders order by o_totalpr
 query("bottomk_global", "orders", "select o_orderkey from orders order by o_totalprice, o_orderkey limit 20")(lambda o: o.orderBy("o_totalprice", "o_orderkey").limit(20).select("o_orderkey"))
 query("limit_offset", "orders", "select o_orderkey from orders order by o_orderkey limit 10 offset 30")(lambda o: o.orderBy("o_orderkey").offset(30).limit(10).select("o_orderkey"))
 query("distinct_by_sort", "events", "select distinct user_id from events")(lambda e: e.select("user_id").repartition("user_id").sortWithinPartitions("user_id").withColumn("before", F.lag("user_id").over(W.partitionBy("user_id").orderBy("user_id"))).where("before is null").select("user_id"))
-query("sort_within_partitions", "lineitem")(lambda li: li.repartition(8, "l_orderkey").sortWithinPartitions("l_orderkey").select("l_orderkey", "l_linenumber"))
+query("sort_within_partitions", "lineitem", "select l_orderkey, l_linenumber from lineitem")(lambda li: li.repartition(8, "l_orderkey").sortWithinPartitions("l_orderkey").select("l_orderkey", "l_linenumber"))
 query("union_all_runs", "lineitem", "select l_orderkey, l_linenumber from lineitem")(lambda li: li.where("l_orderkey % 2 = 0").select("l_orderkey", "l_linenumber").unionByName(li.where("l_orderkey % 2 = 1").select("l_linenumber", "l_orderkey")))
 query("union_distinct_keys", "customer supplier", "select c_nationkey as k from customer union select s_nationkey from supplier")(lambda c, s: c.select(F.col("c_nationkey").alias("k")).union(s.select("s_nationkey")).distinct())
 query("intersect_keys", "documents labels", "select doc_id from documents intersect select doc_id from labels")(lambda d, lab: d.select("doc_id").intersect(lab.select("doc_id")))

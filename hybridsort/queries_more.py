@@ -70,6 +70,23 @@ def _vector(spark, sf_dir):
     return msd.adaptive_sort(df, "k", ["vec_id"], 512, **limits(df)).select("position", "vec_id")
 
 
+for _name, _kernel in (("lsd_sort_uniform", "lsd"), ("radix_inplace", "inplace")):
+
+    @query(_name, order_sql("uniform"))
+    def _kernel_sort(spark, sf_dir, kernel=_kernel):
+        df, ptr, width = load(spark, sf_dir, "uniform")
+        return msd.adaptive_sort(df, "k", ptr, width, kernel=kernel, **limits(df))
+
+
+@query("merge_ranges", f"select cast(count(*) as bigint) as rows, 1 as first_position, true as gapless from ({pairs_sql('skewed')})")
+def _merge_ranges(spark, sf_dir):
+    """The ranges that the external sort merges: their starts follow each other without gaps."""
+    df, ptr, width = load(spark, sf_dir, "skewed")
+    ranges = msd.Ranges(df, "k", width, ptr, **limits(df)).cuts.ranges
+    gapless = all(a + n == b for (_, a, n), (_, b, _) in zip(ranges, ranges[1:], strict=False))
+    return spark.createDataFrame([(sum(n for _, _, n in ranges), ranges[0][1] + 1, gapless)], "rows long, first_position int, gapless boolean")
+
+
 @query("key_pointer_lineitem", pairs_sql("uniform"))
 def _key_pointer(spark, sf_dir):
     return K.key_pointer(table(spark, sf_dir, "lineitem"), K.uniform_binary(*LI[:4]), LI)

@@ -2,7 +2,10 @@
 
 from __future__ import annotations
 
+import os
+from collections import deque
 from collections.abc import Iterator
+from concurrent.futures import ThreadPoolExecutor
 from dataclasses import dataclass
 
 import numpy as np
@@ -37,9 +40,9 @@ def local(path: str) -> str:
 
 
 class FixedRecords(DataSource):
-    """Format ``fixed_records``: options path, record_bytes (100), key_bytes (10), request_bytes (262144), split_bytes.
+    """Format ``fixed_records``: options path, record_bytes (100), key_bytes (10), request_bytes (262144), queue_depth (4), split_bytes.
 
-    The path must be one that the workers can open. ``request_bytes`` is what one read asks for;
+    The path must be one that the workers can open. ``request_bytes`` is what one read asks for, ``queue_depth`` how many reads a task has under way;
     ``split_bytes`` is what one task reads; both are rounded down to whole records.
     """
 
@@ -62,6 +65,7 @@ class FixedReader(DataSourceReader):
         self.path = local(options["path"])
         self.record, self.key = int(options.get("record_bytes", 100)), int(options.get("key_bytes", 10))
         whole = lambda n: max(1, n // self.record) * self.record
+        self.depth = max(1, int(options.get("queue_depth", 4)))
         self.request, self.split = whole(int(options.get("request_bytes", 262144))), whole(int(options.get("split_bytes", 128 << 20)))
 
     def partitions(self) -> list[InputPartition]:
@@ -78,12 +82,15 @@ class FixedReader(DataSourceReader):
         return out
 
     def read(self, partition: ByteRange) -> Iterator[pa.RecordBatch]:
-        with open(partition.path, "rb") as f:
-            f.seek(partition.start)
-            left = partition.length
-            while left:
-                data = f.read(min(self.request, left))
-                left -= len(data)
+        with open(partition.path, "rb") as f, ThreadPoolExecutor(self.depth) as pool:
+            end = partition.start + partition.length
+            waiting: deque = deque()
+            at = partition.start
+            while at < end or waiting:
+                while at < end and len(waiting) < self.depth:  # so many requests are under way together
+                    waiting.append(pool.submit(os.pread, f.fileno(), min(self.request, end - at), at))
+                    at += self.request
+                data = waiting.popleft().result()
                 n = len(data) // self.record
                 rows = np.frombuffer(data, np.uint8).reshape(n, self.record)
                 yield pa.RecordBatch.from_arrays([_fixed(rows[:, : self.key]), _fixed(rows[:, self.key :])], names=["key", "value"])

@@ -127,7 +127,7 @@ def test_fixed_records(spark, tmp_path):
     made.repartition(3).write.format("fixed_records").mode("append").option("path", path).save()
     want = sorted((bytes(r["key"]), bytes(r["value"])) for r in made.collect())
     for request in (100, 1000, 262144):
-        back = spark.read.format("fixed_records").option("path", path).option("request_bytes", request).option("split_bytes", 5000).load()
+        back = spark.read.format("fixed_records").option("path", path).option("request_bytes", request).option("split_bytes", 5000).option("queue_depth", request // 100 % 7 + 1).load()
         assert sorted((bytes(r["key"]), bytes(r["value"])) for r in back.collect()) == want
 
 
