@@ -1,8 +1,8 @@
 """Cut points of a sort: contiguous key ranges of about equal size, from exact histograms.
 
 The first scan counts two digits at once, and sums them to one digit where that bucket is small. Buckets
-above the limit are refined one digit a scan, each at the digit where its own keys first differ, so that
-long common prefixes cost nothing. Only counts reach the driver: 65,536 of the first scan at most, and
+above the limit are refined one digit a scan (a single one by two), each at the digit where its own keys
+first differ, so that long common prefixes cost nothing. Only counts reach the driver: 65,536 of the first scan at most, and
 of each later one 256 for each heavy bucket, of which there are MAX_LEAVES at most. Rows find their
 range by one broadcast hash join for each level of the tree.
 """
@@ -118,11 +118,17 @@ def cut(df: DataFrame, key: Column, width: int, split_limit: int, target_rows: i
     def rows(reach: int) -> DataFrame:
         return df.select((head if head is not None and reach <= head_width else key).alias("k"))
 
-    both = _counted(rows(2 + AHEAD), k, F.lit(2), F.substring(k, 1, 4).alias("digits"))
-    lead = F.substring("digits", 1, 2)
-    small = F.sum("n").over(Window.partitionBy(lead)) <= split_limit
-    both = both.withColumn("digits", F.when(small, lead).otherwise(F.col("digits")))
-    first = both.groupBy("digits").agg(F.sum("n").alias("n"), F.min("low").alias("low"), F.max("high").alias("high")).toArrow().to_pylist()
+    def two_digits(below: str) -> list[dict]:
+        """Counts of the next two digits of the keys that begin so, summed to one digit where that is small."""
+        depth = len(below) // 2
+        found = rows(depth + 2 + AHEAD)
+        both = _counted(found.where(k.startswith(below)) if below else found, k, F.lit(depth + 2), F.substring(k, 2 * depth + 1, 4).alias("digits"))
+        lead = F.substring("digits", 1, 2)
+        small = F.sum("n").over(Window.partitionBy(lead)) <= split_limit
+        both = both.withColumn("digits", F.when(small, lead).otherwise(F.col("digits")))
+        return both.groupBy("digits").agg(F.sum("n").alias("n"), F.min("low").alias("low"), F.max("high").alias("high")).toArrow().to_pylist()
+
+    first = two_digits("")
     out = Cuts(sum(r["n"] for r in first))
     split_limit, target_rows = max(split_limit, out.rows // MAX_LEAVES), max(target_rows, out.rows // MAX_LEAVES)
     heavy: dict[int, Node] = {}
@@ -140,23 +146,31 @@ def cut(df: DataFrame, key: Column, width: int, split_limit: int, target_rows: i
         out.nodes.append(x)
         return x
 
-    leads: dict[str, list[dict]] = {}
-    for r in first:
-        leads.setdefault(r["digits"][:2], []).append(r)
-    for digits, parts in leads.items():
-        alone = parts[0]["digits"][2:4] + _shared(parts[0]["low"], parts[0]["high"]) if len(parts) == 1 else ""
-        x = add(None, digits, sum(r["n"] for r in parts), alone)
-        if x.node >= 0 and len(parts) > 1:  # the second digit is counted already
-            x.open = False
-            for r in parts:
-                add(x, r["digits"][2:4], r["n"], _shared(r["low"], r["high"]))
-    while any(x.open for x in heavy.values()):
-        found, names = _descend(rows(max(x.depth for x in heavy.values()) + 1 + AHEAD), k, out)
+    def grow(parent: Node | None, counted: list[dict]) -> None:
+        """The children of a bucket, and theirs where both digits were counted."""
+        leads: dict[str, list[dict]] = {}
+        for r in counted:
+            leads.setdefault(r["digits"][:2], []).append(r)
+        for digits, parts in leads.items():
+            alone = parts[0]["digits"][2:4] + _shared(parts[0]["low"], parts[0]["high"]) if len(parts) == 1 and len(parts[0]["digits"]) == 4 else ""
+            x = add(parent, digits, sum(r["n"] for r in parts), alone)
+            if x.node >= 0 and len(parts) > 1:  # the second digit is counted already
+                x.open = False
+                for r in parts:
+                    add(x, r["digits"][2:4], r["n"], _shared(r["low"], r["high"]))
+
+    grow(None, first)
+    while open_ := [x for x in heavy.values() if x.open]:
+        if len(open_) == 1:
+            open_[0].open = False
+            grow(open_[0], two_digits(open_[0].known))
+            continue
+        found, names = _descend(rows(max(x.depth for x in open_) + 1 + AHEAD), k, out)
         node, depth = (F.coalesce(*[F.col(own[c]) for own in reversed(names)]) for c in ("node", "depth"))
         found = found.select("k", node.alias("parent"), depth.alias("depth")).where("parent >= 0")
         counted = _counted(found, k, F.col("depth") + 1, F.col("parent"), F.substring(k, 2 * F.col("depth") + 1, F.lit(2)).alias("digits"))
         children = counted.toArrow().to_pylist()
-        for x in heavy.values():
+        for x in open_:
             x.open = False
         for r in children:
             add(heavy[r["parent"]], r["digits"], r["n"], _shared(r["low"], r["high"]))
