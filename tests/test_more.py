@@ -226,6 +226,15 @@ def test_sorted_sink_and_its_manifest(spark, tmp_path, durability):
     assert found.agg(F.sum("checksum")).first()[0] == df.agg(measures.checksum(F.col("k"))).first()[0]
 
 
+def test_salted_copies_are_never_broadcast(spark, tmp_path):
+    a = spark.createDataFrame([(i % 3 if i % 5 else None, i) for i in range(60)], "k long, l long")
+    b = spark.createDataFrame([(k, f"b{k}{i}") for k in (0, 1, 7, None) for i in range(2)], "k long, r string")
+    b.write.parquet(f"{tmp_path}/b")  # a file has a size that Spark knows
+    out = joins.salted(a, spark.read.parquet(f"{tmp_path}/b"), "k")
+    assert "SortMergeJoin" in plan(out) and "Broadcast" not in plan(out)
+    assert sorted(map(tuple, out.collect())) == sorted((x["k"], x["l"], y["r"]) for x in a.collect() for y in b.collect() if x["k"] is not None and x["k"] == y["k"])
+
+
 def test_pointers_of_a_scan(spark, tmp_path):
     spark.range(100).repartition(3).write.parquet(f"{tmp_path}/t")
     found = sinks.with_pointer(spark.read.parquet(f"{tmp_path}/t"))
