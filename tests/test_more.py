@@ -260,6 +260,24 @@ def test_round_trips(spark, kind):
     assert sorted(map(tuple, formats.roundtrip(df, kind).collect()), key=repr) == sorted(map(tuple, df.collect()), key=repr)
 
 
+def test_binary_records_of_large_and_ragged_files(spark, tmp_path):
+    rng = random.Random(3)
+    contents = {"a.bin": rng.randbytes(700), "b,c.bin": rng.randbytes(300), "d/e.bin": rng.randbytes(1050), "f.bin": b"", "g.bin": b"x" * 7}
+    (tmp_path / "small/d").mkdir(parents=True)
+    for name, data in contents.items():
+        (tmp_path / "small" / name).write_bytes(data)
+    want = sorted(data[i : i + 100] for data in contents.values() for i in range(0, len(data), 100))
+    assert sorted(bytes(r[0]) for r in formats.binary_records(spark, f"{tmp_path}/small", 100).collect()) == want
+    (tmp_path / "none").mkdir()
+    (tmp_path / "none/empty.bin").write_bytes(b"")
+    assert formats.binary_records(spark, f"{tmp_path}/none", 100).count() == 0
+    (tmp_path / "large.bin").write_bytes(rng.randbytes(40_000_000))
+    out = formats.binary_records(spark, f"{tmp_path}/large.bin", 100)
+    assert out.columns == ["record"] and out.dtypes == [("record", "binary")]
+    assert out.rdd.getNumPartitions() > 1  # one file is read by several tasks
+    assert out.distinct().count() == 400_000
+
+
 def test_phases_and_ratios(spark, tmp_path):
     df, _ = shuffled(spark, 300)
     for mode in ("internal", "partial", "external"):
