@@ -7,7 +7,7 @@ import random
 import pytest
 from pyspark.sql import functions as F
 
-from hybridsort import measures, memory
+from hybridsort import measures, memory, queries_sort
 from hybridsort.functions import keys as K
 from hybridsort.functions import udfs
 from hybridsort.operators import baselines, engine, external, joins, msd
@@ -278,6 +278,14 @@ def test_binary_records_of_large_and_ragged_files(spark, tmp_path):
     assert out.distinct().count() == 400_000
 
 
+def test_join_strategies_of_a_table(spark, tmp_path):
+    sizes = {1: 1, 2: 10, 3: 11, 4: 40, None: 12}
+    spark.createDataFrame([(k, i) for k, n in sizes.items() for i in range(n)], "o_custkey long, o_orderkey long").repartition(3).write.parquet(f"{tmp_path}/orders.parquet")
+    out = queries_sort.QUERIES["join_strategy_choice"](spark, str(tmp_path))
+    assert any("orders.parquet" in f for f in out.inputFiles())
+    assert {r["o_custkey"]: (r["mb"], r["strategy"]) for r in out.collect()} == {k: (n, joins.choose_join(n << 20, 100 << 20)) for k, n in sizes.items()}
+
+
 def test_phases_and_ratios(spark, tmp_path):
     df, _ = shuffled(spark, 300)
     for mode in ("internal", "partial", "external"):
