@@ -286,6 +286,14 @@ def test_join_strategies_of_a_table(spark, tmp_path):
     assert {r["o_custkey"]: (r["mb"], r["strategy"]) for r in out.collect()} == {k: (n, joins.choose_join(n << 20, 100 << 20)) for k, n in sizes.items()}
 
 
+def test_modes_of_a_table(spark, tmp_path):
+    sizes = {i: n for i, n in enumerate((10, 15, 16, 20, 30, 31, 60))} | {None: 1}
+    spark.createDataFrame([(k, i) for k, n in sizes.items() for i in range(n)], "l_partkey long, l_orderkey long").repartition(3).write.parquet(f"{tmp_path}/lineitem.parquet")
+    out = queries_sort.QUERIES["mode_choice"](spark, str(tmp_path))
+    assert any("lineitem.parquet" in f for f in out.inputFiles())
+    assert {r["l_partkey"]: (r["gb"], r["mode"]) for r in out.collect()} == {k: (n, engine.choose_mode(n << 30, 30 << 30)) for k, n in sizes.items()}
+
+
 def test_phases_and_ratios(spark, tmp_path):
     df, _ = shuffled(spark, 300)
     for mode in ("internal", "partial", "external"):
