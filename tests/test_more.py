@@ -7,7 +7,7 @@ import random
 import pytest
 from pyspark.sql import functions as F
 
-from hybridsort import measures, memory, queries_sort
+from hybridsort import measures, memory, queries_more, queries_sort
 from hybridsort.functions import keys as K
 from hybridsort.functions import udfs
 from hybridsort.operators import baselines, engine, external, joins, msd
@@ -294,6 +294,17 @@ def test_modes_of_a_table(spark, tmp_path):
     assert {r["l_partkey"]: (r["gb"], r["mode"]) for r in out.collect()} == {k: (n, engine.choose_mode(n << 30, 30 << 30)) for k, n in sizes.items()}
 
 
+def test_modes_of_measured_workloads(spark, tmp_path):
+    df = spark.createDataFrame([(1, "a", 0.5, None), (None, "é", None, [1, 2]), (3, None, None, None)], "i int, s string, d double, a array<int>")
+    assert engine.measured_bytes(df).first()[0] == 4 + 1 + 8 + 2 + len('{"a":[1,2]}') + 4
+    assert engine.measured_bytes(df.limit(0)).first()[0] == 1
+    for n, name in ((3, "events"), (1, "orders"), (0, "lineitem")):
+        df.limit(n).write.parquet(f"{tmp_path}/{name}.parquet")
+    out = queries_more.QUERIES["mode_of_workloads"](spark, str(tmp_path))
+    assert {t for t in ("events", "orders", "lineitem") if any(f"{t}.parquet" in f for f in out.inputFiles())} == {"events", "orders", "lineitem"}
+    assert sorted(map(tuple, out.collect())) == [("W1", "internal"), ("W2", "partial"), ("W3", "external")]
+
+
 def test_phases_and_ratios(spark, tmp_path):
     df, _ = shuffled(spark, 300)
     for mode in ("internal", "partial", "external"):
