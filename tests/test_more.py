@@ -275,7 +275,9 @@ def test_binary_records_of_large_and_ragged_files(spark, tmp_path):
     out = formats.binary_records(spark, f"{tmp_path}/large.bin", 100)
     assert out.columns == ["record"] and out.dtypes == [("record", "binary")]
     assert out.rdd.getNumPartitions() > 1  # one file is read by several tasks
-    assert out.distinct().count() == 400_000
+    halves = formats.binary_records(spark, f"{tmp_path}/large.bin", 50)
+    assert out.distinct().count() == 400_000 and halves.count() == 800_000
+    assert spark._jsc.hadoopConfiguration().get("org.apache.spark.input.FixedLengthBinaryInputFormat.recordLength") is None
 
 
 def test_join_strategies_of_a_table(spark, tmp_path):
